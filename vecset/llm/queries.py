@@ -21,6 +21,19 @@ def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge(pages, RULES, url_filter.labels_by_number(pages, table(spark, sf_dir, "labels")))
 
 
+def op3_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import vectors
+
+    rows = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return vectors.nearest(rows, rows.where("vec_id % 20 = 0"), k=20)
+
+
+def op4_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import vectors
+
+    return vectors.near_duplicates(table(spark, sf_dir, "embeddings"), 0.98)
+
+
 def op6_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import token_files
 
@@ -56,5 +69,5 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.coalesce(quality.held_out("doc_id"), F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
-QUERIES = {f.__name__: f for f in (op2_url_filter, op6_token_ids, op7_token_counts, op8_byte_bpe, op9_packing, op10_quality)}
+QUERIES = {f.__name__: f for f in (op2_url_filter, op3_nearest, op4_near_vectors, op6_token_ids, op7_token_counts, op8_byte_bpe, op9_packing, op10_quality)}
 ORACLES: dict[str, str] = {}
