@@ -101,3 +101,11 @@ def ids_of(column: pa.Array) -> np.ndarray:
 
 def null_again(df: DataFrame, *columns: str) -> DataFrame:
     return df.withColumns({c: F.when(F.col(c) != NO_ID, F.col(c)) for c in columns})
+
+
+def free(df: DataFrame) -> None:
+    """Lets Spark delete the shuffle files of plans that are no longer referenced."""
+    import gc
+
+    gc.collect()
+    df.sparkSession._jvm.System.gc()

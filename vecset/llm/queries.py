@@ -34,6 +34,12 @@ def op4_near_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vectors.near_duplicates(table(spark, sf_dir, "embeddings"), 0.98)
 
 
+def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import suffix_dedup
+
+    return suffix_dedup.report(table(spark, sf_dir, "documents"), width=400)
+
+
 def op6_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import token_files
 
@@ -69,5 +75,5 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.coalesce(quality.held_out("doc_id"), F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
-QUERIES = {f.__name__: f for f in (op2_url_filter, op3_nearest, op4_near_vectors, op6_token_ids, op7_token_counts, op8_byte_bpe, op9_packing, op10_quality)}
+QUERIES = {f.__name__: f for f in (op2_url_filter, op3_nearest, op4_near_vectors, op5_suffix_dedup, op6_token_ids, op7_token_counts, op8_byte_bpe, op9_packing, op10_quality)}
 ORACLES: dict[str, str] = {}
