@@ -22,6 +22,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import written
+
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -68,6 +70,7 @@ def templates(leaves: DataFrame, depth: int = 4, max_children: int = 20, head_sh
         similar = (F.col("kids") > 1) & (F.col("n_labelled") >= min_labelled) & (apart < z_merge)
         step = child.select("host", "template", "part", F.when(variable | similar, F.lit("*")).otherwise(F.col("part")).alias("branch"))
         tree = tree.join(step, ["host", "template", "part"], "left").withColumn("template", F.when(F.col("branch").isNull(), F.col("template")).otherwise(F.concat("template", "branch", F.lit("/")))).drop("branch", "part")
+        tree = written(tree, "tree")  # else the plan doubles with each level
     return tree
 
 
@@ -79,7 +82,7 @@ def judge(pages: DataFrame, rules: list[tuple[str, str]], labelled: DataFrame |
     else:
         rows = rows.withColumn("bad", F.lit(None).cast("int"))
     rows = rows.withColumn("shape", shape(F.col("path"), depth))
-    leaves = rows.groupBy("host", "shape").agg(F.count("*").alias("n"), F.count("bad").alias("n_labelled"), F.coalesce(F.sum("bad"), F.lit(0)).alias("n_bad"))
+    leaves = written(rows.groupBy("host", "shape").agg(F.count("*").alias("n"), F.count("bad").alias("n_labelled"), F.coalesce(F.sum("bad"), F.lit(0)).alias("n_bad")), "leaves")
     tree = templates(leaves, depth, **tree_options)
     total = leaves.agg(((F.sum("n_bad") + 0.5) / (F.sum("n_labelled") + 1.0)).alias("base"))
     sums = tree.groupBy("host", "template").agg(F.sum("n_labelled").alias("n_labelled"), F.sum("n_bad").alias("n_bad")).join(F.broadcast(total))
