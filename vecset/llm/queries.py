@@ -14,6 +14,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import jaccard_join
+
+    return jaccard_join.join(table(spark, sf_dir, "documents"), percent=75, words=5)
+
+
 def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import url_filter
 
@@ -75,5 +81,5 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.coalesce(quality.held_out("doc_id"), F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
 
 
-QUERIES = {f.__name__: f for f in (op2_url_filter, op3_nearest, op4_near_vectors, op5_suffix_dedup, op6_token_ids, op7_token_counts, op8_byte_bpe, op9_packing, op10_quality)}
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_url_filter, op3_nearest, op4_near_vectors, op5_suffix_dedup, op6_token_ids, op7_token_counts, op8_byte_bpe, op9_packing, op10_quality)}
 ORACLES: dict[str, str] = {}
