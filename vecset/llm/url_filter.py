@@ -8,8 +8,8 @@ Per host, shapes are a tree of segments. Level by level, from the root:
 * of the rest, labelled children (at least `min_labelled` labels) whose rate of bad labels differs from their node's by less than
   `z_merge` standard errors are statistically similar: they are merged into the wildcard branch too.
 
-A leaf of the tree is a template. Its purity is the share of bad labels, smoothed by `prior_weight` labels at the rate of the whole
-table. Templates with purity >= `reject_purity` are rejected. Rules of the caller come first: the longest that fits wins.
+A leaf of the tree is a template. A node's purity is its share of bad labels, smoothed by `prior_weight` labels at its parent's
+purity; a host's parent is the whole table. Templates with purity >= `reject_purity` are rejected. Rules of the caller come first: the longest that fits wins.
 
 Shapes are counted before anything is joined, so a host with a third of all rows sends one row for each shape and task.
 
@@ -55,9 +55,15 @@ def shape(path: Column, depth: int) -> Column:
     return F.when(F.size(parts) > depth, F.concat(F.slice(parts, 1, depth), F.array(F.lit("**")))).otherwise(parts)
 
 
-def templates(leaves: DataFrame, depth: int = 4, max_children: int = 20, head_share: float = 0.5, min_labelled: int = 20, z_merge: float = 1.96) -> DataFrame:
-    """(host, shape, template) of leaves (host, shape, n, n_labelled, n_bad)."""
-    tree = leaves.withColumn("template", F.lit("/"))
+def templates(leaves: DataFrame, depth: int = 4, prior_weight: float = 10.0, max_children: int = 20, head_share: float = 0.5, min_labelled: int = 20, z_merge: float = 1.96) -> DataFrame:
+    """(host, shape, template, purity) of leaves (host, shape, n, n_labelled, n_bad)."""
+    base = leaves.agg(((F.sum("n_bad") + 0.5) / (F.sum("n_labelled") + 1.0)).alias("base"))
+
+    def smoothed(parent: Column, *node: str) -> Column:
+        own = Window.partitionBy(*node)
+        return (F.sum("n_bad").over(own) + prior_weight * parent) / (F.sum("n_labelled").over(own) + prior_weight)
+
+    tree = leaves.join(F.broadcast(base)).withColumn("template", F.lit("/")).withColumn("purity", smoothed(F.col("base"), "host")).drop("base")
     for level in range(depth + 1):
         tree = tree.withColumn("part", F.get("shape", F.lit(level)))
         sums = [F.sum(c).alias(c) for c in ("n", "n_labelled", "n_bad")]
@@ -69,7 +75,8 @@ def templates(leaves: DataFrame, depth: int = 4, max_children: int = 20, head_sh
         apart = F.abs(F.col("n_bad") - F.col("n_labelled") * rate) / F.sqrt(F.col("n_labelled") * rate * (1.0 - rate))
         similar = (F.col("kids") > 1) & (F.col("n_labelled") >= min_labelled) & (apart < z_merge)
         step = child.select("host", "template", "part", F.when(variable | similar, F.lit("*")).otherwise(F.col("part")).alias("branch"))
-        tree = tree.join(step, ["host", "template", "part"], "left").withColumn("template", F.when(F.col("branch").isNull(), F.col("template")).otherwise(F.concat("template", "branch", F.lit("/")))).drop("branch", "part")
+        tree = tree.join(step, ["host", "template", "part"], "left").withColumn("template", F.when(F.col("branch").isNull(), F.col("template")).otherwise(F.concat("template", "branch", F.lit("/"))))
+        tree = tree.withColumn("purity", F.when(F.col("branch").isNull(), F.col("purity")).otherwise(smoothed(F.col("purity"), "host", "template"))).drop("branch", "part")
         tree = written(tree, "tree")  # else the plan doubles with each level
     return tree
 
@@ -83,11 +90,7 @@ def judge(pages: DataFrame, rules: list[tuple[str, str]], labelled: DataFrame |
         rows = rows.withColumn("bad", F.lit(None).cast("int"))
     rows = rows.withColumn("shape", shape(F.col("path"), depth))
     leaves = written(rows.groupBy("host", "shape").agg(F.count("*").alias("n"), F.count("bad").alias("n_labelled"), F.coalesce(F.sum("bad"), F.lit(0)).alias("n_bad")), "leaves")
-    tree = templates(leaves, depth, **tree_options)
-    total = leaves.agg(((F.sum("n_bad") + 0.5) / (F.sum("n_labelled") + 1.0)).alias("base"))
-    sums = tree.groupBy("host", "template").agg(F.sum("n_labelled").alias("n_labelled"), F.sum("n_bad").alias("n_bad")).join(F.broadcast(total))
-    purity = sums.select("host", "template", ((F.col("n_bad") + prior_weight * F.col("base")) / (F.col("n_labelled") + prior_weight)).alias("purity"))
-    verdicts = tree.select("host", "shape", "template").join(purity, ["host", "template"])
+    verdicts = templates(leaves, depth, prior_weight, **tree_options).select("host", "shape", "template", "purity")
     rule, verdict = rule_columns(rules)
     out = rows.select("page_id", "host", "path", "shape", rule.alias("rule"), verdict.alias("said")).join(verdicts, ["host", "shape"])
     said = F.coalesce("said", F.when(F.col("purity") >= reject_purity, F.lit("block")).otherwise(F.lit("allow")))
