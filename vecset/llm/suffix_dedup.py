@@ -26,7 +26,8 @@ from pyspark.sql import functions as F
 from .common import NO_ID, column_bytes, free, pieces_of, written
 from .suffix_kernel import owners, repeated_windows
 
-PART = 1 << 20
+#: Bytes of text that a kernel takes at once, and of a long text's parts.
+PIECE, PART = 1 << 18, 1 << 20
 
 
 def keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -38,7 +39,7 @@ def keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 def _segments(width: int):
     def run(batches):
         for batch in batches:
-            for part in pieces_of(batch, PART):
+            for part in pieces_of(batch, PIECE):
                 flat, off = column_bytes(part.column("text"))
                 if len(flat) > 2 * PART:  # one long text, in parts that share width - 1 bytes
                     cuts = [(a, min(a + PART + width - 1, len(flat))) for a in range(0, max(1, len(flat) - width + 1), PART)]

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import functools
+
 import numpy as np
 
 from .common import mix64
@@ -14,6 +16,11 @@ GRAM = 48
 
 def powers(base: int, n: int) -> np.ndarray:
     """base^0 .. base^(n-1) modulo 2^64."""
+    return _powers(base, 1 << max(12, (n - 1).bit_length()))[:n] if n <= 1 << 20 else _powers.__wrapped__(base, n)
+
+
+@functools.cache
+def _powers(base: int, n: int) -> np.ndarray:
     out = np.ones(max(n, 1), np.uint64)
     have = 1
     with np.errstate(over="ignore"):
