@@ -96,7 +96,7 @@ def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 <<
             return pa.RecordBatch.from_arrays([pa.array(buckets, pa.int32()), pa.array([name] * len(buckets), pa.int64()), pa.array([*(blobs[i] for i in named), None], pa.binary()), pa.array([None] * len(named) + [head], pa.binary())], names=["bucket", "flush", "blob", "head"])
 
         for batch in batches:
-            for piece in pieces_of(batch, 1 << 20):
+            for piece in pieces_of(batch, 1 << 18):
                 for s in range(0, piece.num_rows, 1 << 14):
                     some = piece.slice(s, 1 << 14)
                     t, h = shingles(*column_bytes(some.column("text")), words)
