@@ -66,7 +66,14 @@ class _Slots(dict):
         self.owner = owner
 
     def __missing__(self, piece: str) -> int:
-        slot = -1 if not piece or piece[0].isspace() or piece[-1].isspace() else self.owner.compose(piece)
+        if piece.isalpha():
+            slot = self.owner.new(" " + piece, True)
+        else:
+            word = piece.rstrip(MARKS)
+            if word.isalpha():
+                slot = self.owner.join([self[word], self.owner.slot(piece[len(word) :])])
+            else:
+                slot = -1 if not piece or piece[0].isspace() or piece[-1].isspace() else self.owner.compose(piece)
         self[piece] = slot
         return slot
 
@@ -78,7 +85,7 @@ class Encoder:
     most: chunks kept; beyond it those stay that were used twice since they came.
     """
 
-    def __init__(self, tokenizer, check=None, most: int = 600_000):
+    def __init__(self, tokenizer, check=None, most: int = 800_000):
         self.tokenizer, self.check, self.most = tokenizer, check, most
         vocab, byte = tokenizer.get_vocab(), set(byte_chars())
         self.width = np.zeros(max(vocab.values()) + 1, np.int64)
@@ -91,33 +98,40 @@ class Encoder:
         self.glued, self.alone, self.joined = [], [], []
         self.flat, self.start, self.size, self.used = np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
-    def slot(self, chunk: str, glue: bool = False) -> int:
+    def new(self, chunk: str, glue: bool) -> int:
         """glue: the chunk starts with one space or line end before a non-space, and ends with a non-space."""
+        (self.glued if glue else self.alone).append((self.n, chunk))
+        self.n += 1
+        return self.n - 1
+
+    def slot(self, chunk: str, glue: bool = False) -> int:
         found = self.whole.get(chunk)
         if found is None:
-            found = self.whole[chunk] = self.n
-            (self.glued if glue else self.alone).append((found, chunk))
-            self.n += 1
+            found = self.whole[chunk] = self.new(chunk, glue)
         return found
 
-    def compose(self, piece: str) -> int:
-        """A single line end between non-spaces is a match of its own, and so is what follows a word's letters."""
-        lines = piece.split("\n") if "\n" in piece else [piece]
-        if not all(x and not x[0].isspace() and not x[-1].isspace() for x in lines):
-            lines = [piece]
-        parts = []
-        for lead, line in zip(" " + "\n" * len(lines), lines):  # noqa: B905
-            word = line.rstrip(MARKS)
-            if word and word[-1].isalpha() and len(word) < len(line):
-                parts += [self.slot(lead + word, True), self.slot(line[len(word) :])]
-            else:
-                parts.append(self.slot(lead + line, True))
-        if len(parts) == 1:
-            return parts[0]
+    def join(self, parts: list[int]) -> int:
         self.joined.append((self.n, parts))
         self.n += 1
         return self.n - 1
 
+    def compose(self, piece: str) -> int:
+        """A single line end between non-spaces is a match of its own, and so is what follows a word's letters."""
+        lines = piece.split("\n") if "\n" in piece else [piece]
+        if len(lines) > 1 and all(x and not x[0].isspace() and not x[-1].isspace() for x in lines):
+            parts = [self.tail[lines[0]]]
+            for line in lines[1:]:
+                word = line.rstrip(MARKS)
+                if word and word[-1].isalpha() and len(word) < len(line):
+                    parts += [self.slot("\n" + word, True), self.slot(line[len(word) :])]
+                else:
+                    parts.append(self.slot("\n" + line, True))
+            return self.join(parts)
+        word = piece.rstrip(MARKS)
+        if word and word[-1].isalpha() and len(word) < len(piece):
+            return self.join([self.tail[word], self.slot(piece[len(word) :])])
+        return self.new(" " + piece, True)
+
     def prune(self) -> None:
         kept = np.flatnonzero(self.used >= 2)
         if len(kept) > self.most // 2:
@@ -192,9 +206,15 @@ class Encoder:
         if self.joined:
             n = np.fromiter((len(p) for _, p in self.joined), np.int64, len(self.joined))
             slots, parts = np.fromiter((s for s, _ in self.joined), np.int64, len(n)), np.fromiter((x for _, p in self.joined for x in p), np.int64, int(n.sum()))
-            sizes = np.add.reduceat(self.size[parts], np.cumsum(n) - n)
-            self.size[slots], self.start[slots] = sizes, len(self.flat) + np.cumsum(sizes) - sizes
-            self.flat = np.concatenate((self.flat, self.flat[ranges(self.start[parts], self.size[parts])]))
+            nested = np.zeros(self.n, bool)
+            nested[slots] = True
+            deep = np.maximum.reduceat(nested[parts], np.cumsum(n) - n)  # made of other joined ones: after those
+            for some in (~deep, deep):
+                k, m = np.repeat(some, n), n[some]
+                if len(m):
+                    sizes = np.add.reduceat(self.size[parts[k]], np.cumsum(m) - m)
+                    self.size[slots[some]], self.start[slots[some]] = sizes, len(self.flat) + np.cumsum(sizes) - sizes
+                    self.flat = np.concatenate((self.flat, self.flat[ranges(self.start[parts[k]], self.size[parts[k]])]))
         self.used = np.concatenate((self.used, np.zeros(self.n - old, np.int64)))
         self.glued, self.alone, self.joined = [], [], []
 
