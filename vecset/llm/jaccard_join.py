@@ -3,14 +3,14 @@
 A document's set is that of its 5-word shingles, in a fixed order: rare shingles first, then by hash. Of two sets that are similar
 enough, any two prefixes of n - ceil(t n) + l shingles share at least l. A longer prefix costs more postings but asks for more
 matches before a pair is verified; each document takes the l that costs least by the document frequencies of its own shingles. A
-pair needs as many matches as the smaller l of its two documents.
+pair needs as many matches as the smaller l of its two documents, inside the prefixes that its two sizes leave.
 
 1. Shingles are hashed and dealt by hash; each bucket counts document frequencies and sends back those that two documents share.
    Shingles of one document alone take the first places of its prefix but need no posting, and a document with fewer than t n
    shared shingles has no partner at all.
 2. Documents with equal sets are one class, and its least document stands for it.
-3. Postings of the prefixes meet by shingle. Two rounds compare each document with one pivot of each of its shingles and join what
-   is similar into components. What is left to compare are documents of different components that share enough postings, so a group
+3. Postings of the prefixes meet by shingle. Three rounds compare each document with one pivot of each of its shingles (the most
+   central, the least, a random one) and join what is similar into components. What is left to compare are documents of different components that share enough postings, so a group
    of thousands of near copies is never paired with itself.
 4. Links give components; each class member has its class's.
 
@@ -74,7 +74,7 @@ BITS = 8  # of the hash, that name a bucket
 SHARED = "doc long, n long, sig long, tokens binary, rarity binary"
 
 
-def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 << 21) -> DataFrame:
+def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 << 20) -> DataFrame:
     """(doc, n, sig, tokens, rarity): the shingles of each document that another has too, rare ones first, and 8 log2 of their
     document frequency. tokens is null where they are too few for any partner."""
 
@@ -165,7 +165,8 @@ def choose_l(rarity: np.ndarray, n: int, base: int, weight: float = 0.25, most:
 
 
 def prefixes(reps: DataFrame, percent: int) -> DataFrame:
-    """(token, doc, n, l): the postings of each document's prefix."""
+    """(token, doc, n, l, pos, central): the postings of each document's prefix. pos: place in the document's order; central: mean
+    rarity of its set, higher where the set is made of what many have."""
 
     def run(batches):
         for batch in batches:
@@ -176,11 +177,12 @@ def prefixes(reps: DataFrame, percent: int) -> DataFrame:
                 if base > 0:
                     l = choose_l(rare, n, base)  # noqa: E741
                     mine = h[: base + l - 1]
-                    out.append((mine, np.full(len(mine), doc), np.full(len(mine), n), np.full(len(mine), l, np.int32)))
+                    k = len(mine)
+                    out.append((mine, np.full(k, doc), np.full(k, n), np.full(k, l, np.int32), n - len(h) + np.arange(k), np.full(k, 64 * rare.sum(dtype=np.int64) // n)))
             if out:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([o[k] for o in out])) for k in range(4)], names=["token", "doc", "n", "l"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([o[k] for o in out])) for k in range(6)], names=["token", "doc", "n", "l", "pos", "central"])
 
-    return reps.mapInArrow(run, "token long, doc long, n long, l int")
+    return reps.mapInArrow(run, "token long, doc long, n long, l int, pos long, central long")
 
 
 def verified(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
@@ -201,7 +203,7 @@ def verified(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").select("a", "b", "na", "nb", "ta", "tb").mapInArrow(run, "a long, b long")
 
 
-def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id): documents link when 100 * intersection >= percent * union."""
     rows = texts(docs, id_col, text_col)
     sets = shared_sets(rows, percent / 100, words)
@@ -209,20 +211,31 @@ def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int =
     classes = sets.where("tokens is not null").groupBy("n", "sig").agg(F.min("doc").alias("doc"), F.min_by("tokens", "doc").alias("tokens"), F.min_by("rarity", "doc").alias("rarity"))
     reps = written(classes, "reps")
     postings = written(prefixes(reps, percent), "postings")
-    near = lambda a, b: (F.least(a, b) * 100 >= F.greatest(a, b) * percent)
-    links, parts = None, None
+    both = 100 + percent
+
+    def inside(a: str, b: str) -> "F.Column":
+        """Whether a token lies in both prefixes of this very pair: n - overlap + l, for the overlap that two sets of these sizes need."""
+        overlap = F.expr(f"({percent} * (n_{a} + n_{b}) + {both - 1}) div {both}")
+        least = F.least(f"l_{a}", f"l_{b}")
+        return (F.col(f"pos_{a}") < F.col(f"n_{a}") - overlap + least) & (F.col(f"pos_{b}") < F.col(f"n_{b}") - overlap + least)
+
+    def side(df: DataFrame, name: str) -> DataFrame:
+        return df.select("token", *(F.col(c).alias(f"{c}_{name}") for c in ("doc", "n", "l", "pos", "part")))
+
+    links = parts = None
+    own = postings.withColumn("part", F.col("doc"))
     for r in range(pivot_rounds):
-        own = postings.withColumn("part", F.col("doc")) if parts is None else postings.join(parts, "doc", "left").withColumn("part", F.coalesce("part", "doc"))
-        pivot = own.groupBy("token").agg(F.min(F.struct(F.xxhash64("doc", F.lit(r)) if r else F.col("doc"), F.col("doc").alias("pivot"), F.col("n").alias("pn"), F.col("part").alias("pp"))).alias("p"), F.count("*").alias("k")).where("k > 1").select("token", "p.pivot", "p.pn", "p.pp")
-        pairs = own.join(pivot, "token").where((F.col("part") != F.col("pp")) & near(F.col("n"), F.col("pn"))).select(F.least("doc", "pivot").alias("a"), F.greatest("doc", "pivot").alias("b")).distinct()
+        first = (-F.col("central"), F.col("doc"), F.xxhash64("doc", F.lit(r)))[min(r, 2)]
+        pivot = own.groupBy("token").agg(F.min(F.struct(first.alias("first"), "doc", "n", "l", "pos", "part")).alias("p"), F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("token", "p.*")
+        pairs = side(own, "a").join(side(pivot, "b"), "token").where((F.col("part_a") != F.col("part_b")) & inside("a", "b"))
+        pairs = pairs.select(F.least("doc_a", "doc_b").alias("a"), F.greatest("doc_a", "doc_b").alias("b")).distinct()
         found = verified(pairs, reps, percent)
         links = written(found if links is None else links.unionAll(found), "found")
-        parts = written(components(links).select(F.col("node").alias("doc"), F.col("component").alias("part")), "parts")
-    own = postings.join(parts, "doc", "left").withColumn("part", F.coalesce("part", "doc")) if parts is not None else postings.withColumn("part", F.col("doc"))
+        parts = components(links).select(F.col("node").alias("doc"), F.col("component").alias("part"))
+        own = written(postings.join(parts, "doc", "left").withColumn("part", F.coalesce("part", "doc")), "own")
     mixed = own.groupBy("token").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("token")
     own = written(own.join(mixed, "token"), "mixed")
-    left, right = (own.select("token", *(F.col(c).alias(f"{c}_{s}") for c in ("doc", "n", "l", "part"))) for s in "ab")
-    pairs = left.join(right, "token").where((F.col("doc_a") < F.col("doc_b")) & (F.col("part_a") != F.col("part_b")) & near(F.col("n_a"), F.col("n_b")))
+    pairs = side(own, "a").join(side(own, "b"), "token").where((F.col("doc_a") < F.col("doc_b")) & (F.col("part_a") != F.col("part_b")) & inside("a", "b"))
     pairs = pairs.groupBy(F.col("doc_a").alias("a"), F.col("doc_b").alias("b")).agg(F.count("*").alias("matches"), F.min(F.least("l_a", "l_b")).alias("least")).where("matches >= least").select("a", "b")
     found = verified(pairs, reps, percent)
     parts = components(links.unionAll(found) if links is not None else found)
