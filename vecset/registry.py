@@ -1,6 +1,11 @@
-"""Queries and their DuckDB oracles, by key."""
+"""Queries and their DuckDB oracles, by key, gathered from the query modules."""
 
 from __future__ import annotations
 
+from .queries import baseline_queries, cluster_queries, distance_queries, graph_queries, relational_queries, workload_queries
+
 QUERIES: dict = {}
 ORACLES: dict = {}
+for _m in (distance_queries, cluster_queries, graph_queries, baseline_queries, workload_queries, relational_queries):
+    QUERIES |= _m.QUERIES
+    ORACLES |= _m.ORACLES
