@@ -34,10 +34,16 @@ def _local(batches):
             yield pa.RecordBatch.from_arrays([pa.array(node[off]), pa.array(root[off])], names=["a", "b"])
 
 
+def _mark(edges: DataFrame) -> tuple:
+    """Tells one set of links from another."""
+    return tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
+
+
 def components(links: DataFrame) -> DataFrame:
     """(node, component) for every node of links (a, b): component is the least node reachable. Nodes without links are not listed."""
     links = links.where("a is not null and b is not null and a <> b").select(F.col("a").cast("long"), F.col("b").cast("long"))
-    edges, mark = written(links.mapInArrow(_local, "a long, b long").distinct(), "links"), None
+    edges = written(links.mapInArrow(_local, "a long, b long").distinct(), "links")
+    mark = _mark(edges)
     while True:
         both = edges.unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("low"))
@@ -49,7 +55,7 @@ def components(links: DataFrame) -> DataFrame:
         drop_written(edges)
         drop_written(large)
         edges = small
-        now = edges.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
+        now = _mark(edges)
         if now == mark:
             return edges.select(F.col("a").alias("node"), F.col("b").alias("component")).unionAll(edges.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
         mark = now

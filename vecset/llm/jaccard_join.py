@@ -185,6 +185,69 @@ def prefixes(reps: DataFrame, percent: int) -> DataFrame:
     return reps.mapInArrow(run, "token long, doc long, n long, l int, pos long, central long")
 
 
+def matched(own: DataFrame, percent: int, held_pairs: int = 500_000) -> DataFrame:
+    """(a, b, matches, least): pairs of different parts and how many postings they share inside their prefixes, summed in each task
+    before they are dealt. own: (token, doc, n, l, pos, part). A task goes through its shingles in order; of one shingle it holds the
+    postings (48 bytes each) and crosses them in blocks."""
+    both = 100 + percent
+    names = ("token", "doc", "n", "l", "pos", "part")
+
+    def run(batches):
+        held, n_held, rest = [], 0, None
+
+        def cross(rows):
+            nonlocal n_held
+            token, doc, n, l, pos, part = rows
+            edge = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1], [True])))
+            for s, e in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+                for i in range(s, e, 1024):
+                    for j in range(i, e, 4096):
+                        x, y = slice(i, min(i + 1024, e)), slice(j, min(j + 4096, e))
+                        least = np.minimum(l[x, None], l[None, y])
+                        room = least - (percent * (n[x, None] + n[None, y]) + both - 1) // both
+                        ok = (part[x, None] != part[None, y]) & (pos[x, None] < n[x, None] + room) & (pos[None, y] < n[None, y] + room)
+                        ok &= np.arange(i, x.stop)[:, None] < np.arange(j, y.stop)[None, :]
+                        a, b = np.nonzero(ok)
+                        if len(a):
+                            held.append((np.minimum(doc[x][a], doc[y][b]), np.maximum(doc[x][a], doc[y][b]), np.ones(len(a), np.int64), least[a, b].astype(np.int64)))
+                            n_held += len(a)
+                            if n_held > held_pairs:
+                                fold()
+                                if n_held > held_pairs // 2:
+                                    yield out()
+
+        def fold():
+            nonlocal held, n_held
+            a, b, m, l = (np.concatenate([h[k] for h in held]) for k in range(4))
+            order = np.lexsort((b, a))
+            a, b, m, l = a[order], b[order], m[order], l[order]
+            first = np.flatnonzero(np.concatenate(([True], (a[1:] != a[:-1]) | (b[1:] != b[:-1]))))
+            held = [(a[first], b[first], np.add.reduceat(m, first), np.minimum.reduceat(l, first))]
+            n_held = len(first)
+
+        def out():
+            nonlocal held, n_held
+            batch = pa.RecordBatch.from_arrays([pa.array(c) for c in held[0]], names=["a", "b", "matches", "least"])
+            held, n_held = [], 0
+            return batch
+
+        for batch in batches:
+            rows = [batch.column(c).to_numpy().astype(np.int64) for c in names]
+            rows = rows if rest is None else [np.concatenate(p) for p in zip(rest, rows, strict=True)]
+            last = int(np.searchsorted(rows[0], rows[0][-1], "left")) if len(rows[0]) else 0
+            rest = [r[last:] for r in rows]
+            if last:
+                yield from cross([r[:last] for r in rows])
+        if rest is not None and len(rest[0]):
+            yield from cross(rest)
+        if held:
+            fold()
+            yield out()
+
+    dealt = own.select(*names).repartition(F.col("token")).sortWithinPartitions("token")
+    return dealt.mapInArrow(run, "a long, b long, matches long, least long")
+
+
 def verified(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose sets are similar enough."""
 
@@ -222,7 +285,7 @@ def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int =
     def side(df: DataFrame, name: str) -> DataFrame:
         return df.select("token", *(F.col(c).alias(f"{c}_{name}") for c in ("doc", "n", "l", "pos", "part")))
 
-    links = parts = None
+    stars = None
     own = postings.withColumn("part", F.col("doc"))
     for r in range(pivot_rounds):
         first = (-F.col("central"), F.col("doc"), F.xxhash64("doc", F.lit(r)))[min(r, 2)]
@@ -230,15 +293,14 @@ def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int =
         pairs = side(own, "a").join(side(pivot, "b"), "token").where((F.col("part_a") != F.col("part_b")) & inside("a", "b"))
         pairs = pairs.select(F.least("doc_a", "doc_b").alias("a"), F.greatest("doc_a", "doc_b").alias("b")).distinct()
         found = verified(pairs, reps, percent)
-        links = written(found if links is None else links.unionAll(found), "found")
-        parts = components(links).select(F.col("node").alias("doc"), F.col("component").alias("part"))
+        parts = components(found if stars is None else stars.unionAll(found)).select(F.col("node").alias("doc"), F.col("component").alias("part"))
+        stars = parts.where("doc <> part").select(F.col("doc").alias("a"), F.col("part").alias("b"))  # all links so far, as reach
         own = written(postings.join(parts, "doc", "left").withColumn("part", F.coalesce("part", "doc")), "own")
     mixed = own.groupBy("token").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("token")
     own = written(own.join(mixed, "token"), "mixed")
-    pairs = side(own, "a").join(side(own, "b"), "token").where((F.col("doc_a") < F.col("doc_b")) & (F.col("part_a") != F.col("part_b")) & inside("a", "b"))
-    pairs = pairs.groupBy(F.col("doc_a").alias("a"), F.col("doc_b").alias("b")).agg(F.count("*").alias("matches"), F.min(F.least("l_a", "l_b")).alias("least")).where("matches >= least").select("a", "b")
+    pairs = matched(own, percent).groupBy("a", "b").agg(F.sum("matches").alias("matches"), F.min("least").alias("least")).where("matches >= least").select("a", "b")
     found = verified(pairs, reps, percent)
-    parts = components(links.unionAll(found) if links is not None else found)
+    parts = components(found if stars is None else stars.unionAll(found))
     named = reps.select("n", "sig", "doc").join(parts.withColumnRenamed("node", "doc"), "doc", "left").select("n", "sig", F.coalesce("component", "doc").alias("component"))
     out = sets.select("doc", "n", "sig").join(named, ["n", "sig"], "left")
     out = out.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"))
