@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import functions as F
 
 from ..functions import distance as D
@@ -100,22 +101,24 @@ costs AS (SELECT a.set_id AS a, b.set_id AS b, a.vs AS va, b.vs AS vb FROM n a,
 c AS (SELECT a, b, [{cells}] AS c FROM costs)"""
 
 
-def _solver(m, solver):
-    @F.pandas_udf("double")
-    def solve(c):
-        return c.map(lambda x: transport.emd(x.reshape(m, m), solver=solver))
+def _solved(costs, m, solver):
+    """(a, b, emd) of (a, b, c)."""
+
+    def run(batches):
+        for batch in batches:
+            c = batch.column("c").flatten().to_numpy().reshape(-1, m, m)
+            got = [round(transport.emd(x, solver=solver), 6) for x in c]
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(got, pa.float64())], names=["a", "b", "emd"])
 
-    return solve
+    return costs.mapInArrow(run, "a long, b long, emd double")
 
 
 def _emd(m, best):
     def run(spark, folder):
-        if m > 3:
-            return _costs(spark, folder, m).select("a", "b", F.round(_solver(m, "exact")("c"), 6).alias("emd"))
         cell = lambda i, j: F.col("c")[i * m + j]
         if m == 1:
             return _costs(spark, folder, m).select("a", "b", cell(0, 0).cast("double").alias("emd"))
-        return _costs(spark, folder, m).select("a", "b", F.round(_solver(m, "exact")("c"), 6).alias("emd"))
+        return _solved(_costs(spark, folder, m), m, "exact")
 
     key(best and f"{_cost_sql(m)} SELECT a, b, round({best}, 6) AS emd FROM c", f"emd_m{m}" if m < 4 else "emd_general")(run)
 
@@ -128,7 +131,7 @@ _emd(4, None)
 
 @key(f"{_cost_sql(3)} SELECT a, b, round(greatest(least(c[1],c[2],c[3]) + least(c[4],c[5],c[6]) + least(c[7],c[8],c[9]), least(c[1],c[4],c[7]) + least(c[2],c[5],c[8]) + least(c[3],c[6],c[9])) / 3.0, 6) AS emd FROM c")
 def emd_relaxed_lb(spark, folder):
-    return _costs(spark, folder, 3).select("a", "b", F.round(_solver(3, "relaxed")("c"), 6).alias("emd"))
+    return _solved(_costs(spark, folder, 3), 3, "relaxed")
 
 
 @key(f"""WITH {ctes(2)}, s AS (SELECT x.set_id, list(x.v[i] + y.v[i] ORDER BY i) AS v FROM vec x, vec y, range(1, 65) r(i) WHERE x.set_id = y.set_id AND x.vec_no = 0 AND y.vec_no = 1 GROUP BY ALL)

@@ -179,8 +179,8 @@ def search_cost(spark, folder):
 @key(f"""WITH {GRAPH}, {ROUTE}, {ENTRY}, sc AS MATERIALIZED ({chamfer(QPAIRS)}), st AS (SELECT e.query_id, e.set_id, score, min(cluster_id) AS path FROM entry e JOIN sc USING (query_id, set_id) GROUP BY ALL),
 pick AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY query_id, path ORDER BY score DESC, set_id) AS n FROM st) WHERE n = 1),
 new AS (SELECT pick.query_id, min(path) AS path, dst AS set_id FROM pick JOIN adj ON src = pick.set_id WHERE EXISTS (SELECT 1 FROM mem JOIN routed USING (cluster_id) WHERE mem.set_id = dst AND routed.query_id = pick.query_id) AND NOT EXISTS (SELECT 1 FROM st WHERE st.query_id = pick.query_id AND st.set_id = dst) GROUP BY ALL),
-both AS (SELECT query_id, path, set_id, score, CAST(EXISTS (SELECT 1 FROM pick WHERE pick.query_id = st.query_id AND pick.set_id = st.set_id) AS INTEGER) AS expanded FROM st UNION ALL SELECT query_id, path, set_id, score, 0 FROM new JOIN sc USING (query_id, set_id))
-SELECT query_id, path, set_id, score, expanded FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, set_id) AS place FROM both) WHERE place <= 5 OR expanded = 1""")
+merged AS (SELECT query_id, path, set_id, score, CAST(EXISTS (SELECT 1 FROM pick WHERE pick.query_id = st.query_id AND pick.set_id = st.set_id) AS INTEGER) AS expanded FROM st UNION ALL SELECT query_id, path, set_id, score, 0 FROM new JOIN sc USING (query_id, set_id))
+SELECT query_id, path, set_id, score, expanded FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, set_id) AS place FROM merged) WHERE place <= 5 OR expanded = 1""")
 def superstep_once(spark, folder):
     f = Index(spark, folder)
     routed, entries = f.routing()
