@@ -163,7 +163,7 @@ def search_topk(spark, folder):
 def search_frontier(spark, folder):
     f = Index(spark, folder)
     routed, entries = f.routing(2)
-    return S.search_frontier(entries, f.adj, f.mem, routed, f.query_codes, f.codes, f.code_sims(), 10, 20)
+    return S.search_frontier(entries, f.adj, f.mem, routed, f.query_codes, f.codes, f.code_sims(), 10, 20, rounds=4)
 
 
 @key()
