@@ -185,29 +185,61 @@ def prefixes(reps: DataFrame, percent: int) -> DataFrame:
     return reps.mapInArrow(run, "token long, doc long, n long, l int, pos long, central long")
 
 
+MARKS = tuple(f"m{k}" for k in range(8))
+
+
+def marks(reps: DataFrame) -> DataFrame:
+    """(doc, c, m0 to m7): c is how many shingles of a document another has too; bit b of m0 to m7 is the parity of those with hash
+    b modulo 512. Two sets differ in as many of these shingles at least as their marks differ in bits."""
+
+    def run(batches):
+        for batch in batches:
+            held = [np.frombuffer(t, np.uint64) for t in batch.column("tokens").to_pylist()]
+            bits = np.zeros((len(held), 512), np.uint8)
+            for row, h in zip(bits, held, strict=True):
+                row[:] = np.bincount((h & np.uint64(511)).astype(np.int64), minlength=512) & 1
+            words = np.packbits(bits, axis=1).view(np.int64).reshape(len(held), 8)
+            yield pa.RecordBatch.from_arrays([batch.column("doc"), pa.array([len(h) for h in held], pa.int64()), *(pa.array(np.ascontiguousarray(words[:, k])) for k in range(8))], names=["doc", "c", *MARKS])
+
+    return reps.select("doc", "tokens").mapInArrow(run, "doc long, c long, " + ", ".join(f"{m} long" for m in MARKS))
+
+
 def matched(own: DataFrame, percent: int, held_pairs: int = 500_000) -> DataFrame:
     """(a, b, matches, least): pairs of different parts and how many postings they share inside their prefixes, summed in each task
-    before they are dealt. own: (token, doc, n, l, pos, part). A task goes through its shingles in order; of one shingle it holds the
-    postings (48 bytes each) and crosses them in blocks."""
+    before they are dealt. own: (token, doc, n, l, pos, part) and the marks. A task goes through its shingles in order; of one shingle
+    it holds the postings (120 bytes each) and crosses them in blocks. Pairs whose marks differ in too many bits for the overlap that
+    their sizes need can't be links and are left out; no other pair is."""
     both = 100 + percent
-    names = ("token", "doc", "n", "l", "pos", "part")
+    names = ("token", "doc", "n", "l", "pos", "part", "c", *MARKS)
+
+    def near(need, c, m, x, y, a, b):
+        """Whether c_x + c_y - (bits that differ) leaves room for twice the overlap that the pair needs."""
+        ok = np.zeros(len(a), bool)
+        for s in range(0, len(a), 1 << 15):
+            i, j = x.start + a[s : s + (1 << 15)], y.start + b[s : s + (1 << 15)]
+            apart = sum(np.bitwise_count(w[i] ^ w[j]).astype(np.int64) for w in m)
+            ok[s : s + (1 << 15)] = c[i] + c[j] - apart >= 2 * need[s : s + (1 << 15)]
+        return ok
 
     def run(batches):
         held, n_held, rest = [], 0, None
 
         def cross(rows):
             nonlocal n_held
-            token, doc, n, l, pos, part = rows
+            token, doc, n, l, pos, part, c, *m = rows
             edge = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1], [True])))
             for s, e in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
                 for i in range(s, e, 1024):
                     for j in range(i, e, 4096):
                         x, y = slice(i, min(i + 1024, e)), slice(j, min(j + 4096, e))
                         least = np.minimum(l[x, None], l[None, y])
-                        room = least - (percent * (n[x, None] + n[None, y]) + both - 1) // both
+                        need = (percent * (n[x, None] + n[None, y]) + both - 1) // both
+                        room = least - need
                         ok = (part[x, None] != part[None, y]) & (pos[x, None] < n[x, None] + room) & (pos[None, y] < n[None, y] + room)
                         ok &= np.arange(i, x.stop)[:, None] < np.arange(j, y.stop)[None, :]
                         a, b = np.nonzero(ok)
+                        fit = near(need[a, b], c, m, x, y, a, b)
+                        a, b = a[fit], b[fit]
                         if len(a):
                             held.append((np.minimum(doc[x][a], doc[y][b]), np.maximum(doc[x][a], doc[y][b]), np.ones(len(a), np.int64), least[a, b].astype(np.int64)))
                             n_held += len(a)
@@ -218,11 +250,11 @@ def matched(own: DataFrame, percent: int, held_pairs: int = 500_000) -> DataFram
 
         def fold():
             nonlocal held, n_held
-            a, b, m, l = (np.concatenate([h[k] for h in held]) for k in range(4))
+            a, b, times, l = (np.concatenate([h[k] for h in held]) for k in range(4))
             order = np.lexsort((b, a))
-            a, b, m, l = a[order], b[order], m[order], l[order]
+            a, b, times, l = a[order], b[order], times[order], l[order]
             first = np.flatnonzero(np.concatenate(([True], (a[1:] != a[:-1]) | (b[1:] != b[:-1]))))
-            held = [(a[first], b[first], np.add.reduceat(m, first), np.minimum.reduceat(l, first))]
+            held = [(a[first], b[first], np.add.reduceat(times, first), np.minimum.reduceat(l, first))]
             n_held = len(first)
 
         def out():
@@ -298,7 +330,7 @@ def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int =
         own = written(postings.join(parts, "doc", "left").withColumn("part", F.coalesce("part", "doc")), "own")
     mixed = own.groupBy("token").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("token")
     own = written(own.join(mixed, "token"), "mixed")
-    pairs = matched(own, percent).groupBy("a", "b").agg(F.sum("matches").alias("matches"), F.min("least").alias("least")).where("matches >= least").select("a", "b")
+    pairs = matched(own.join(marks(reps), "doc"), percent).groupBy("a", "b").agg(F.sum("matches").alias("matches"), F.min("least").alias("least")).where("matches >= least").select("a", "b")
     found = verified(pairs, reps, percent)
     parts = components(found if stars is None else stars.unionAll(found))
     named = reps.select("n", "sig", "doc").join(parts.withColumnRenamed("node", "doc"), "doc", "left").select("n", "sig", F.coalesce("component", "doc").alias("component"))
