@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import column_bytes, free, ids_of, mix64, null_again, pieces_of, texts, written
+from .common import column_bytes, drop_written, free, ids_of, mix64, null_again, pieces_of, texts, written
 from .components import components
 from .suffix_kernel import BASE, UNBASE, powers
 
@@ -327,9 +327,14 @@ def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int =
         found = verified(pairs, reps, percent)
         parts = components(found if stars is None else stars.unionAll(found)).select(F.col("node").alias("doc"), F.col("component").alias("part"))
         stars = parts.where("doc <> part").select(F.col("doc").alias("a"), F.col("part").alias("b"))  # all links so far, as reach
-        own = written(postings.join(parts, "doc", "left").withColumn("part", F.coalesce("part", "doc")), "own")
+        old, own = own, written(postings.join(parts, "doc", "left").withColumn("part", F.coalesce("part", "doc")), "own")
+        if r:
+            drop_written(old)
     mixed = own.groupBy("token").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("token")
-    own = written(own.join(mixed, "token"), "mixed")
+    old, own = own, written(own.join(mixed, "token"), "mixed")
+    if pivot_rounds:
+        drop_written(old)
+        drop_written(postings)
     pairs = matched(own.join(marks(reps), "doc"), percent).groupBy("a", "b").agg(F.sum("matches").alias("matches"), F.min("least").alias("least")).where("matches >= least").select("a", "b")
     found = verified(pairs, reps, percent)
     parts = components(found if stars is None else stars.unionAll(found))
