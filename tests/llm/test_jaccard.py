@@ -60,6 +60,14 @@ def test_join(spark, seed):
     assert got == brute(rows)
 
 
+def test_bound_of_marks_loses_no_link(spark):
+    """Without pivots every pair passes the bound by marks."""
+    rows = corpus(3)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.join(df, pivot_rounds=0).collect()}
+    assert got == brute(rows)
+
+
 def test_shingles_count():
     import pyarrow as pa
 

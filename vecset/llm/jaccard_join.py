@@ -217,7 +217,7 @@ def matched(own: DataFrame, percent: int, held_pairs: int = 500_000) -> DataFram
         ok = np.zeros(len(a), bool)
         for s in range(0, len(a), 1 << 15):
             i, j = x.start + a[s : s + (1 << 15)], y.start + b[s : s + (1 << 15)]
-            apart = sum(np.bitwise_count(w[i] ^ w[j]).astype(np.int64) for w in m)
+            apart = sum(np.bitwise_count((w[i] ^ w[j]).view(np.uint64)).astype(np.int64) for w in m)
             ok[s : s + (1 << 15)] = c[i] + c[j] - apart >= 2 * need[s : s + (1 << 15)]
         return ok
 
