@@ -111,6 +111,44 @@ def test_packing_is_whole_and_tight(docs, rows):
     assert len(by_bin) <= -(-total // 128) + 2
 
 
+def best_fit_bins(sizes, capacity):
+    """Sequences of best fit, longest first, one piece at a time."""
+    rooms = []
+    for size in sorted(sizes, reverse=True):
+        fits = [r for r in rooms if r >= size]
+        if fits:
+            rooms.remove(min(fits))
+        rooms.append((min(fits) if fits else capacity) - size)
+    return len(rooms)
+
+
+def test_best_fit_by_classes_is_best_fit():
+    draw = np.random.default_rng(3)
+    for capacity in (1, 7, 64, 200):
+        for _ in range(20):
+            sizes = draw.integers(1, capacity + 1, size=int(draw.integers(1, 300))) // draw.integers(1, 4) + 1
+            sizes = np.minimum(sizes, capacity)
+            names, n = np.unique(sizes, return_counts=True)
+            plan = packing.best_fit(names.tolist(), n.tolist(), capacity)
+            spans = {}
+            for size, many in zip(names.tolist(), n.tolist(), strict=True):
+                for k in range(many):
+                    _, first, start, each, offset = max((r for r in plan.tolist() if r[0] == size and r[1] <= k), key=lambda r: r[1])
+                    spans.setdefault(start + (k - first) // each, []).append((offset + (k - first) % each * size, size))
+            for span in spans.values():
+                span.sort()
+                assert [a for a, _ in span] == [sum(m for _, m in span[:i]) for i in range(len(span))] and sum(m for _, m in span) <= capacity
+            assert sorted(spans) == list(range(best_fit_bins(sizes.tolist(), capacity)))
+
+
+def test_all_half_empty_sequences_meet_all_short_pieces(spark):
+    """One task makes 6,000 half-empty sequences, another has the 6,000 pieces that fill them."""
+    rows = [(i, 0, 0, 70, 0) for i in range(6000)] + [(6000 + i, 0, 0, 30, 0) for i in range(6000)]
+    pieces = spark.createDataFrame(rows, "doc_id long, piece int, start long, length int, crc long").coalesce(2)
+    got = packing.pack(pieces, 100).groupBy("sequence_id").agg(F.sum("length").alias("n"), F.min("offset").alias("a"), F.max("offset").alias("b"))
+    assert {tuple(r) for r in got.select("n", "a", "b").distinct().collect()} == {(100, 0, 70)} and got.count() == 6000
+
+
 def test_empty_tables(spark):
     none = spark.createDataFrame([], SCHEMA)
     assert token_files.read_documents(token_files.write_segments(none, JSON)).count() == 0

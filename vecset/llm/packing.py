@@ -1,9 +1,9 @@
-"""Best-fit packing by hierarchical residual packing.
+"""Best-fit packing over all pieces at once, by classes of length.
 
-Every task packs its own pieces best-fit, longest first. Full and nearly full sequences are done. The underfull ones go up a tree:
-the tasks of a level are merged, and their sequences are packed again as items. A task hands on its emptiest sequences only, of
-which there are at most `keep`; the fuller ones are done as they are. So no task of any level holds more than fan_in * keep
-sequences, and no piece is ever lost.
+Which sequences best fit makes, longest piece first, depends only on how many pieces there are of each length, and there are no more
+lengths than ids in a sequence. So the pieces are written and counted by length, best fit runs over the counts, a whole run of equal
+pieces or of equal sequences at a step, and each piece finds its sequence by its number among those of its length. No piece is left
+out, no sequence is closed while a piece of any task fits, and no task holds more than item_rows pieces.
 
 Cases: a null or empty text is its end id alone; repeated rows are packed as often as they come; an empty table gives an empty one;
 a document longer than a sequence is cut, its first piece taking the remainder.
@@ -12,43 +12,53 @@ a document longer than a sequence is cut, its first piece taking the remainder.
 from __future__ import annotations
 
 import zlib
+from bisect import bisect_left, insort
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import ids_of, null_again, pieces_of, ranges, texts, written
 from .tokens import json_encoder
 
-BIN_SCHEMA = "bin long, room int, done boolean, doc_id array<long>, piece array<int>, start array<long>, length array<int>, crc array<long>"
 FIELDS = ["doc_id", "piece", "start", "length", "crc"]
+PIECE_SCHEMA = "doc_id long, piece int, start long, length int, crc long"
 
 
-def best_fit(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:
-    """Bin of each item and room of each bin: longest first, each to the bin with the least room that takes it.
+def best_fit(sizes: list[int], counts: list[int], capacity: int) -> np.ndarray:
+    """Rows (size, nth, bin, each, offset), by size and nth: from the nth item of a size on, bins from that one on take `each` items,
+    the first of them at offset. Longest first, each item to the bin with the least room that takes it. Sizes from 1 to capacity.
 
-    Bins wait in a stack for each room; a bitset of the rooms that have one gives the next larger in one step.
+    Bins of equal room wait as ranges of numbers. A bin that an item goes to has the least room for the next of that size too.
     """
-    order = np.argsort(-sizes, kind="stable")
-    where, room, stacks, rooms = np.empty(len(sizes), np.int64), [], [[] for _ in range(capacity + 1)], 0
-    for i, size in zip(order.tolist(), sizes[order].tolist(), strict=True):
-        above = rooms >> size
-        if above:
-            fit = size + (above & -above).bit_length() - 1
-            b = stacks[fit].pop()
-            if not stacks[fit]:
-                rooms &= ~(1 << fit)
-        else:
-            fit, b = capacity, len(room)
-            room.append(capacity)
-        where[i], left = b, fit - size
-        room[b] = left
-        if left:
-            stacks[left].append(b)
-            rooms |= 1 << left
-    return where, np.array(room, np.int64)
+    steps, rooms, waiting, bins = [], [], {}, 0
+    for size, left in sorted(zip(sizes, counts, strict=True), reverse=True):
+        nth = 0
+        while left:
+            at = bisect_left(rooms, size)
+            if at < len(rooms):
+                room = rooms[at]
+                first, n = waiting[room].pop()
+                if not waiting[room]:
+                    del waiting[room], rooms[at]
+            else:
+                room, first, n = capacity, bins, -(-left // (capacity // size))
+                bins += n
+            each = room // size
+            took = min(left, n * each)
+            full, rest = divmod(took, each)
+            steps.append((size, nth, first, each, capacity - room))
+            nth, left = nth + took, left - took
+            part = int(rest > 0)
+            for more, start, many in ((room - each * size, first, full), (room - rest * size, first + full, part), (room, first + full + part, n - full - part)):
+                if more and many:
+                    if more not in waiting:
+                        waiting[more] = []
+                        insort(rooms, more)
+                    waiting[more].append((start, many))
+    return np.array(sorted(steps), np.int64).reshape(-1, 5)
 
 
 def cut_pieces(docs: DataFrame, path: str, capacity: int, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -71,79 +81,53 @@ def cut_pieces(docs: DataFrame, path: str, capacity: int, end_id: int = 0, id_co
                 ids = np.repeat(ids_of(part.column("doc_id")), n)
                 yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(k.astype(np.int32)), pa.array(start), pa.array(length.astype(np.int32)), pa.array(crc)], names=FIELDS)
 
-    return texts(docs, id_col, text_col).mapInArrow(run, "doc_id long, piece int, start long, length int, crc long")
+    return texts(docs, id_col, text_col).mapInArrow(run, PIECE_SCHEMA)
 
 
-def _bins(table: pa.Table, counts: np.ndarray, capacity: int, near: int, keep: int, name: int, last: bool) -> pa.Table:
-    """Packs the rows of a table of items. table: the items' pieces one after the other; counts: pieces of each item."""
-    length = table.column("length").to_numpy().astype(np.int64)
-    starts = np.cumsum(counts) - counts
-    where, room = best_fit(np.add.reduceat(length, starts) if len(counts) else np.zeros(0, np.int64), capacity)
-    order = np.argsort(where, kind="stable")
-    rows = table.take(pa.array(ranges(starts[order], counts[order])))
-    n = np.bincount(where, weights=counts, minlength=len(room)).astype(np.int64)
-    done = np.full(len(room), last) | (room <= near)
-    live = np.flatnonzero(~done)
-    if len(live) > keep:
-        done[live[np.argsort(-room[live], kind="stable")[keep:]]] = True
-    at = pa.array(np.concatenate(([0], np.cumsum(n))).astype(np.int32))
-    lists = [pa.ListArray.from_arrays(at, rows.column(f).combine_chunks()) for f in FIELDS]
-    return pa.table([pa.array((np.int64(name) << np.int64(32)) + np.arange(len(room))), pa.array(room.astype(np.int32)), pa.array(done), *lists], names=["bin", "room", "done", *FIELDS])
+def pack(pieces: DataFrame, capacity: int = 2048, item_rows: int = 200_000) -> DataFrame:
+    """(doc_id, piece, start, length, crc, sequence_id, offset) of pieces of 1 to capacity ids."""
 
+    def numbered(held: list[pa.RecordBatch], block: int):
+        """The pieces with their block and their number among the block's pieces of their length."""
+        table = pa.Table.from_batches(held)
+        length = table.column("length").to_numpy()
+        order = np.argsort(length, kind="stable")
+        n = np.unique(length, return_counts=True)[1]
+        nth = np.empty(len(length), np.int64)
+        nth[order] = ranges(np.zeros(len(n)), n)
+        yield from table.append_column("block", pa.array(np.full(len(nth), block))).append_column("nth", pa.array(nth)).to_batches()
 
-def pack(pieces: DataFrame, capacity: int = 2048, near: int = 8, keep: int = 4096, fan_in: int = 8, item_rows: int = 200_000) -> DataFrame:
-    """(doc_id, piece, start, length, crc, sequence_id, offset) of pieces no longer than capacity."""
-
-    def local(batches):
-        """A task's own pieces; at most item_rows of them at once."""
+    def number(batches):
         task, k, held, size = TaskContext.get().partitionId(), 0, [], 0
         for batch in batches:
             held.append(batch)
             size += batch.num_rows
             if size >= item_rows:
-                yield from _bins(pa.Table.from_batches(held), np.ones(size, np.int64), capacity, near, keep, (task << 10) + k, False).to_batches()
+                yield from numbered(held, (task << 32) + k)
                 held, size, k = [], 0, k + 1
         if size:
-            yield from _bins(pa.Table.from_batches(held), np.ones(size, np.int64), capacity, near, keep, (task << 10) + k, False).to_batches()
-
-    def merge(level: int, last: bool):
-        def run(batches):
-            held = [b for b in batches if b.num_rows]
-            if not held:
-                return
-            t = pa.Table.from_batches(held).combine_chunks()
-            counts = t.column("doc_id").combine_chunks().value_lengths().to_numpy().astype(np.int64)
-            flat = pa.table([t.column(f).combine_chunks().flatten() for f in FIELDS], names=FIELDS)
-            yield from _bins(flat, counts, capacity, near, keep, (level << 24) + TaskContext.get().partitionId(), last).to_batches()
-
-        return run
-
-    bins = written(pieces.mapInArrow(local, BIN_SCHEMA), "bins")
-    done, groups, level = [bins.where("done")], max(1, bins.rdd.getNumPartitions()), 1
-    while True:
-        groups, last = -(-groups // fan_in), groups <= fan_in
-        up = bins.where("not done")
-        up = up.repartition(groups, F.pmod(F.col("bin").bitwiseXOR(F.shiftright("bin", 32)), F.lit(groups))) if groups > 1 else up.coalesce(1)
-        bins = written(up.mapInArrow(merge(level, last), BIN_SCHEMA), "bins")
-        done.append(bins.where("done"))
-        level += 1
-        if last:
-            break
-    out = done[0]
-    for d in done[1:]:
-        out = out.unionAll(d)
-
-    def rows(batches):
+            yield from numbered(held, (task << 32) + k)
+
+    items = written(pieces.mapInArrow(number, f"{PIECE_SCHEMA}, block long, nth long"), "pieces")
+    counts = written(items.groupBy("block", "length").agg(F.count("*").alias("n")), "counts")
+    total = counts.groupBy("length").agg(F.sum("n").alias("n")).toArrow()
+    plan = best_fit(total.column("length").to_pylist(), total.column("n").to_pylist(), capacity)
+    before = Window.partitionBy("length").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    base = counts.select("block", "length", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+
+    def place(batches):
+        wide = int(plan[:, 1].max(initial=0)).bit_length()
+        keys = (plan[:, 0] << wide) + plan[:, 1]
         for b in batches:
-            n = b.column("doc_id").value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
-            flat = [b.column(f).flatten() for f in FIELDS]
-            length = flat[3].to_numpy().astype(np.int64)
-            offset = np.cumsum(length) - length
-            first = np.cumsum(n) - n
-            offset = offset - np.repeat(offset[first[n > 0]], n[n > 0]) if len(offset) else offset
-            yield pa.RecordBatch.from_arrays([*flat, pa.array(np.repeat(b.column("bin").to_numpy(), n)), pa.array(offset)], names=[*FIELDS, "sequence_id", "offset"])
-
-    return out.mapInArrow(rows, "doc_id long, piece int, start long, length int, crc long, sequence_id long, offset long")
+            length = b.column("length").to_numpy().astype(np.int64)
+            nth = b.column("base").to_numpy() + b.column("nth").to_numpy()
+            # the last step of a length may hold numbers with more bits than any step's first
+            at = np.searchsorted(keys, (length << wide) + np.minimum(nth, (1 << wide) - 1), "right") - 1
+            _, first, start, each, offset = plan[at].T
+            k = nth - first
+            yield pa.RecordBatch.from_arrays([*(b.column(f) for f in FIELDS), pa.array(start + k // each), pa.array(offset + k % each * length)], names=[*FIELDS, "sequence_id", "offset"])
+
+    return items.join(base, ["block", "length"]).select(*FIELDS, "nth", "base").mapInArrow(place, f"{PIECE_SCHEMA}, sequence_id long, offset long")
 
 
 def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, end_id: int = 0, **options) -> DataFrame:
