@@ -110,6 +110,34 @@ def test_engines_agree_without_limit(index):
     assert want.exceptAll(kernel).count() == 0 and kernel.exceptAll(want).count() == 0
 
 
+def test_search_frontier_runs_to_its_end(spark, monkeypatch):
+    """The registered key on a chain of eight sets in two clusters, which takes more than four rounds: with ef above all sets the
+    supersteps return what reachability gives."""
+    from vecset.queries import graph_queries
+
+    class Chain:
+        def __init__(self, *_):
+            links = [(a, a + 1) for a in range(7)]
+            self.adj = spark.createDataFrame([p for a, b in links for p in ((a, b), (b, a))], "src long, dst long")
+            self.mem = spark.createDataFrame([(s, int(s > 5)) for s in range(8)] + [(5, 1)], "set_id long, cluster_id int")
+            self.codes = spark.createDataFrame([(s, s) for s in range(8)], "set_id long, code int")
+            self.query_codes = spark.createDataFrame([(1, 0, 0), (1, 1, 7), (2, 0, 5)], "query_id long, vec_no int, code int")
+
+        def code_sims(self):
+            return spark.createDataFrame([(a, b, (a * 5 + b * 11) % 17 + b) for a in (0, 5, 7) for b in range(8)], "a int, b int, s long")
+
+        def routing(self, t=1):
+            return spark.createDataFrame([(1, 0), (1, 1), (2, 0)], "query_id long, cluster_id int"), spark.createDataFrame([(1, 0, 0), (2, 0, 0)], "query_id long, cluster_id int, set_id long")
+
+    monkeypatch.setattr(graph_queries, "Index", Chain)
+    f = Chain()
+    routed, entries = f.routing()
+    want = S.search_exhaustive(entries, f.adj, f.mem, routed, f.query_codes, f.codes, f.code_sims(), 10)
+    rows = lambda d: sorted(map(tuple, d.select("query_id", "set_id", "score", "rnk").collect()))
+    got = rows(QUERIES["search_frontier"](spark, SF))
+    assert got == rows(want) and {q: sum(r[0] == q for r in got) for q in (1, 2)} == {1: 8, 2: 6}
+
+
 def test_probing_all_postings_is_exact(index):
     from vecset.operators import baselines as B
 

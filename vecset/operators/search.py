@@ -40,21 +40,21 @@ def qch(query_codes: DataFrame, set_codes: DataFrame, code_sims: DataFrame) -> D
     return chamfer(pairs)
 
 
-def reachable(entries: DataFrame, edges: DataFrame, membership: DataFrame | None, routed: DataFrame | None, most_rounds: int = 64) -> DataFrame:
-    """(query_id, set_id) that a search without limit comes to. With membership and routed: through sets of the query's clusters alone."""
+def reachable(entries: DataFrame, edges: DataFrame, membership: DataFrame | None, routed: DataFrame | None) -> DataFrame:
+    """(query_id, set_id) that a search without limit comes to, in as many rounds as that takes. With membership and routed: through
+    sets of the query's clusters alone."""
     step = edges.select("src", "dst").distinct()
     if membership is not None:
         allowed = cut(routed.join(membership.select("set_id", "cluster_id"), "cluster_id").select("query_id", F.col("set_id")).distinct())
     seen = front = cut(entries.select("query_id", "set_id").distinct())
-    for _ in range(most_rounds):
+    while True:
         new = front.join(step, front.set_id == step.src).select("query_id", F.col("dst").alias("set_id")).distinct()
         if membership is not None:
             new = new.join(allowed, ["query_id", "set_id"], "left_semi")
         front = cut(new.join(seen, ["query_id", "set_id"], "left_anti"))
         if not front.limit(1).count():
-            break
+            return seen
         seen = cut(seen.unionAll(front))
-    return seen
 
 
 def search_exhaustive(entries, edges, membership, routed, query_codes, set_codes, code_sims, k: int) -> DataFrame:
@@ -85,19 +85,18 @@ def superstep(state: DataFrame, edges: DataFrame, allowed: DataFrame, scores: Da
     return both.where((F.col("place") <= ef) | (F.col("expanded") == 1)).drop("place")
 
 
-def search_frontier(entries, edges, membership, routed, query_codes, set_codes, code_sims, k: int, ef: int, rounds: int = 64) -> DataFrame:
-    """Beam search by supersteps, for indexes that no task holds whole: stops when a round expands nothing."""
+def search_frontier(entries, edges, membership, routed, query_codes, set_codes, code_sims, k: int, ef: int) -> DataFrame:
+    """Beam search by supersteps, for indexes that no task holds whole: ends when a round expands nothing, however many it takes."""
     allowed = cut(routed.join(membership.select("set_id", "cluster_id"), "cluster_id").select("query_id", "set_id").distinct())
     scores = cut(qch(query_codes, set_codes, code_sims).join(allowed, ["query_id", "set_id"], "left_semi"))
     state = entries.join(scores, ["query_id", "set_id"]).groupBy("query_id", "set_id", "score").agg(F.min("cluster_id").alias("path"))
     state, last = cut(state.select("query_id", "path", "set_id", "score", F.lit(0).alias("expanded"))), -1
-    for _ in range(rounds):
+    while True:
         state = cut(superstep(state, edges, allowed, scores, ef))
         done = state.agg(F.sum("expanded")).first()[0] or 0
         if done == last:
-            break
+            return top_k(state.select("query_id", "set_id", "score"), k)
         last = done
-    return top_k(state.select("query_id", "set_id", "score"), k)
 
 
 def search_kernel(queries: DataFrame, routed: DataFrame, entries: DataFrame, edges: DataFrame, membership: DataFrame, coded: DataFrame, codebook: DataFrame, k: int, ef: int, multi_path: bool = True, guard: bool = True) -> DataFrame:
