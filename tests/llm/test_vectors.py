@@ -61,6 +61,24 @@ def test_near_duplicates(table, shard_rows):
     assert {k: (r["n_links"], r["component_id"], r["kept"]) for k, r in got.items()} == {k: (degree[k], low[k], low[k] == k) for k in low}
 
 
+@pytest.mark.parametrize("fault", ["no links", "narrow beams"])
+def test_audit_without_true_pairs(fault):
+    """One near pair, and none of an audited query: a graph that finds nothing must not pass the audit."""
+    draw = np.random.default_rng(8)
+    x, q = (V._unit(draw.normal(size=(600, 16))) for _ in range(2))
+    q[303] = V._unit(x[[77]] + 0.01 * draw.normal(size=16))[0]
+    graph = V.Graph(x)
+    if fault == "no links":
+        for links in graph.links:
+            links[:] = -1
+    else:
+        search = graph.search
+        graph.search = lambda q, beam, own=None: search(q, beam, own) if beam >= 64 else (np.full((len(q), beam), -1), np.full((len(q), beam), -3.0, np.float32))
+    want = set(zip(*np.nonzero(q @ x.T >= 0.98), strict=True))
+    assert want == {(303, 77)} and 303 not in np.linspace(0, 599, 128).astype(int)
+    assert set(zip(*V._found(graph, q, None, 0.98, 32, 128, 0.995), strict=True)) == want
+
+
 def test_nearest(table):
     rows, df = table
     got = {}

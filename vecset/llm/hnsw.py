@@ -144,6 +144,17 @@ class Graph:
             return np.zeros((0, beam), np.int64), np.zeros((0, beam), np.float32)
         return np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
 
+    def lost(self) -> np.ndarray:
+        """Points that the links of the lowest layer don't lead to from the entry."""
+        seen = np.zeros(len(self.x), bool)
+        front = np.array([self.entry] if len(self.x) else [], np.int64)
+        while len(front):
+            seen[front] = True
+            near = np.unique(self.links[0][front])
+            near = near[near >= 0]
+            front = near[~seen[near]]
+        return np.flatnonzero(~seen)
+
     def parts(self) -> list[bytes]:
         return [self.x.tobytes(), np.int64([self.entry, self.x.shape[1] if self.x.ndim == 2 else 0, self.degree]).tobytes(), *(x.tobytes() for x in self.links)]
 

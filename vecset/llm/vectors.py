@@ -37,25 +37,50 @@ def _unit(x: np.ndarray) -> np.ndarray:
 # Near-duplicates --------------------------------------------------------------------------------------------------------------
 
 
+def _scan(q: np.ndarray, x: np.ndarray, least: float) -> tuple[np.ndarray, np.ndarray]:
+    """(query, point) pairs with inner product >= least, by brute force."""
+    x, parts = x.astype(np.float64).T, [np.zeros((2, 0), np.int64)]
+    for a in range(0, len(q), 512):
+        i, j = np.nonzero(q[a : a + 512] @ x >= least)
+        parts.append(np.stack((i + a, j)))
+    return tuple(np.concatenate(parts, axis=1))
+
+
+def _planted(x: np.ndarray, cos: float) -> np.ndarray:
+    """A vector at that cosine from each of the unit vectors x, in a drawn direction."""
+    x = _unit(x.astype(np.float64))
+    side = np.random.default_rng(11).normal(size=x.shape)
+    side -= (side * x).sum(axis=1)[:, None] * x
+    size = np.sqrt((side * side).sum(axis=1))[:, None]
+    return _unit(cos * x + np.sqrt(max(0.0, 1 - cos * cos)) * np.where(size > 1e-9, side / np.maximum(size, 1e-9), 0))
+
+
 def _found(graph: Graph, q: np.ndarray, own: np.ndarray | None, least: float, beam: int, audit: int, recall: float) -> tuple[np.ndarray, np.ndarray]:
-    """(query, point) pairs with inner product >= least. The beam doubles until brute force over `audit` of the queries finds
-    no more than 1 - recall of their pairs missing; a query whose whole beam is that near is answered by a full scan."""
+    """(query, point) pairs with inner product >= least. The beam doubles until it finds `recall` both of `audit` points from vectors
+    planted at the least nearness that counts, so that there is always something to find, and of the pairs that brute force gives for
+    `audit` of the queries, a point's pair with itself left out. A query whose whole beam is that near is answered by a full scan, and
+    points that no link leads to are compared with every query."""
     sample = np.unique(np.linspace(0, len(q) - 1, min(audit, len(q))).astype(int))
     truth = q[sample] @ graph.x.astype(np.float64).T >= least
+    if own is not None:
+        truth[np.arange(len(sample)), own[sample]] = False
+    goal = np.unique(np.linspace(0, len(graph.x) - 1, min(audit, len(graph.x))).astype(int))
+    probes, lost = _planted(graph.x[goal], min(1.0, least + 1e-5)), graph.lost()
+    strays = np.isin(goal, lost)
     while True:
         if beam >= len(graph.x):
-            r, c = np.nonzero(q @ graph.x.astype(np.float64).T >= least)
-            return r, c
+            return _scan(q, graph.x, least)
+        ids, sims = graph.search(probes, beam)
+        if ((ids == goal[:, None]).any(axis=1) | (sims[:, -1] >= least) | strays).sum() < recall * len(goal):
+            beam *= 2
+            continue
         ids, sims = graph.search(q, beam, own)
         hit = (sims >= least) & (ids >= 0)
         over = np.flatnonzero(hit[:, -1])
         hit[over] = False
         r, c = np.nonzero(hit)
-        pairs = [(r, ids[r, c])]
-        for a in range(0, len(over), 512):
-            i, j = np.nonzero(q[over[a : a + 512]] @ graph.x.astype(np.float64).T >= least)
-            pairs.append((over[a : a + 512][i], j))
-        r, c = (np.concatenate([p[k] for p in pairs]) for k in (0, 1))
+        full, stray = _scan(q[over], graph.x, least), _scan(q, graph.x[lost], least)
+        r, c = np.concatenate((r, over[full[0]], stray[0])), np.concatenate((ids[r, c], full[1], lost[stray[1]]))
         seen = np.zeros(truth.shape, bool)
         at = np.full(len(q), -1)
         at[sample] = np.arange(len(sample))
