@@ -75,6 +75,13 @@ def test_url_templates(spark):
     assert url_filter.judge(df.where("page_id < 0").select("page_id", "url"), RULES).count() == 0
 
 
+def test_url_templates_of_deep_paths(spark):
+    """Good and bad branches part at the fifth segment."""
+    df = spark.createDataFrame([(i, f"http://h.com/a/b/c/d/{'spam' if i % 2 else 'news'}/p{i}", i % 2) for i in range(200)], "page_id long, url string, bad int")
+    got = {r["page_id"]: r["verdict"] for r in url_filter.judge(df.select("page_id", "url"), RULES, df.select("page_id", "bad")).collect()}
+    assert got == {i: "block" if i % 2 else "allow" for i in range(200)}
+
+
 @pytest.fixture(scope="module")
 def stages(spark):
     docs, out = spark.read.parquet(f"{SF}/documents.parquet"), []

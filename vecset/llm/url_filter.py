@@ -14,7 +14,8 @@ purity; a host's parent is the whole table. Templates with purity >= `reject_pur
 Shapes are counted before anything is joined, so a host with a third of all rows sends one row for each shape and task.
 
 Cases: a null url, or one without ://, has an empty host and path and the root template; null labels are left out; repeated rows
-stay, each with its own verdict; an empty table gives an empty one; other columns are not read. Paths deeper than `depth` end in **.
+stay, each with its own verdict; an empty table gives an empty one; other columns are not read. The tree has as many levels as
+the deepest path has segments.
 """
 
 from __future__ import annotations
@@ -50,12 +51,11 @@ def rule_columns(rules: list[tuple[str, str]]) -> tuple[Column, Column]:
     return rule, verdict
 
 
-def shape(path: Column, depth: int) -> Column:
-    parts = F.filter(F.split(F.regexp_replace(path, "[0-9]+", "<n>"), "/"), lambda x: x != "")
-    return F.when(F.size(parts) > depth, F.concat(F.slice(parts, 1, depth), F.array(F.lit("**")))).otherwise(parts)
+def shape(path: Column) -> Column:
+    return F.filter(F.split(F.regexp_replace(path, "[0-9]+", "<n>"), "/"), lambda x: x != "")
 
 
-def templates(leaves: DataFrame, depth: int = 4, prior_weight: float = 10.0, max_children: int = 20, head_share: float = 0.5, min_labelled: int = 20, z_merge: float = 1.96) -> DataFrame:
+def templates(leaves: DataFrame, prior_weight: float = 10.0, max_children: int = 20, head_share: float = 0.5, min_labelled: int = 20, z_merge: float = 1.96) -> DataFrame:
     """(host, shape, template, purity) of leaves (host, shape, n, n_labelled, n_bad)."""
     base = leaves.agg(((F.sum("n_bad") + 0.5) / (F.sum("n_labelled") + 1.0)).alias("base"))
 
@@ -64,7 +64,7 @@ def templates(leaves: DataFrame, depth: int = 4, prior_weight: float = 10.0, max
         return (F.sum("n_bad").over(own) + prior_weight * parent) / (F.sum("n_labelled").over(own) + prior_weight)
 
     tree = leaves.join(F.broadcast(base)).withColumn("template", F.lit("/")).withColumn("purity", smoothed(F.col("base"), "host")).drop("base")
-    for level in range(depth + 1):
+    for level in range(leaves.agg(F.max(F.size("shape"))).first()[0] or 0):
         tree = tree.withColumn("part", F.get("shape", F.lit(level)))
         sums = [F.sum(c).alias(c) for c in ("n", "n_labelled", "n_bad")]
         child = tree.where(F.col("part").isNotNull()).groupBy("host", "template", "part").agg(*sums)
@@ -81,16 +81,16 @@ def templates(leaves: DataFrame, depth: int = 4, prior_weight: float = 10.0, max
     return tree
 
 
-def judge(pages: DataFrame, rules: list[tuple[str, str]], labelled: DataFrame | None = None, depth: int = 4, prior_weight: float = 10.0, reject_purity: float = 0.6, url: str = "url", key: str = "page_id", **tree_options) -> DataFrame:
+def judge(pages: DataFrame, rules: list[tuple[str, str]], labelled: DataFrame | None = None, prior_weight: float = 10.0, reject_purity: float = 0.6, url: str = "url", key: str = "page_id", **tree_options) -> DataFrame:
     """(page_id, host, path, rule, verdict, template, purity). labelled: (page_id, bad 0/1), at most one row a page; None: no labels."""
     rows = with_parts(pages, url, key)
     if labelled is not None:
         rows = rows.join(labelled.select("page_id", F.col("bad").cast("int").alias("bad")), "page_id", "left")
     else:
         rows = rows.withColumn("bad", F.lit(None).cast("int"))
-    rows = rows.withColumn("shape", shape(F.col("path"), depth))
+    rows = rows.withColumn("shape", shape(F.col("path")))
     leaves = written(rows.groupBy("host", "shape").agg(F.count("*").alias("n"), F.count("bad").alias("n_labelled"), F.coalesce(F.sum("bad"), F.lit(0)).alias("n_bad")), "leaves")
-    verdicts = templates(leaves, depth, prior_weight, **tree_options).select("host", "shape", "template", "purity")
+    verdicts = templates(leaves, prior_weight, **tree_options).select("host", "shape", "template", "purity")
     rule, verdict = rule_columns(rules)
     out = rows.select("page_id", "host", "path", "shape", rule.alias("rule"), verdict.alias("said")).join(verdicts, ["host", "shape"])
     said = F.coalesce("said", F.when(F.col("purity") >= reject_purity, F.lit("block")).otherwise(F.lit("allow")))
