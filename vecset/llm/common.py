@@ -18,6 +18,8 @@ def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir, or a new one where it is unset (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not found:
+        if not spark.sparkContext.master.split("[")[0] == "local":
+            raise ValueError("spark.checkpoint.dir is unset: a cluster's machines have no other folder in common")
         found = f"file://{tempfile.mkdtemp(prefix='shared-')}"
         spark.conf.set("spark.checkpoint.dir", found)
     return found.rstrip("/")
@@ -62,12 +64,12 @@ def column_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return flat, off - off[0]
 
 
-def pieces_of(batch: pa.RecordBatch, most_bytes: int, column: str = "text"):
+def pieces_of(batch: pa.RecordBatch, most_bytes: int, column: str = "text", most_rows: int = 1 << 20):
     """Slices of a batch that hold most_bytes of text each, or one row: bounds the memory of what follows."""
     _, off = column_bytes(batch.column(column))
     lo = 0
     while lo < batch.num_rows:
-        hi = max(lo + 1, int(np.searchsorted(off, off[lo] + most_bytes, "right")) - 1)
+        hi = min(max(lo + 1, int(np.searchsorted(off, off[lo] + most_bytes, "right")) - 1), lo + most_rows)
         yield batch.slice(lo, hi - lo)
         lo = hi
 
@@ -103,6 +105,30 @@ def null_again(df: DataFrame, *columns: str) -> DataFrame:
     return df.withColumns({c: F.when(F.col(c) != NO_ID, F.col(c)) for c in columns})
 
 
+_kept: dict = {}
+
+
+def kept(name: tuple, make):
+    """What a worker process keeps from task to task, one thing at a time: a task of another operator frees what the last one kept."""
+    if name not in _kept:
+        _kept.clear()
+        _kept[name] = make()
+    return _kept[name]
+
+
+def nothing_kept() -> None:
+    """Frees what an earlier task of this worker process kept."""
+    _kept.clear()
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that df doesn't have, whatever the case of its letters."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def free(df: DataFrame) -> None:
     """Lets Spark delete the shuffle files of plans that are no longer referenced."""
     import gc

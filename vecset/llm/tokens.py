@@ -15,7 +15,7 @@ import numpy as np
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
-from .common import ranges  # noqa: E402
+from .common import kept, ranges  # noqa: E402
 
 
 @functools.cache
@@ -85,7 +85,7 @@ class Encoder:
     most: chunks kept; beyond it those stay that were used twice since they came.
     """
 
-    def __init__(self, tokenizer, check=None, most: int = 800_000):
+    def __init__(self, tokenizer, check=None, most: int = 600_000):
         self.tokenizer, self.check, self.most = tokenizer, check, most
         vocab, byte = tokenizer.get_vocab(), set(byte_chars())
         self.width = np.zeros(max(vocab.values()) + 1, np.int64)
@@ -96,7 +96,7 @@ class Encoder:
     def clear(self) -> None:
         self.tail, self.whole, self.n = _Slots(self), {}, 0
         self.glued, self.alone, self.joined = [], [], []
-        self.flat, self.start, self.size, self.used = np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.flat, self.start, self.size, self.used = np.zeros(0, np.uint32), np.zeros(0, np.int32), np.zeros(0, np.int32), np.zeros(0, np.int32)
 
     def new(self, chunk: str, glue: bool) -> int:
         """glue: the chunk starts with one space or line end before a non-space, and ends with a non-space."""
@@ -144,7 +144,7 @@ class Encoder:
         self.tail, self.whole, self.n = tail, {k: to[v] for k, v in self.whole.items() if to[v] >= 0}, len(kept)
         self.flat = self.flat[ranges(self.start[kept], self.size[kept])]
         self.size = self.size[kept]
-        self.start, self.used = np.cumsum(self.size) - self.size, np.zeros(len(kept), np.int64)
+        self.start, self.used = (np.cumsum(self.size) - self.size).astype(np.int32), np.zeros(len(kept), np.int32)
 
     def cut(self, text: str) -> np.ndarray:
         """Slots of the text's chunks."""
@@ -177,7 +177,7 @@ class Encoder:
         if self.n == len(self.size):
             return
         old = len(self.size)
-        start, size = np.zeros(self.n - old, np.int64), np.zeros(self.n - old, np.int64)
+        start, size = np.zeros(self.n - old, np.int32), np.zeros(self.n - old, np.int32)
         flats, base = [self.flat], len(self.flat)
 
         def put(todo: list, ids: np.ndarray, sizes: np.ndarray) -> None:
@@ -215,7 +215,7 @@ class Encoder:
                     sizes = np.add.reduceat(self.size[parts[k]], np.cumsum(m) - m)
                     self.size[slots[some]], self.start[slots[some]] = sizes, len(self.flat) + np.cumsum(sizes) - sizes
                     self.flat = np.concatenate((self.flat, self.flat[ranges(self.start[parts[k]], self.size[parts[k]])]))
-        self.used = np.concatenate((self.used, np.zeros(self.n - old, np.int64)))
+        self.used = np.concatenate((self.used, np.zeros(self.n - old, np.int32)))
         self.glued, self.alone, self.joined = [], [], []
 
     def encode(self, texts: list) -> tuple[np.ndarray, np.ndarray]:
@@ -224,17 +224,16 @@ class Encoder:
         cuts = [self.cut(t or "") for t in texts]
         self.learn()
         slots = np.concatenate(cuts) if cuts else np.zeros(0, np.int64)
-        self.used += np.bincount(slots, minlength=self.n)
+        self.used += np.bincount(slots, minlength=self.n).astype(np.int32)
         size = self.size[slots]
         ends = np.concatenate(([0], np.cumsum(size)))
         at = np.concatenate(([0], np.cumsum([len(c) for c in cuts]))).astype(np.int64)
         return self.flat[ranges(self.start[slots], size)], np.diff(ends[at])
 
 
-@functools.cache
 def json_encoder(path: str) -> Encoder:
     """One for each worker process and file."""
-    return Encoder(load_json(path))
+    return kept(("json", path), lambda: Encoder(load_json(path)))
 
 
 @functools.cache
