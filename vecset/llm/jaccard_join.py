@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import column_bytes, drop_written, free, ids_of, mix64, null_again, pieces_of, texts, written
+from .common import column_bytes, drop_written, free, fresh, ids_of, mix64, null_again, nothing_kept, pieces_of, texts, written
 from .components import components
 from .suffix_kernel import BASE, UNBASE, powers
 
@@ -79,6 +79,7 @@ def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 <<
     document frequency. tokens is null where they are too few for any partner."""
 
     def ask(batches):
+        nothing_kept()
         part, k, held, size, n_docs = TaskContext.get().partitionId(), 0, [], 0, 0
 
         def out():
@@ -348,7 +349,8 @@ def one_of_each(docs: DataFrame, **options) -> DataFrame:
     """docs without those that link to a group whose least doc_id is another; of repeated rows with one doc_id and a set, one stays."""
     groups = join(docs, **options)
     keep = groups.where("doc_id is null or doc_id = component_id").select("doc_id").dropDuplicates(["doc_id"])
+    name = fresh(docs, "_n")
     order = Window.partitionBy("doc_id", F.xxhash64(F.coalesce("text", F.lit("")))).orderBy(F.lit(0))
     kept = docs.join(keep.where("doc_id is not null"), "doc_id", "left_semi")
-    once = kept.withColumn("_n", F.row_number().over(order)).where("_n = 1").drop("_n")
+    once = kept.withColumn(name, F.row_number().over(order)).where(F.col(name) == 1).drop(name)
     return once.select(*docs.columns).unionAll(docs.where("doc_id is null"))

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, column_bytes, free, pieces_of, written
+from .common import NO_ID, column_bytes, free, fresh, nothing_kept, pieces_of, written
 from .suffix_kernel import owners, repeated_windows
 
 #: Bytes of text that a kernel takes at once, and of a long text's parts.
@@ -38,6 +38,7 @@ def keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 def _segments(width: int):
     def run(batches):
+        nothing_kept()
         for batch in batches:
             for part in pieces_of(batch, PIECE):
                 flat, off = column_bytes(part.column("text"))
@@ -148,9 +149,12 @@ def _merged(column: pa.Array, i: int) -> list[tuple[int, int]]:
     return list(zip(lo[new].tolist(), hi[last].tolist(), strict=True))
 
 
-def _joined(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> DataFrame:
+def _joined(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, str]:
+    """docs with the spans found in them, and the name of that column, which docs don't have."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    return docs.withColumns({"_doc": F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)), "_tag": F.crc32(text.cast("binary"))}).join(found.select(F.col("doc").alias("_doc"), F.col("tag").alias("_tag"), F.col("spans").alias("_spans")), ["_doc", "_tag"], "left").drop("_doc", "_tag")
+    doc, tag, name = (fresh(docs, c) for c in ("_doc", "_tag", "_spans"))
+    keyed_ = docs.withColumns({doc: F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)), tag: F.crc32(text.cast("binary"))})
+    return keyed_.join(found.select(F.col("doc").alias(doc), F.col("tag").alias(tag), F.col("spans").alias(name)), [doc, tag], "left").select(*docs.columns, name), name
 
 
 def report(docs: DataFrame, width: int = 400, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
@@ -162,7 +166,7 @@ def report(docs: DataFrame, width: int = 400, id_col: str = "doc_id", text_col:
                 raw, off = column_bytes(part.column("text"))
                 out = []
                 for i in range(part.num_rows):
-                    data, at, sha, gone, runs = raw[off[i] : off[i + 1]], 0, hashlib.sha256(), 0, _merged(part.column("_spans"), i)
+                    data, at, sha, gone, runs = raw[off[i] : off[i + 1]], 0, hashlib.sha256(), 0, _merged(part.column(name), i)
                     for a, b in runs:
                         sha.update(data[at:a])
                         at, gone = b, gone + b - a
@@ -173,14 +177,15 @@ def report(docs: DataFrame, width: int = 400, id_col: str = "doc_id", text_col:
     found = spans(docs, width, id_col=id_col, text_col=text_col, **options)
     free(docs)
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    return _joined(rows, found, "doc_id", "text").mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    joined, name = _joined(rows, found, "doc_id", "text")
+    return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def cleaned(docs: DataFrame, width: int = 400, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """docs with the kept bytes as text. Bytes of a character that a cut goes through become U+FFFD. No row is lost; null texts stay."""
     found = spans(docs, width, id_col=id_col, text_col=text_col, **options)
     free(docs)
-    joined = _joined(docs, found, id_col, text_col)
+    joined, name = _joined(docs, found, id_col, text_col)
 
     def run(batches):
         for batch in batches:
@@ -188,13 +193,13 @@ def cleaned(docs: DataFrame, width: int = 400, id_col: str = "doc_id", text_col:
                 raw, off = column_bytes(part.column(text_col))
                 texts = part.column(text_col).to_pylist()
                 for i in range(part.num_rows):
-                    if runs := _merged(part.column("_spans"), i):
+                    if runs := _merged(part.column(name), i):
                         data, keep, at = raw[off[i] : off[i + 1]], [], 0
                         for a, b in runs:
                             keep.append(data[at:a].tobytes())
                             at = b
                         texts[i] = (b"".join(keep) + data[at:].tobytes()).decode("utf-8", errors="replace")
-                names = [c for c in part.schema.names if c != "_spans"]
+                names = [c for c in part.schema.names if c != name]
                 yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()) if c == text_col else part.column(c) for c in names], names=names)
 
-    return joined.select(*docs.columns, "_spans").mapInArrow(run, docs.schema)
+    return joined.mapInArrow(run, docs.schema)
