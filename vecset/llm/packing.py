@@ -61,13 +61,13 @@ def best_fit(sizes: list[int], counts: list[int], capacity: int) -> np.ndarray:
     return np.array(sorted(steps), np.int64).reshape(-1, 5)
 
 
-def cut_pieces(docs: DataFrame, path: str, capacity: int, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, piece, start, length, crc): the pieces of every document."""
+def _cut(path: str, capacity: int, end_id: int):
+    """Batches of (doc_id, text) to batches of pieces."""
 
     def run(batches):
         encoder = json_encoder(path)
         for batch in batches:
-            for part in pieces_of(batch, 2 << 20):
+            for part in pieces_of(batch, 1 << 20):
                 flat, lens = encoder.encode(part.column("text").to_pylist())
                 flat = np.insert(flat, np.cumsum(lens), end_id).astype("<u4")
                 lens = lens + 1
@@ -81,14 +81,18 @@ def cut_pieces(docs: DataFrame, path: str, capacity: int, end_id: int = 0, id_co
                 ids = np.repeat(ids_of(part.column("doc_id")), n)
                 yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(k.astype(np.int32)), pa.array(start), pa.array(length.astype(np.int32)), pa.array(crc)], names=FIELDS)
 
-    return texts(docs, id_col, text_col).mapInArrow(run, PIECE_SCHEMA)
+    return run
 
 
-def pack(pieces: DataFrame, capacity: int = 2048, item_rows: int = 200_000) -> DataFrame:
-    """(doc_id, piece, start, length, crc, sequence_id, offset) of pieces of 1 to capacity ids."""
+def cut_pieces(docs: DataFrame, path: str, capacity: int, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, piece, start, length, crc): the pieces of every document."""
+    return texts(docs, id_col, text_col).mapInArrow(_cut(path, capacity, end_id), PIECE_SCHEMA)
+
+
+def _number(item_rows: int = 200_000):
+    """Batches of pieces to the same with their block and their number among the block's pieces of their length."""
 
     def numbered(held: list[pa.RecordBatch], block: int):
-        """The pieces with their block and their number among the block's pieces of their length."""
         table = pa.Table.from_batches(held)
         length = table.column("length").to_numpy()
         order = np.argsort(length, kind="stable")
@@ -97,7 +101,7 @@ def pack(pieces: DataFrame, capacity: int = 2048, item_rows: int = 200_000) -> D
         nth[order] = ranges(np.zeros(len(n)), n)
         yield from table.append_column("block", pa.array(np.full(len(nth), block))).append_column("nth", pa.array(nth)).to_batches()
 
-    def number(batches):
+    def run(batches):
         task, k, held, size = TaskContext.get().partitionId(), 0, [], 0
         for batch in batches:
             held.append(batch)
@@ -108,7 +112,19 @@ def pack(pieces: DataFrame, capacity: int = 2048, item_rows: int = 200_000) -> D
         if size:
             yield from numbered(held, (task << 32) + k)
 
-    items = written(pieces.mapInArrow(number, f"{PIECE_SCHEMA}, block long, nth long"), "pieces")
+    return run
+
+
+ITEM_SCHEMA = f"{PIECE_SCHEMA}, block long, nth long"
+
+
+def pack(pieces: DataFrame, capacity: int = 2048, item_rows: int = 200_000) -> DataFrame:
+    """(doc_id, piece, start, length, crc, sequence_id, offset) of pieces of 1 to capacity ids."""
+    return _placed(pieces.mapInArrow(_number(item_rows), ITEM_SCHEMA), capacity)
+
+
+def _placed(items: DataFrame, capacity: int) -> DataFrame:
+    items = written(items, "pieces")
     counts = written(items.groupBy("block", "length").agg(F.count("*").alias("n")), "counts")
     total = counts.groupBy("length").agg(F.sum("n").alias("n")).toArrow()
     plan = best_fit(total.column("length").to_pylist(), total.column("n").to_pylist(), capacity)
@@ -132,5 +148,7 @@ def pack(pieces: DataFrame, capacity: int = 2048, item_rows: int = 200_000) -> D
 
 def pack_documents(docs: DataFrame, path: str, capacity: int = 2048, end_id: int = 0, **options) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32, sequence_id, offset)."""
-    out = null_again(pack(cut_pieces(docs, path, capacity, end_id), capacity, **options), "doc_id")
+    cut, number = _cut(path, capacity, end_id), _number(**options)
+    items = texts(docs, "doc_id", "text").mapInArrow(lambda batches: number(cut(batches)), ITEM_SCHEMA)  # one worker a task, not two
+    out = null_again(_placed(items, capacity), "doc_id")
     return out.select("doc_id", "piece", "start", F.col("length").cast("long").alias("length"), F.col("crc").alias("ids_crc32"), "sequence_id", "offset")
