@@ -15,8 +15,9 @@ pair needs as many matches as the smaller l of its two documents, inside the pre
 4. Links give components; each class member has its class's.
 
 Cases: null or empty texts and texts without words have an empty set and no links; with one to four words the whole sequence is the
-one shingle; repeated rows are copies; an empty table gives an empty one; other columns are not read. Shingles are told apart by
-56 bits of a hash, sets by 64 bits and their size. The postings of one shingle take 8 bytes a document in the bucket that counts it.
+one shingle; repeated rows are copies; an empty table gives an empty one; other columns are not read; very long texts go whole.
+Shingles are told apart by 64 bits of a hash, sets by 64 bits and their size. A bucket of shingles is counted in one task: their
+number follows the size of the texts. The postings of one shingle take 8 bytes a document in the bucket that counts it.
 """
 
 from __future__ import annotations
@@ -70,13 +71,38 @@ def shingles(flat: np.ndarray, off: np.ndarray, words: int = 5) -> tuple[np.ndar
     return t[new], h[new]
 
 
-BITS = 8  # of the hash, that name a bucket
+#: Bytes of text whose shingles one bucket counts.
+BUCKET_BYTES = 32 << 20
+
+
+def bucket_bits(rows: DataFrame) -> int:
+    """Bits of the hash that name a bucket: 8 at least, more where the texts ask for more buckets of BUCKET_BYTES."""
+    size = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    return min(22, max(8, (-(-size // BUCKET_BYTES) - 1).bit_length()))
+
+
+def _coded(h: np.ndarray, t: np.ndarray) -> bytes:
+    """Hashes without their top byte, which a bucket knows, and the documents they come from, in order: 8 bytes for each pair, and 4
+    for each run of 256 documents."""
+    runs = np.bincount(t >> 8).astype(np.uint32)
+    return b"".join((h.astype(np.uint32).tobytes(), (h >> np.uint64(32)).astype(np.uint16).tobytes(), (h >> np.uint64(48)).astype(np.uint8).tobytes(), t.astype(np.uint8).tobytes(), runs.tobytes(), np.uint32(len(runs)).tobytes()))
+
+
+def _uncoded(blob: bytes, top: int) -> tuple[np.ndarray, np.ndarray]:
+    k = int(np.frombuffer(blob, np.uint32, 1, len(blob) - 4)[0])
+    m = (len(blob) - 4 - 4 * k) // 8
+    low, mid, high, t = (np.frombuffer(blob, kind, m, at * m) for kind, at in ((np.uint32, 0), (np.uint16, 4), (np.uint8, 6), (np.uint8, 7)))
+    run = np.repeat(np.arange(k, dtype=np.uint16), np.frombuffer(blob[8 * m : 8 * m + 4 * k], np.uint32))
+    return low | mid.astype(np.uint64) << np.uint64(32) | high.astype(np.uint64) << np.uint64(48) | np.uint64(top) << np.uint64(56), t | run << np.uint16(8)
+
+
 SHARED = "doc long, n long, sig long, tokens binary, rarity binary"
 
 
 def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 << 20) -> DataFrame:
     """(doc, n, sig, tokens, rarity): the shingles of each document that another has too, rare ones first, and 8 log2 of their
     document frequency. tokens is null where they are too few for any partner."""
+    bits = bucket_bits(docs)
 
     def ask(batches):
         nothing_kept()
@@ -84,17 +110,15 @@ def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 <<
 
         def out():
             t, h = np.concatenate([x[0] for x in held]), np.concatenate([x[1] for x in held])
-            bucket = (h >> np.uint64(64 - BITS)).astype(np.uint16)
+            bucket = (h >> np.uint64(64 - bits)).astype(np.uint16 if bits <= 16 else np.uint32)
             order = np.argsort(bucket, kind="stable")
-            edge = np.searchsorted(bucket[order], np.arange((1 << BITS) + 1))
+            named, start = np.unique(bucket[order], return_index=True)
             t, h = t[order].astype(np.uint16), h[order]
-            low, mid = h.astype(np.uint32), (h >> np.uint64(32)).astype(np.uint16)
             name = (part << 24) + k
-            blobs = [low[a:b].tobytes() + mid[a:b].tobytes() + t[a:b].tobytes() for a, b in zip(edge[:-1], edge[1:], strict=True)]
+            blobs = [_coded(h[a:b], t[a:b]) for a, b in zip(start, np.append(start, len(h))[1:], strict=True)]
             head = b"".join(np.concatenate([x[c] for x in held]).tobytes() for c in (2, 3, 4))
-            named = [i for i, b in enumerate(blobs) if b]
-            buckets = [*named, name % (1 << BITS)]
-            return pa.RecordBatch.from_arrays([pa.array(buckets, pa.int32()), pa.array([name] * len(buckets), pa.int64()), pa.array([*(blobs[i] for i in named), None], pa.binary()), pa.array([None] * len(named) + [head], pa.binary())], names=["bucket", "flush", "blob", "head"])
+            buckets = [*named.tolist(), name % (1 << bits)]
+            return pa.RecordBatch.from_arrays([pa.array(buckets, pa.int32()), pa.array([name] * len(buckets), pa.int64()), pa.array([*blobs, None], pa.binary()), pa.array([None] * len(named) + [head], pa.binary())], names=["bucket", "flush", "blob", "head"])
 
         for batch in batches:
             for piece in pieces_of(batch, 1 << 18):
@@ -114,12 +138,12 @@ def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 <<
             yield out()
 
     def count(group: pa.Table) -> pa.Table:
-        blobs, flushes, bucket = group.column("blob").to_pylist(), group.column("flush").to_numpy(), np.uint64(group.column("bucket")[0].as_py())
+        blobs, flushes, bucket = group.column("blob").to_pylist(), group.column("flush").to_numpy(), group.column("bucket")[0].as_py()
         data = [i for i, b in enumerate(blobs) if b is not None]
-        size = [len(blobs[i]) // 8 for i in data]
-        part = lambda a, b, kind: np.concatenate([np.zeros(0, kind), *(np.frombuffer(blobs[i], kind, m, a * m) for i, m in zip(data, size, strict=True))])  # noqa: E731, ARG005
-        h = part(0, 4, np.uint32).astype(np.uint64) | part(4, 6, np.uint16).astype(np.uint64) << np.uint64(32) | bucket << np.uint64(48)
-        t, own = part(6, 8, np.uint16), np.repeat(np.array(data, np.int64), size)
+        parts = [(np.zeros(0, np.uint64), np.zeros(0, np.uint16)), *(_uncoded(blobs[i], bucket >> (bits - 8)) for i in data)]
+        h, t = (np.concatenate([p[c] for p in parts]) for c in range(2))
+        own = np.repeat(np.array(data, np.int64), [len(p[0]) for p in parts[1:]])
+        del parts
         order = np.argsort(h, kind="stable")
         new = np.concatenate(([True], h[order][1:] != h[order][:-1])) if len(h) else np.zeros(0, bool)
         group_of = np.cumsum(new) - 1
