@@ -39,9 +39,10 @@ def read_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(a): int(b) for a, b in (line.split() for line in f if line.strip())}
 
 
-def from_ranks(ranks: dict[bytes, int]):
-    """A tokenizer of the tokenizers library with the merges that a rank table implies."""
-    from tokenizers import Tokenizer, models, pre_tokenizers
+def from_ranks(ranks: dict[bytes, int], pattern: str):
+    """A tokenizer of the tokenizers library with the merges that a rank table implies, which encodes each match of pattern by itself.
+    A match that is a token is taken whole, as a merge by ranks does."""
+    from tokenizers import Regex, Tokenizer, models, pre_tokenizers
 
     char = byte_chars()
     name = lambda token: "".join(char[b] for b in token)
@@ -50,8 +51,8 @@ def from_ranks(ranks: dict[bytes, int]):
         cuts = [(token[:i], token[i:]) for i in range(1, len(token)) if token[:i] in ranks and token[i:] in ranks]
         cuts = [c for c in cuts if max(ranks[c[0]], ranks[c[1]]) < ranks[token]] or cuts
         merges += [(name(a), name(b)) for a, b in cuts]
-    t = Tokenizer(models.BPE({name(k): v for k, v in ranks.items()}, merges))
-    t.pre_tokenizer = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=True)
+    t = Tokenizer(models.BPE({name(k): v for k, v in ranks.items()}, merges, ignore_merges=True))
+    t.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.Split(Regex(pattern), "isolated"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
     return t
 
 
@@ -81,12 +82,11 @@ class _Slots(dict):
 class Encoder:
     """encode(texts) -> (ids of all texts in a row, ids of each text).
 
-    check: encodes a chunk by a second library; its ids are taken where the two differ.
     most: chunks kept; beyond it those stay that were used twice since they came.
     """
 
-    def __init__(self, tokenizer, check=None, most: int = 600_000):
-        self.tokenizer, self.check, self.most = tokenizer, check, most
+    def __init__(self, tokenizer, most: int = 600_000):
+        self.tokenizer, self.most = tokenizer, most
         vocab, byte = tokenizer.get_vocab(), set(byte_chars())
         self.width = np.zeros(max(vocab.values()) + 1, np.int64)
         for token, i in vocab.items():
@@ -182,11 +182,6 @@ class Encoder:
 
         def put(todo: list, ids: np.ndarray, sizes: np.ndarray) -> None:
             nonlocal base
-            if self.check:
-                other = [self.check(c) for _, c in todo]
-                flat = np.fromiter((i for x in other for i in x), np.uint32)
-                if not np.array_equal(flat, ids):
-                    ids, sizes = flat, np.fromiter(map(len, other), np.int64, len(other))
             slots = np.fromiter((s for s, _ in todo), np.int64, len(todo)) - old
             size[slots], start[slots] = sizes, base + np.cumsum(sizes) - sizes
             flats.append(ids)
@@ -236,23 +231,26 @@ def json_encoder(path: str) -> Encoder:
     return kept(("json", path), lambda: Encoder(load_json(path)))
 
 
-@functools.cache
 def rank_encoder(path: str, pattern: str) -> tuple[Encoder, "ByteTable"]:
-    import tiktoken
+    """One for each worker process and file."""
+
+    def make():
+        tokenizer = from_ranks(read_ranks(path), pattern)
+        return Encoder(tokenizer), ByteTable(tokenizer.get_vocab())
 
-    ranks = read_ranks(path)
-    plain = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
-    return Encoder(from_ranks(ranks), plain.encode_ordinary), ByteTable(ranks)
+    return kept(("ranks", path, pattern), make)
 
 
 class ByteTable:
     """Strings by id, joined for many ids at once: the bytes of tokens, or their decimal names."""
 
-    def __init__(self, ranks: dict[bytes, int]):
-        n = max(ranks.values(), default=-1) + 1
+    def __init__(self, vocab: dict[str, int]):
+        """vocab: names of tokens in the characters that stand for bytes; the table of those characters is read backwards."""
+        byte = {c: b for b, c in enumerate(byte_chars())}
+        n = max(vocab.values(), default=-1) + 1
         token = [b""] * n
-        for k, v in ranks.items():
-            token[v] = k
+        for k, v in vocab.items():
+            token[v] = bytes(byte[c] for c in k)
         self.token, self.decimal = self._table(token), self._table([b"%d " % i for i in range(n)])
 
     @staticmethod
