@@ -52,17 +52,11 @@ class Segment:
 
     def rank(self, level: int, at: np.ndarray) -> np.ndarray:
         """Set bits of the level's bitmap before each position."""
-        row, inside = at // RANK_BITS, at % RANK_BITS
-        words = self.bitmaps[level].reshape(-1, RANK_BITS // 8)
-        before = np.cumsum(np.bitwise_count(words[row]), axis=1, dtype=np.int64) if len(at) < 64 else None
-        if before is None:  # many positions: running counts for each byte, once
-            count = np.bitwise_count(self.bitmaps[level]).astype(np.int64)
-            running = np.cumsum(count) - count
-            full, byte = running[at // 8], self.bitmaps[level][at // 8]
-        else:
-            full = self.ranks[level][row].astype(np.int64) + np.where(inside >= 8, np.take_along_axis(before, np.maximum(inside // 8 - 1, 0)[:, None], 1)[:, 0], 0)
-            byte = words[row, inside // 8]
-        return full + np.bitwise_count(byte & ((1 << (at % 8)) - 1).astype(np.uint8))
+        words, row, byte = self.bitmaps[level].reshape(-1, RANK_BITS // 8), at // RANK_BITS, at % RANK_BITS // 8
+        some, back = (row, np.arange(len(at))) if len(at) < len(words) else (np.arange(len(words)), row)
+        count = np.bitwise_count(words[some])  # of the rows that are asked for; the directory has what came before each
+        inside = np.cumsum(count, axis=1, dtype=np.uint16) - count
+        return self.ranks[level][row].astype(np.int64) + inside[back, byte] + np.bitwise_count(words[row, byte] & ((1 << (at % 8)) - 1).astype(np.uint8))
 
     def get(self, at) -> np.ndarray:
         """The ids at these positions."""
@@ -93,7 +87,7 @@ def write_segments(docs: DataFrame, path: str, end_id: int = 0, segment_tokens:
             return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, KINDS, strict=True)], names=NAMES)
 
         for batch in batches:
-            for piece in pieces_of(batch, 2 << 20):
+            for piece in pieces_of(batch, 1 << 20):
                 flat, lens = encoder.encode(piece.column("text").to_pylist())
                 ends = np.cumsum(lens)
                 flat = np.insert(flat, ends, end_id)
@@ -113,15 +107,18 @@ KINDS = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary()
 
 def with_starts(segments: DataFrame) -> DataFrame:
     """Adds base: the ids of all segments before. The totals of the written parts, of which there are as many as tasks, are summed
-    in their order; within a part, a window sums its segments."""
+    in their order; within a part, a window sums its segments. The bases, a row for each segment, are broadcast if they are small."""
     from pyspark.sql import Window
 
+    from vecset.plans.limits import small
+
     parts = segments.groupBy("part").agg(F.min("first_doc").alias("low"), F.sum("n_tokens").alias("total"))
     order = Window.orderBy("low", "part").rowsBetween(Window.unboundedPreceding, -1)
     parts = parts.select("part", F.coalesce(F.sum("total").over(order), F.lit(0)).alias("part_base"))
     inside = Window.partitionBy("part").orderBy("segment").rowsBetween(Window.unboundedPreceding, -1)
     base = segments.select("part", "segment", F.coalesce(F.sum("n_tokens").over(inside), F.lit(0)).alias("inside")).join(parts, "part")
-    return segments.join(F.broadcast(base.select("part", "segment", (F.col("part_base") + F.col("inside")).alias("base"))), ["part", "segment"])
+    base = written(base.select("part", "segment", (F.col("part_base") + F.col("inside")).alias("base")), "bases")
+    return segments.join(small(base), ["part", "segment"])
 
 
 def read_documents(segments: DataFrame) -> DataFrame:
@@ -141,10 +138,14 @@ def read_documents(segments: DataFrame) -> DataFrame:
 
 
 def token_at(segments: DataFrame, positions: DataFrame) -> DataFrame:
-    """(position, token) for each asked position, counted over the whole corpus: only the segments that hold one are read."""
-    bounds = with_starts(segments)
+    """(position, token) for each asked position, counted over the whole corpus: only the segments that hold one are read. The bounds
+    of the segments, 32 bytes for each, go to every task; beyond 2M segments that is refused."""
+    from vecset.plans.limits import driver_table
+
+    bounds = with_starts(segments.select("part", "segment", "first_doc", "n_tokens")).select("part", "segment", "base", (F.col("base") + F.col("n_tokens")).alias("upto"))
+    bounds = positions.sparkSession.createDataFrame(driver_table(bounds))
     asked = positions.select(F.col("position").cast("long").alias("position"))
-    hit = asked.join(F.broadcast(bounds.select("part", "segment", "base", (F.col("base") + F.col("n_tokens")).alias("upto"))), (F.col("position") >= F.col("base")) & (F.col("position") < F.col("upto")))
+    hit = asked.join(F.broadcast(bounds), (F.col("position") >= F.col("base")) & (F.col("position") < F.col("upto")))
     wanted = hit.groupBy("part", "segment").agg(F.collect_list(F.col("position")).alias("asked"), F.first("base").alias("base"))
 
     def look(batches):
@@ -159,19 +160,19 @@ def token_at(segments: DataFrame, positions: DataFrame) -> DataFrame:
 
 # Flat files and their token counts ------------------------------------------------------------------------------------------
 
-FLAT_SCHEMA = "file int, block int, tokens binary, doc_ids binary"
+FLAT_SCHEMA = "file int, block int, width int, tokens binary, doc_ids binary"
 
 
 def write_flat(docs: DataFrame, path: str, end_id: int, block_tokens: int = 1 << 19, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Flat token files: per task one run of 16-bit ids (32-bit ones if the vocabulary asks for it), cut into blocks of equal size
-    wherever that falls; documents end with end_id and have no index. The names of the documents, in order, go beside the last block."""
+    wherever that falls; documents end with end_id and have no index. Each block tells the bytes of an id. The names of the documents, in order, go beside the last block."""
     kind = np.uint16 if max(end_id, json_encoder(path).tokenizer.get_vocab_size(with_added_tokens=True)) < 1 << 16 else np.uint32
 
     def encode(batches):
         encoder, file, block, held, size, names = json_encoder(path), TaskContext.get().partitionId(), 0, [], 0, []
-        row = lambda tokens, ids: pa.RecordBatch.from_arrays([pa.array([file], pa.int32()), pa.array([block], pa.int32()), pa.array([tokens.tobytes()]), pa.array([ids], pa.binary())], names=["file", "block", "tokens", "doc_ids"])
+        row = lambda tokens, ids: pa.RecordBatch.from_arrays([pa.array([file], pa.int32()), pa.array([block], pa.int32()), pa.array([kind().itemsize], pa.int32()), pa.array([tokens.tobytes()]), pa.array([ids], pa.binary())], names=["file", "block", "width", "tokens", "doc_ids"])
         for batch in batches:
-            for piece in pieces_of(batch, 2 << 20):
+            for piece in pieces_of(batch, 1 << 20):
                 flat, lens = encoder.encode(piece.column("text").to_pylist())
                 held.append(np.insert(flat, np.cumsum(lens), end_id).astype(kind))
                 names.append(ids_of(piece.column("doc_id")))
@@ -188,7 +189,7 @@ def write_flat(docs: DataFrame, path: str, end_id: int, block_tokens: int = 1 <<
     return written(texts(docs, id_col, text_col).mapInArrow(encode, FLAT_SCHEMA), "flat")
 
 
-def count_tokens(flat: DataFrame, end_id: int, width: int = 2) -> DataFrame:
+def count_tokens(flat: DataFrame, end_id: int) -> DataFrame:
     """(file, ordinal, doc_id, start, n_tokens) of each document of flat token files, its end id counted.
 
     Each block is searched for end ids on its own. Then a prefix scan over a file's blocks carries how many documents and tokens
@@ -196,11 +197,9 @@ def count_tokens(flat: DataFrame, end_id: int, width: int = 2) -> DataFrame:
     """
     from pyspark.sql import Window
 
-    kind = np.uint16 if width == 2 else np.uint32
-
     def search(batches):
         for batch in batches:
-            blobs = [np.frombuffer(b, kind) for b in batch.column("tokens").to_pylist()]
+            blobs = [np.frombuffer(b, np.uint16 if w == 2 else np.uint32) for b, w in zip(batch.column("tokens").to_pylist(), batch.column("width").to_pylist(), strict=True)]
             ends = [np.flatnonzero(b == end_id).astype(np.int32) for b in blobs]
             yield pa.RecordBatch.from_arrays(
                 [batch.column("file"), batch.column("block"), pa.array([len(b) for b in blobs], pa.int64()), pa.array([len(e) for e in ends], pa.int64()), pa.array([int(e[-1]) if len(e) else None for e in ends], pa.int64()), pa.array([e.tobytes() for e in ends]), batch.column("doc_ids")],
