@@ -62,6 +62,7 @@ def spans(docs: DataFrame, width: int = 400, unit_bytes: int = 1 << 20, hot_clas
     rows = keyed(docs, id_col, text_col)
     segments = written(rows.mapInArrow(_segments(width), SEGMENT), "segments")
     by_owner = segments.groupBy("h").agg(F.count("*").alias("n"), F.min("w").alias("low"), F.max("w").alias("high")).where("n > 1")
+    by_owner = written(by_owner, "owners")  # so that the join's shuffle is its own, and an owner with very many rows can be split
     live = written(segments.join(by_owner.select("h", (F.col("low") != F.col("high")).alias("several")), "h"), "live")
     free(segments)
     classes = live.groupBy("h", "w", "several").agg(F.count("*").alias("copies"), F.min(F.struct("doc", "tag", "s", "e", "rel")).alias("rep"))
