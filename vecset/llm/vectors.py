@@ -1,26 +1,32 @@
 """Embedding operators: near-duplicates over graphs per shard, and nearest neighbours over balanced posting lists.
 
 Cases of both: vectors that are null, all zero, of another length than most, or hold null or non-finite components take no part;
-identical vectors are one point with many rows; an empty table gives an empty one; other columns are not read.
+identical vectors are one point with many rows; rows that share a vec_id and differ in vector are judged each by its own vector; an
+empty table gives an empty one; other columns are not read.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import written
-from .components import components, forest
+from .components import components
 from .hnsw import Graph
 
 
-def sound(vectors: DataFrame, vec: str = "embedding", key: str = "vec_id", *more: str) -> DataFrame:
-    """(vec_id, vec array<double>, more) of the vectors that take part."""
+def _takes_part(vec: str, key: str) -> Column:
+    """Never null."""
     v = F.col(vec).cast("array<double>")
     fine = v.isNotNull() & (F.size(v) > 0) & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != float("inf"))) & F.exists(v, lambda x: x != 0.0)
-    return vectors.where(F.coalesce(fine, F.lit(False)) & F.col(key).isNotNull()).select(F.col(key).cast("long").alias("vec_id"), v.alias("vec"), *more)
+    return F.coalesce(fine, F.lit(False)) & F.col(key).isNotNull()
+
+
+def sound(vectors: DataFrame, vec: str = "embedding", key: str = "vec_id", *more: str) -> DataFrame:
+    """(vec_id, vec array<double>, more) of the vectors that take part."""
+    return vectors.where(_takes_part(vec, key)).select(F.col(key).cast("long").alias("vec_id"), F.col(vec).cast("array<double>").alias("vec"), *more)
 
 
 def _matrix(column: pa.Array) -> np.ndarray:
@@ -55,11 +61,11 @@ def _planted(x: np.ndarray, cos: float) -> np.ndarray:
     return _unit(cos * x + np.sqrt(max(0.0, 1 - cos * cos)) * np.where(size > 1e-9, side / np.maximum(size, 1e-9), 0))
 
 
-def _found(graph: Graph, q: np.ndarray, own: np.ndarray | None, least: float, beam: int, audit: int, recall: float) -> tuple[np.ndarray, np.ndarray]:
-    """(query, point) pairs with inner product >= least. The beam doubles until it finds `recall` both of `audit` points from vectors
-    planted at the least nearness that counts, so that there is always something to find, and of the pairs that brute force gives for
-    `audit` of the queries, a point's pair with itself left out. A query whose whole beam is that near is answered by a full scan, and
-    points that no link leads to are compared with every query."""
+def _search(graph: Graph, q: np.ndarray, own: np.ndarray | None, least: float, beam: int, audit: int, recall: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query, point) pairs with inner product >= least, and the queries that have as many as the beam holds: those are to be compared
+    with every point, a block at a time. The beam doubles until it finds `recall` both of `audit` points from vectors planted at the
+    least nearness that counts, so that there is always something to find, and of the pairs that brute force gives for `audit` of the
+    queries, a point's pair with itself left out. Points that no link leads to are compared with every query."""
     sample = np.unique(np.linspace(0, len(q) - 1, min(audit, len(q))).astype(int))
     truth = q[sample] @ graph.x.astype(np.float64).T >= least
     if own is not None:
@@ -69,7 +75,7 @@ def _found(graph: Graph, q: np.ndarray, own: np.ndarray | None, least: float, be
     strays = np.isin(goal, lost)
     while True:
         if beam >= len(graph.x):
-            return _scan(q, graph.x, least)
+            return *np.zeros((2, 0), np.int64), np.arange(len(q))
         ids, sims = graph.search(probes, beam)
         if ((ids == goal[:, None]).any(axis=1) | (sims[:, -1] >= least) | strays).sum() < recall * len(goal):
             beam *= 2
@@ -78,19 +84,101 @@ def _found(graph: Graph, q: np.ndarray, own: np.ndarray | None, least: float, be
         hit = (sims >= least) & (ids >= 0)
         over = np.flatnonzero(hit[:, -1])
         hit[over] = False
+        rest = np.setdiff1d(np.arange(len(q)), over)
         r, c = np.nonzero(hit)
-        full, stray = _scan(q[over], graph.x, least), _scan(q, graph.x[lost], least)
-        r, c = np.concatenate((r, over[full[0]], stray[0])), np.concatenate((ids[r, c], full[1], lost[stray[1]]))
+        stray = _scan(q[rest], graph.x[lost], least)
+        r, c = np.concatenate((r, rest[stray[0]])), np.concatenate((ids[r, c], lost[stray[1]]))
         seen = np.zeros(truth.shape, bool)
+        seen[np.isin(sample, over)] = True
         at = np.full(len(q), -1)
         at[sample] = np.arange(len(sample))
         keep = at[r] >= 0
         seen[at[r[keep]], c[keep]] = True
         if (seen & truth).sum() >= recall * truth.sum():
-            return r, c
+            return r, c, over
         beam *= 2
 
 
+def _found(graph: Graph, q: np.ndarray, own: np.ndarray | None, least: float, beam: int, audit: int, recall: float) -> tuple[np.ndarray, np.ndarray]:
+    """All (query, point) pairs with inner product >= least, in memory: for small graphs."""
+    r, c, over = _search(graph, q, own, least, beam, audit, recall)
+    full = _scan(q[over], graph.x, least)
+    return np.concatenate((r, over[full[0]])), np.concatenate((c, full[1]))
+
+
+class _Union:
+    """Least reachable number, for links that come in blocks."""
+
+    def __init__(self, n: int):
+        self.root = np.arange(n)
+
+    def add(self, u: np.ndarray, v: np.ndarray) -> None:
+        while True:
+            a, b = self.root[u], self.root[v]
+            live = a != b
+            if not live.any():
+                return
+            u, v, a, b = u[live], v[live], a[live], b[live]
+            np.minimum.at(self.root, np.maximum(a, b), np.minimum(a, b))
+            while not np.array_equal(new := self.root[self.root], self.root):
+                self.root = new
+
+
+def _linked(x: np.ndarray, y: np.ndarray | None, one: Graph, two: Graph, weight_x: np.ndarray, weight_y: np.ndarray, least: float, beam: int, audit: int, recall: float) -> tuple[np.ndarray, np.ndarray, _Union]:
+    """(links of each x, links of each y, union over x and y) of the pairs of unit vectors with cosine >= least; y None: pairs within x.
+
+    Pairs that the graphs give are few for each vector. A vector near to more than a beam holds is compared with all others, in blocks
+    whose pairs are added up and joined at once, so a group of thousands of near vectors takes a block's memory."""
+    slack, same = least - 1e-5, y is None  # float32 search; the cosine below is in double precision
+    y = x if same else y
+    r, c, over_x = _search(two, x, np.arange(len(x)) if same else None, slack, beam, audit, recall)
+    if same:
+        r, c, over_y = np.minimum(r, c)[r != c], np.maximum(r, c)[r != c], over_x
+    else:
+        k, l, over_y = _search(one, y, None, slack, beam, audit, recall)
+        r, c = np.concatenate((r, l)), np.concatenate((c, k))
+    links_x, links_y, union = np.zeros(len(x), np.int64), np.zeros(len(y), np.int64), _Union(len(x) + (0 if same else len(y)))
+    shift = 0 if same else len(x)
+    whole_x, whole_y = np.isin(np.arange(len(x)), over_x), np.isin(np.arange(len(y)), over_y)
+    code = np.unique(r.astype(np.int64) * len(y) + c)
+    r, c = code // len(y), code % len(y)
+    few = ~(whole_x[r] | whole_y[c])  # the rest comes with the blocks
+    r, c = r[few], c[few]
+    cos = np.concatenate([np.zeros(0), *((x[r[s : s + 65536]] * y[c[s : s + 65536]]).sum(axis=1) for s in range(0, len(r), 65536))])
+    r, c = r[cos >= least], c[cos >= least]
+    np.add.at(links_x, r, weight_y[c])
+    np.add.at(links_x if same else links_y, c, weight_x[r])
+    union.add(r, c + shift)
+
+    def blocks(p: np.ndarray, over: np.ndarray, q: np.ndarray):
+        """(vectors, whether each of q is linked to them)."""
+        step = max(1, (1 << 20) // max(1, len(q)))
+        for s in range(0, len(over), step):
+            some = over[s : s + step]
+            dots = p[some] @ q.T
+            hit = dots >= least
+            i, j = np.nonzero(np.abs(dots - least) < 1e-9)
+            hit[i, j] = (p[some[i]] * q[j]).sum(axis=1) >= least
+            yield some, hit
+
+    for some, hit in blocks(x, over_x, y):
+        if same:
+            hit[np.arange(len(some)), some] = False
+        links_x[some] += hit @ weight_y
+        other = weight_x[some] @ hit
+        links_y += np.where(whole_y, 0, other)
+        i, j = np.nonzero(hit)
+        union.add(some[i], j + shift)
+    if same:
+        return links_x + links_y, links_y, union
+    for some, hit in blocks(y, over_y, x):
+        links_y[some] += hit @ weight_x
+        links_x += np.where(whole_x, 0, weight_y[some] @ hit)
+        i, j = np.nonzero(hit)
+        union.add(j, some[i] + shift)
+    return links_x, links_y, union
+
+
 def near_duplicates(vectors: DataFrame, least: float = 0.98, shard_rows: int = 8192, beam: int = 32, audit: int = 128, recall: float = 0.995, vec: str = "embedding", key: str = "vec_id", label: str = "label") -> DataFrame:
     """(vec_id, n_links, component_id, kept): rows are compared within a label. A label's points are dealt to shards of about
     shard_rows; each shard has a graph, and every pair of shards is searched in both directions."""
@@ -121,21 +209,10 @@ def near_duplicates(vectors: DataFrame, least: float = 0.98, shard_rows: int = 8
                 x, y = (_unit(np.frombuffer(r[f"vec_{s}"], np.float64).reshape(-1, one.x.shape[1])) for s in "ab")
                 p, q = (np.frombuffer(r[f"points_{s}"], np.int64) for s in "ab")
                 m, n = (np.frombuffer(r[f"copies_{s}"], np.int64) for s in "ab")
-                slack = least - 1e-5  # float32 search; the cosine below is in double precision
-                i, j = _found(two, x, np.arange(len(x)) if same else None, slack, beam, audit, recall)
-                if same:
-                    i, j = np.minimum(i, j)[i != j], np.maximum(i, j)[i != j]
-                else:
-                    k, l = _found(one, y, None, slack, beam, audit, recall)
-                    i, j = np.concatenate((i, l)), np.concatenate((j, k))
-                code = np.unique(i.astype(np.int64) * len(y) + j)
-                i, j = code // len(y), code % len(y)
-                cos = np.concatenate([np.zeros(0), *((x[i[s : s + 65536]] * y[j[s : s + 65536]]).sum(axis=1) for s in range(0, len(i), 65536))])
-                i, j = i[cos >= least], j[cos >= least]
-                nodes, root = forest(p[i], q[j])
-                links = np.zeros(len(nodes), np.int64)
-                for mine, weight in ((p[i], n[j]), (q[j], m[i])):
-                    np.add.at(links, np.searchsorted(nodes, mine), weight)
+                links_x, links_y, union = _linked(x, None if same else y, one, two, m, n, least, beam, audit, recall)
+                points, links = (p, links_x) if same else (np.concatenate((p, q)), np.concatenate((links_x, links_y)))
+                at = np.flatnonzero(links)
+                nodes, root, links = points[at], points[union.root[at]], links[at]
                 yield pa.RecordBatch.from_arrays([pa.array(nodes), pa.array(root), pa.array(links)], names=["a", "b", "n"])
 
     found = written(jobs.mapInArrow(compare, "a long, b long, n long"), "found")
@@ -144,8 +221,9 @@ def near_duplicates(vectors: DataFrame, least: float = 0.98, shard_rows: int = 8
     points = classes.select("label", "vec", "point", "copies").join(counts.withColumnRenamed("a", "point"), "point", "left").join(parts.withColumnRenamed("node", "point"), "point", "left")
     points = points.select("label", "vec", (F.col("copies") - 1 + F.coalesce("n", F.lit(0))).alias("links"), F.coalesce("component", "point").alias("component"))
     member = rows.join(points, ["label", "vec"]).select("vec_id", "links", "component")
-    out = vectors.select(F.col(key).cast("long").alias("vec_id")).join(member.dropDuplicates(["vec_id"]), "vec_id", "left")
-    return out.select("vec_id", F.coalesce("links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("component", "vec_id").alias("component_id"), (F.coalesce("component", "vec_id") == F.col("vec_id")).alias("kept"))
+    alone = vectors.where(~_takes_part(vec, key) | F.col(label).isNull()).select(F.col(key).cast("long").alias("vec_id"), F.lit(0).cast("long").alias("links"), F.col(key).cast("long").alias("component"))
+    out = member.unionAll(alone)
+    return out.select("vec_id", F.col("links").cast("long").alias("n_links"), F.col("component").alias("component_id"), (F.col("component") == F.col("vec_id")).alias("kept"))
 
 
 # Nearest neighbours -----------------------------------------------------------------------------------------------------------
@@ -248,7 +326,7 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, list_rows: int
                 groups = np.split(r, start[1:])
                 yield pa.RecordBatch.from_arrays([pa.array(names.astype(np.int32)), pa.array([ids[g].tobytes() for g in groups], pa.binary()), pa.array([x[g].tobytes() for g in groups], pa.binary())], names=["list", "q_ids", "q_vecs"])
 
-    routed = asked.repartition(8).mapInArrow(route, "list int, q_ids binary, q_vecs binary")
+    routed = asked.repartition(max(8, -(-asked.count() // 2048))).mapInArrow(route, "list int, q_ids binary, q_vecs binary")
 
     def scan(batches):
         """Best k of each query over all blocks that a task reads; handed on when too many queries are held."""
