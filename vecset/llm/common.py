@@ -40,8 +40,21 @@ def drop_written(df: DataFrame) -> None:
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+#: Bytes of rows that Spark hands to a Python worker at once. Its own bound is 10,000 rows, which is 34 MB of common documents.
+BATCH_BYTES = 4 << 20
+
+
+def small_batches(df: DataFrame) -> None:
+    """Holds the Arrow batches of the session's plans to BATCH_BYTES from here on; a smaller bound stays."""
+    conf, name = df.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
+    held = str(conf.get(name))
+    if not held.isdigit() or int(held) > BATCH_BYTES:
+        conf.set(name, str(BATCH_BYTES))
+
+
 def texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id long, text string not null); a null text is empty. Other columns are left out."""
+    small_batches(docs)
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
 
 

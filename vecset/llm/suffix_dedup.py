@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, column_bytes, free, fresh, nothing_kept, pieces_of, written
+from .common import NO_ID, column_bytes, free, fresh, nothing_kept, pieces_of, small_batches, written
 from .suffix_kernel import owners, repeated_windows
 
 #: Bytes of text that a kernel takes at once, and of a long text's parts.
@@ -32,6 +32,7 @@ PIECE, PART = 1 << 18, 1 << 20
 
 def keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """(doc, tag, text): tag tells rows of one doc_id with different texts apart."""
+    small_batches(docs)
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     return docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.crc32(text.cast("binary")).alias("tag"), text.alias("text"))
 
