@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import functools
 import os
 import tempfile
 import uuid
@@ -124,14 +126,31 @@ _kept: dict = {}
 def kept(name: tuple, make):
     """What a worker process keeps from task to task, one thing at a time: a task of another operator frees what the last one kept."""
     if name not in _kept:
-        _kept.clear()
+        nothing_kept()
         _kept[name] = make()
     return _kept[name]
 
 
 def nothing_kept() -> None:
-    """Frees what an earlier task of this worker process kept."""
+    """Frees what an earlier task of this worker process kept, and gives the memory that it freed back to the machine."""
     _kept.clear()
+    pa.default_memory_pool().release_unused()
+    libc = _libc()
+    if libc:
+        libc.malloc_trim(0)
+
+
+@functools.cache
+def _libc():
+    """The C library where it has these calls. From now on arrays of a megabyte and more are mapped by themselves, so that freeing them
+    frees memory; else the library keeps up to tens of megabytes of each kind."""
+    try:
+        libc = ctypes.CDLL(None)
+        libc.mallopt(-3, 1 << 20)
+        libc.malloc_trim  # noqa: B018
+    except (OSError, AttributeError):
+        return None
+    return libc
 
 
 def fresh(df: DataFrame, name: str) -> str:

@@ -138,6 +138,7 @@ def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 <<
             yield out()
 
     def count(group: pa.Table) -> pa.Table:
+        nothing_kept()
         blobs, flushes, bucket = group.column("blob").to_pylist(), group.column("flush").to_numpy(), group.column("bucket")[0].as_py()
         data = [i for i, b in enumerate(blobs) if b is not None]
         parts = [(np.zeros(0, np.uint64), np.zeros(0, np.uint16)), *(_uncoded(blobs[i], bucket >> (bits - 8)) for i in data)]
@@ -158,6 +159,7 @@ def shared_sets(docs: DataFrame, threshold: float, words: int, flush: int = 1 <<
         return pa.table([pa.array(flushes[data + heads]), pa.array(out + [None] * len(heads), pa.binary()), pa.array([None] * len(data) + [group.column("head")[i].as_py() for i in heads], pa.binary())], names=["flush", "blob", "head"])
 
     def gather(group: pa.Table) -> pa.Table:
+        nothing_kept()
         head = next(h for h in group.column("head").to_pylist() if h is not None)
         m = len(head) // 24
         ids, n, sig = (np.frombuffer(head, np.int64, m, 8 * m * k) for k in range(3))
@@ -247,6 +249,7 @@ def matched(own: DataFrame, percent: int, held_pairs: int = 500_000) -> DataFram
         return ok
 
     def run(batches):
+        nothing_kept()
         held, n_held, rest = [], 0, None
 
         def cross(rows):
