@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.limits import small
+
 SCALE = 1000
 
 
@@ -52,7 +54,7 @@ def nearness(a: Column | str, b: Column | str, ground: str) -> Column:
 def pair_nearness(queries: DataFrame, vectors: DataFrame, ground: str = "cosine") -> DataFrame:
     """(query_id, q_no, set_id, vec_no, s) for all vector pairs. The queries are a stated set: they go to every block of vectors."""
     q = queries.select("query_id", F.col("vec_no").alias("q_no"), F.col("v").alias("_q"))
-    return vectors.join(F.broadcast(q)).select("query_id", "q_no", "set_id", "vec_no", nearness("_q", "v", ground).alias("s"))
+    return vectors.join(small(q)).select("query_id", "q_no", "set_id", "vec_no", nearness("_q", "v", ground).alias("s"))
 
 
 def chamfer(pairs: DataFrame, agg: str = "sum") -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.distance import dot
-from ..plans.limits import driver_table
+from ..plans.limits import driver_table, small
 
 
 def seed_codebook(vectors: DataFrame, k: int, key: str = "vec_id") -> DataFrame:
@@ -33,10 +33,25 @@ def fit_kmeans(vectors: DataFrame, k: int, share: float = 1.0, seed: int = 42, i
 
 
 def lloyd_step(vectors: DataFrame, codebook: DataFrame) -> DataFrame:
-    """(code, pos, total, n): component sums of each code's vectors; the new centre is total / n."""
-    coded = assign_codes(vectors, codebook)
-    at = coded.select("code", F.posexplode("v").alias("pos", "x"))
-    return at.groupBy("code", "pos").agg(F.sum("x").alias("total"), F.count("*").alias("n"))
+    """(code, pos, total, n): component sums of each code's vectors; the new centre is total / n. Each task sums its own vectors, so a
+    row for each code and component leaves it."""
+
+    def run(batches):
+        total, n = {}, {}
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            own = batch.column("code").to_numpy()
+            x = batch.column("v").flatten().to_numpy().reshape(batch.num_rows, -1)
+            order = np.argsort(own, kind="stable")
+            codes, start = np.unique(own[order], return_index=True)
+            for c, t, k in zip(codes.tolist(), np.add.reduceat(x[order], start, axis=0), np.diff([*start, len(own)]), strict=True):
+                total[c], n[c] = total.get(c, 0) + t, n.get(c, 0) + int(k)
+        for c, t in total.items():
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(t), c, np.int32)), pa.array(np.arange(len(t), dtype=np.int32)), pa.array(t), pa.array(np.full(len(t), n[c]))], names=["code", "pos", "total", "n"])
+
+    part = assign_codes(vectors, codebook).select("code", "v").mapInArrow(run, "code int, pos int, total long, n long")
+    return part.groupBy("code", "pos").agg(F.sum("total").alias("total"), F.sum("n").alias("n"))
 
 
 def assign_codes(vectors: DataFrame, codebook: DataFrame) -> DataFrame:
@@ -60,7 +75,7 @@ def assign_codes(vectors: DataFrame, codebook: DataFrame) -> DataFrame:
 
 def fine_parents(fine: DataFrame, coarse: DataFrame) -> DataFrame:
     """(code, cluster_id): the coarse centroid nearest to each fine one."""
-    near = fine.select("code", "center").join(F.broadcast(coarse.select(F.col("code").alias("cluster_id"), F.col("center").alias("_c"))))
+    near = fine.select("code", "center").join(small(coarse.select(F.col("code").alias("cluster_id"), F.col("center").alias("_c"))))
     return near.groupBy("code").agg(F.min_by("cluster_id", F.struct(-dot("center", "_c"), F.col("cluster_id"))).alias("cluster_id"))
 
 
@@ -81,7 +96,7 @@ def inverse_counts(tf: DataFrame, n_sets: int) -> DataFrame:
 
 def profile(tf: DataFrame, idf: DataFrame) -> DataFrame:
     """(set_id, cluster_id, tf, score, rnk) by falling score, then tf, then cluster."""
-    scored = tf.join(F.broadcast(idf), "cluster_id").withColumn("score", F.round(F.col("tf") * F.col("idf"), 6))
+    scored = tf.join(small(idf), "cluster_id").withColumn("score", F.round(F.col("tf") * F.col("idf"), 6))
     w = Window.partitionBy("set_id").orderBy(F.col("score").desc(), F.col("tf").desc(), "cluster_id")
     return scored.select("set_id", "cluster_id", "tf", "score", F.row_number().over(w).alias("rnk"))
 

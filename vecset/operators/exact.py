@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.distance import nearness
-from ..plans.limits import driver_table
+from ..plans.limits import driver_table, small
 
 
 def nested(vectors: DataFrame) -> DataFrame:
@@ -58,4 +58,4 @@ def exact_topk(queries: DataFrame, vectors: DataFrame, k: int, ground: str = "co
 def vector_topk(queries: DataFrame, vectors: DataFrame, k: int, ground: str = "l2") -> DataFrame:
     """Single vectors: (query_id, set_id, score, rnk)."""
     q = queries.select("query_id", F.col("v").alias("_q"))
-    return top_k(vectors.join(F.broadcast(q)).select("query_id", "set_id", nearness("_q", "v", ground).alias("score")), k)
+    return top_k(vectors.join(small(q)).select("query_id", "set_id", nearness("_q", "v", ground).alias("score")), k)

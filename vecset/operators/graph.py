@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+from heapq import heappop, heappush
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.transport import emd
+from ..functions.transport import emd, entropic
 from ..plans.limits import driver_table, small
 
 UNIT = 1_000_000  # of fixed-point inner products
@@ -26,83 +28,180 @@ class Codebook:
         return UNIT - c @ c.T, at
 
 
-def set_distances(one: np.ndarray, others: list[np.ndarray], block: np.ndarray, edge: str, cut: float = np.inf) -> np.ndarray:
+def set_distances(one: np.ndarray, others: list[np.ndarray], block: np.ndarray, edge: str, cut: float = np.inf, solver: str = "exact") -> np.ndarray:
     """From a set's codes to others'. qemd: earth mover's on codes; pairs whose lower bound is above cut keep the bound. qch: mean of minima."""
-    out = np.empty(len(others))
-    for k, other in enumerate(others):
-        cost = block[np.ix_(one, other)]
-        if edge == "qch":
-            out[k] = cost.min(axis=1).mean()
-        elif cost.shape == (2, 2):
-            out[k] = min(cost[0, 0] + cost[1, 1], cost[0, 1] + cost[1, 0]) / 2
-        else:
-            low = emd(cost, solver="relaxed")
-            if low > cut:
-                out[k] = low
-            else:
-                (a, ca), (b, cb) = np.unique(one, return_counts=True), np.unique(other, return_counts=True)
-                out[k] = emd(block[np.ix_(a, b)], ca, cb)
+    if not others:
+        return np.zeros(0)
+    to, back = Bags(others).one_sided(one, block)
+    if edge == "qch":
+        return to
+    out = np.maximum(to, back)
+    at = np.flatnonzero(out <= cut)
+    out[at] = _transports(one, [others[k] for k in at], block, solver)
     return out
 
 
-def local_edges(members: DataFrame, coded: DataFrame, codebook: DataFrame, f: int = 24, edge: str = "qemd", mode: str = "exact", beam: int = 80, most: int = 20_000) -> DataFrame:
+def _transports(one: np.ndarray, others: list[np.ndarray], block: np.ndarray, solver: str) -> np.ndarray:
+    """Earth mover's distances. exact: a flow for each pair; sinkhorn: all pairs at once, close from above."""
+    if len(one) == 2 and all(len(o) == 2 for o in others):
+        c = block[np.ix_(one, np.concatenate(others))].reshape(2, -1, 2) if others else np.zeros((2, 0, 2))
+        return np.minimum(c[0, :, 0] + c[1, :, 1], c[0, :, 1] + c[1, :, 0]) / 2
+    a, ca = np.unique(one, return_counts=True)
+    bags = [np.unique(o, return_counts=True) for o in others]
+    if solver == "exact":
+        return np.array([emd(block[np.ix_(a, b)], ca, cb) for b, cb in bags])
+    width = max((len(b) for b, _ in bags), default=1)
+    codes, weight = np.zeros((len(bags), width), np.int64), np.zeros((len(bags), width))
+    for k, (b, cb) in enumerate(bags):
+        codes[k, : len(b)], weight[k, : len(b)] = b, cb / cb.sum()
+    return entropic(block[a[None, :, None], codes[:, None, :]], np.broadcast_to(ca / ca.sum(), (len(bags), len(a))), weight)
+
+
+class Bags:
+    """Sets as runs of codes in one array: distances from one set to all of them by a few array steps."""
+
+    def __init__(self, sets: list[np.ndarray]):
+        self.sets, self.flat = sets, np.concatenate(sets)
+        self.size = np.array([len(c) for c in sets])
+        self.start = np.cumsum(self.size) - self.size
+
+    def one_sided(self, one: np.ndarray, block: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(mean over one's codes of the nearest in each set, mean over each set's codes of the nearest in one)."""
+        codes, n = np.unique(one, return_counts=True)
+        rows = block[codes]
+        to = np.zeros(len(self.sets))
+        for row, w in zip(rows, n, strict=True):
+            to += w * np.minimum.reduceat(row[self.flat], self.start)
+        return to / len(one), np.add.reduceat(rows.min(axis=0)[self.flat], self.start) / self.size
+
+    def nearest(self, one: np.ndarray, block: np.ndarray, f: int, edge: str, ids: np.ndarray, skip: int, solver: str = "exact") -> tuple[np.ndarray, np.ndarray]:
+        """(places, distances) of the f nearest sets, ties to the smaller id, without place `skip`. Distances are had in the order of
+        their lower bounds, until a bound is above the f-th distance found."""
+        to, back = self.one_sided(one, block)
+        if edge == "qch":
+            d = to
+        else:
+            low = np.maximum(to, back)
+            d = np.full(len(low), np.inf)
+            order = np.argsort(low, kind="stable")
+            order, step, worst = order[order != skip], 32 if solver == "exact" else 64, np.inf
+            for at in range(0, len(order), step):
+                some = order[at : at + step]
+                some = some[low[some] <= worst + 1e-9]
+                if not len(some):
+                    break
+                d[some] = _transports(one, [self.sets[j] for j in some], block, solver)
+                done = d[order[: at + step]]
+                worst = np.partition(done, f - 1)[f - 1] if len(done) > f else np.inf
+        order = np.lexsort((ids, d))
+        order = order[(order != skip) & np.isfinite(d[order])][:f]
+        return order, d[order]
+
+
+def local_edges(members: DataFrame, coded: DataFrame, codebook: DataFrame, f: int = 24, edge: str = "qemd", mode: str = "exact", beam: int = 80, block_sets: int = 4096, solver: str = "exact") -> DataFrame:
     """(src, dst, dist, via): each member of a cluster and its f nearest others there. members: (set_id, cluster_id); coded: (set_id, code).
 
-    incremental: members go in by md5 order; each searches the part that stands, as a best-first walk of `beam`.
-    A cluster of more than `most` members is dealt by the code of a set's first vector, so that no task holds it whole.
+    solver: exact flows, or sinkhorn, close from above and many times faster for sets of tens of vectors.
+    exact: a cluster is dealt in blocks of about block_sets members, each pair of blocks is compared by one task, and the f nearest of
+    each member over all blocks stay: a cluster of any size gives the same edges, and no task holds it whole.
+    incremental: members go in by md5 order; each searches the part that stands, as a best-first walk of `beam`. The walk needs the
+    part it walks; where a cluster has more than block_sets members, its blocks are walked each by itself and by the exact way across.
     """
     book = Codebook(codebook)
     sets = coded.groupBy("set_id").agg(F.sort_array(F.collect_list("code")).alias("codes"))
-    rows = members.select("set_id", "cluster_id").join(sets, "set_id")
-    size = rows.groupBy("cluster_id").agg(F.count("*").alias("_n"))
-    rows = rows.join(F.broadcast(size), "cluster_id").withColumn("part", F.when(F.col("_n") > most, F.col("codes")[0]).otherwise(F.lit(0))).drop("_n")
+    rows = members.select("set_id", "cluster_id").distinct().join(sets, "set_id")
+    size = members.select("set_id", "cluster_id").distinct().groupBy("cluster_id").agg(F.ceil(F.count("*") / F.lit(block_sets)).cast("int").alias("blocks"))
+    rows = rows.join(small(size), "cluster_id").withColumn("own", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    left = rows.select("cluster_id", "set_id", "codes", F.col("own").alias("a"), other.alias("b"), F.lit(True).alias("asks"))
+    right = rows.where("blocks > 1").select("cluster_id", "set_id", "codes", other.alias("a"), F.col("own").alias("b"), F.lit(False).alias("asks")).where("a <> b")
 
     def build(group: pa.Table) -> pa.Table:
-        ids, codes = group.column("set_id").to_numpy(), [np.array(c) for c in group.column("codes").to_pylist()]
-        order = np.argsort(ids)
-        ids, codes = ids[order], [codes[i] for i in order]
+        group = group.sort_by("set_id")
+        ids, asks = group.column("set_id").to_numpy(), np.array(group.column("asks").to_pylist(), bool)
+        codes = [np.array(c) for c in group.column("codes").to_pylist()]
         block, at = book.block(np.concatenate(codes))
-        sets_, n = np.split(at, np.cumsum([len(c) for c in codes])[:-1]), len(ids)
-        src, dst, dist = [], [], []
-        if mode == "exact":
-            for i in range(n):
-                others = [j for j in range(n) if j != i]
-                d = set_distances(sets_[i], [sets_[j] for j in others], block, edge)
-                best = np.lexsort((ids[others], d))[:f]
-                src += [ids[i]] * len(best)
-                dst += ids[np.array(others, int)[best]].tolist()
-                dist += d[best].tolist()
+        sets_ = np.split(at, np.cumsum([len(c) for c in codes])[:-1])
+        same = bool(asks.all())
+        if same and mode == "incremental":
+            found = _inserted(ids, sets_, block, f, edge, beam, solver)
         else:
-            near: dict[int, dict[int, float]] = {}
-            for i in _md5_order(ids):
-                found: dict[int, float] = {}
-                if near:
-                    start = next(iter(near))
-                    found[start] = float(set_distances(sets_[i], [sets_[start]], block, edge)[0])
-                    todo = {start}
-                    while todo:
-                        u = min(todo, key=lambda x: (found[x], ids[x]))
-                        todo.discard(u)
-                        worst = sorted(found.values())[beam - 1] if len(found) >= beam else np.inf
-                        if found[u] > worst:
-                            break
-                        new = [v for v in near[u] if v not in found]
-                        for v, d in zip(new, set_distances(sets_[i], [sets_[v] for v in new], block, edge, worst), strict=True):
-                            found[v] = float(d)
-                            todo.add(v)
-                near[i] = {}
-                for v, d in sorted(found.items(), key=lambda x: (x[1], ids[x[0]]))[:f]:
-                    near[i][v] = near[v][i] = d
-                    if len(near[v]) > f:
-                        del near[v][max(near[v], key=lambda x: (near[v][x], ids[x]))]
-            for i, links in near.items():
-                src += [ids[i]] * len(links)
-                dst += [ids[v] for v in links]
-                dist += list(links.values())
+            there = np.flatnonzero(asks if same else ~asks)
+            bags, names = Bags([sets_[j] for j in there]) if len(there) else None, ids[there]
+            found = []
+            for i in np.flatnonzero(asks) if len(there) else []:
+                place, d = bags.nearest(sets_[i], block, f, edge, names, i if same else -1, solver)
+                found.append((ids[i], names[place], d))
+        n = [len(x[1]) for x in found]
+        src = np.repeat([x[0] for x in found], n).astype(np.int64) if found else np.zeros(0, np.int64)
+        dst, dist = (np.concatenate([x[k] for x in found]) if found else np.zeros(0) for k in (1, 2))
         via = group.column("cluster_id")[0].as_py()
-        return pa.table([pa.array(src, pa.int64()), pa.array(dst, pa.int64()), pa.array(dist, pa.float64()), pa.array([via] * len(src), pa.int32())], names=["src", "dst", "dist", "via"])
+        return pa.table([pa.array(src), pa.array(dst.astype(np.int64)), pa.array(dist.astype(np.float64)), pa.array([via] * len(src), pa.int32())], names=["src", "dst", "dist", "via"])
+
+    found = left.unionAll(right).groupBy("cluster_id", "a", "b").applyInArrow(build, "src long, dst long, dist double, via int")
+    best = Window.partitionBy("via", "src").orderBy("dist", "dst")
+    return found.withColumn("_n", F.row_number().over(best)).where(F.col("_n") <= f).drop("_n")
 
-    return rows.groupBy("cluster_id", "part").applyInArrow(build, "src long, dst long, dist double, via int")
+
+def linked_edges(fresh: DataFrame, members: DataFrame, coded: DataFrame, codebook: DataFrame, f: int, edge: str = "qemd", block_sets: int = 4096, solver: str = "exact") -> DataFrame:
+    """(src, dst, dist, via): each new set and its f nearest members, old or new, of its clusters. A task compares the new sets of a
+    cluster with one block of its members."""
+    book = Codebook(codebook)
+    sets = coded.groupBy("set_id").agg(F.sort_array(F.collect_list("code")).alias("codes"))
+    size = members.groupBy("cluster_id").agg(F.ceil(F.count("*") / F.lit(block_sets)).cast("int").alias("blocks"))
+    there = members.select("set_id", "cluster_id").join(sets, "set_id").join(small(size), "cluster_id")
+    there = there.select("cluster_id", "set_id", "codes", F.pmod(F.xxhash64("set_id"), F.col("blocks")).cast("int").alias("part"), F.lit(False).alias("asks"))
+    new = fresh.select("set_id", "cluster_id").join(sets, "set_id").join(small(size), "cluster_id")
+    new = new.select("cluster_id", "set_id", "codes", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("part"), F.lit(True).alias("asks"))
+
+    def build(group: pa.Table) -> pa.Table:
+        group = group.sort_by("set_id")
+        ids, asks = group.column("set_id").to_numpy(), np.array(group.column("asks").to_pylist(), bool)
+        codes = [np.array(c) for c in group.column("codes").to_pylist()]
+        block, at = book.block(np.concatenate(codes))
+        sets_, old = np.split(at, np.cumsum([len(c) for c in codes])[:-1]), np.flatnonzero(~asks)
+        out = []
+        bags, names = Bags([sets_[j] for j in old]) if len(old) else None, ids[old]
+        for i in np.flatnonzero(asks) if len(old) else []:
+            own = np.flatnonzero(names == ids[i])
+            place, d = bags.nearest(sets_[i], block, f, edge, names, int(own[0]) if len(own) else -1, solver)
+            out += zip([ids[i]] * len(d), names[place].tolist(), d.tolist(), strict=True)
+        via = group.column("cluster_id")[0].as_py()
+        return pa.table([pa.array([o[0] for o in out], pa.int64()), pa.array([o[1] for o in out], pa.int64()), pa.array([o[2] for o in out], pa.float64()), pa.array([via] * len(out), pa.int32())], names=["src", "dst", "dist", "via"])
+
+    found = new.unionAll(there).groupBy("cluster_id", "part").applyInArrow(build, "src long, dst long, dist double, via int")
+    best = Window.partitionBy("via", "src").orderBy("dist", "dst")
+    return found.withColumn("_n", F.row_number().over(best)).where(F.col("_n") <= f).drop("_n")
+
+
+def _inserted(ids: np.ndarray, sets_: list[np.ndarray], block: np.ndarray, f: int, edge: str, beam: int, solver: str = "exact") -> list[tuple]:
+    """One after the other: each new set walks the graph so far and is linked both ways to the f nearest that it met; the farthest
+    link of a vertex that gets too many is dropped."""
+    near: dict[int, dict[int, float]] = {}
+    for i in _md5_order(ids):
+        found: dict[int, float] = {}
+        if near:
+            start = next(iter(near))
+            found[start] = float(set_distances(sets_[i], [sets_[start]], block, edge, np.inf, solver)[0])
+            todo, best = [(found[start], ids[start], start)], [-found[start]]
+            while todo:
+                d, _, u = heappop(todo)
+                worst = -best[0] if len(best) >= beam else np.inf
+                if d > worst:
+                    break
+                new = [v for v in near[u] if v not in found]
+                for v, dv in zip(new, set_distances(sets_[i], [sets_[v] for v in new], block, edge, worst, solver), strict=True):
+                    found[v] = float(dv)
+                    heappush(todo, (found[v], ids[v], v))
+                    heappush(best, -found[v])
+                    if len(best) > beam:
+                        heappop(best)
+        near[i] = {}
+        for v, d in sorted(found.items(), key=lambda x: (x[1], ids[x[0]]))[:f]:
+            near[i][v] = near[v][i] = d
+            if len(near[v]) > f:
+                del near[v][max(near[v], key=lambda x: (near[v][x], ids[x]))]
+    return [(ids[i], ids[np.array(list(links), int)], np.array(list(links.values()))) for i, links in near.items() if links]
 
 
 def _md5_order(ids: np.ndarray) -> list[int]:
@@ -182,3 +281,29 @@ def admit_shortcuts(pairs: DataFrame, edges: DataFrame, most: int) -> DataFrame:
     rank = half.withColumn("n", F.row_number().over(Window.partitionBy("x").orderBy("h", "u", "v")))
     fits = rank.join(spare("x"), "x", "left").where(F.col("n") <= most - F.coalesce("d_x", F.lit(0)))
     return fits.groupBy("u", "v").agg(F.count("*").alias("ends")).where("ends = 2").select("u", "v")
+
+
+def stitch(components: DataFrame, means: DataFrame) -> DataFrame:
+    """(src, dst, component): for each component but the largest, its pair of nearest sets inside and outside. components: (set_id,
+    component); means: (set_id, v). The sets of the smaller components are few and go to every task."""
+    size = components.groupBy("component").agg(F.count("*").alias("n"))
+    largest = size.orderBy(F.col("n").desc(), "component").limit(1).select("component")
+    inside = components.join(small(largest), "component", "left_anti").join(means, "set_id").select(F.col("set_id").alias("src"), "component", F.col("v").alias("_v"))
+    table = driver_table(inside)
+    if not table.num_rows:
+        return components.sparkSession.createDataFrame([], "src long, dst long, component long")
+    ids, own = table.column("src").to_numpy(), table.column("component").to_numpy()
+    x = np.array(table.column("_v").to_pylist(), np.float64)
+
+    def run(batches):
+        for batch in batches:
+            y, there, part = np.array(batch.column("v").to_pylist(), np.float64), batch.column("set_id").to_numpy(), batch.column("component").to_numpy()
+            if not len(there):
+                continue
+            s = np.where(own[:, None] == part[None, :], -np.inf, x @ y.T)
+            best = s.argmax(axis=1)
+            at = np.flatnonzero(np.isfinite(s[np.arange(len(x)), best]))
+            yield pa.RecordBatch.from_arrays([pa.array(ids[at]), pa.array(there[best[at]]), pa.array(own[at]), pa.array(s[at, best[at]])], names=["src", "dst", "component", "s"])
+
+    found = means.join(components, "set_id").select("set_id", "v", "component").mapInArrow(run, "src long, dst long, component long, s double")
+    return found.groupBy("component").agg(F.max_by(F.struct("src", "dst"), F.struct("s", -F.col("src"), -F.col("dst"))).alias("p")).select("p.src", "p.dst", "component")

@@ -50,3 +50,29 @@ def speedup_at_quality(sweep: DataFrame, level: float) -> DataFrame:
     on = F.when(F.col("q0").isNull(), F.col("cost")).otherwise(F.col("c0") + (level - F.col("q0")) * (F.col("cost") - F.col("c0")) / (F.col("quality") - F.col("q0")))
     reach = pairs.where((F.col("quality") >= level) & (F.col("q0").isNull() | (F.col("q0") < level)))
     return reach.groupBy("method").agg(F.round(F.min(on), 6).alias("cost"))
+
+
+def latency(search, repeats: int = 10) -> float:
+    """Mean seconds of a batch of queries over `repeats` runs, results thrown away."""
+    import time
+
+    took = []
+    for _ in range(repeats):
+        began = time.time()
+        search().write.format("noop").mode("overwrite").save()
+        took.append(time.time() - began)
+    return sum(took) / len(took)
+
+
+def stored_bytes(df: DataFrame) -> int:
+    """Bytes of a table as Parquet."""
+    from .iterate import shared
+
+    spark = df.sparkSession
+    path = shared(spark, "size")
+    df.write.parquet(path)
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    files = p.getFileSystem(spark._jsc.hadoopConfiguration())
+    size = files.getContentSummary(p).getLength()
+    files.delete(p, True)
+    return size

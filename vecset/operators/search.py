@@ -2,22 +2,23 @@
 
 from __future__ import annotations
 
+from heapq import heapify, heappop, heappush, heapreplace
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.distance import chamfer, dot, nearness
+from ..functions.distance import chamfer, dot
 from ..plans.limits import driver_table, small
-from .exact import top_k
+from .exact import nested, top_k
 from .graph import Codebook
 from .iterate import cut
 
 
 def centroid_scores(queries: DataFrame, coarse: DataFrame) -> DataFrame:
     """(query_id, vec_no, cluster_id, score)."""
-    c = coarse.select(F.col("code").alias("cluster_id"), F.col("center").alias("_c"))
-    return queries.join(F.broadcast(c)).select("query_id", "vec_no", "cluster_id", dot("v", "_c").alias("score"))
+    return code_scores(queries, coarse).select("query_id", F.col("q_no").alias("vec_no"), F.col("code").alias("cluster_id"), F.col("s").alias("score"))
 
 
 def query_clusters(scores: DataFrame, t: int = 4) -> DataFrame:
@@ -57,15 +58,23 @@ def reachable(entries: DataFrame, edges: DataFrame, membership: DataFrame | None
         seen = cut(seen.unionAll(front))
 
 
+def qch_of(pairs: DataFrame, query_codes: DataFrame, set_codes: DataFrame, code_sims: DataFrame) -> DataFrame:
+    """qch of the given (query_id, set_id) pairs alone: only their codes are joined."""
+    sims = code_sims.select(F.col("a").alias("q_code"), F.col("b").alias("code"), "s")
+    q = query_codes.select("query_id", F.col("vec_no").alias("q_no"), F.col("code").alias("q_code"))
+    codes = pairs.select("query_id", "set_id").join(set_codes.select("set_id", "code").distinct(), "set_id")
+    return chamfer(codes.join(small(q.join(sims, "q_code")), ["query_id", "code"]))
+
+
 def search_exhaustive(entries, edges, membership, routed, query_codes, set_codes, code_sims, k: int) -> DataFrame:
-    """Top k by quantized Chamfer of all that is reachable under the cluster guard: what a beam without limit returns."""
-    reach = reachable(entries, edges, membership, routed)
-    scores = qch(query_codes, set_codes, code_sims).join(reach, ["query_id", "set_id"], "left_semi")
-    return top_k(scores, k)
+    """Top k by quantized Chamfer of all that is reachable under the cluster guard: what a beam without limit returns. Only what was
+    reached is scored."""
+    return top_k(qch_of(reachable(entries, edges, membership, routed), query_codes, set_codes, code_sims), k)
 
 
 def superstep(state: DataFrame, edges: DataFrame, allowed: DataFrame, scores: DataFrame, ef: int) -> DataFrame:
-    """One round of the search: (query_id, path, set_id, score, expanded). scores: (query_id, set_id, score), larger is nearer.
+    """One round of the search: (query_id, path, set_id, score, expanded). scores: (query_id, set_id, score), larger is nearer, or a
+    function that gives them for (query_id, set_id) pairs, so that only new neighbours are scored.
 
     Each path takes its best unexpanded entry, unless the results are full and it is worse than the worst of them. Its neighbours
     in the query's clusters that nobody saw are scored; one that several paths reach is the least path's. The ef best stay, with all
@@ -78,7 +87,8 @@ def superstep(state: DataFrame, edges: DataFrame, allowed: DataFrame, scores: Da
     pick = ranked.where("expanded = 0").withColumn("_n", F.row_number().over(best)).where("_n = 1").join(worst, "query_id", "left").where("worst is null or score >= worst")
     near = pick.join(edges.select(F.col("src").alias("set_id"), "dst").distinct(), "set_id").groupBy("query_id", F.col("dst").alias("set_id")).agg(F.min("path").alias("path"))
     near = near.join(allowed, ["query_id", "set_id"], "left_semi").join(state.select("query_id", "set_id"), ["query_id", "set_id"], "left_anti")
-    new = near.join(scores, ["query_id", "set_id"]).select("query_id", "path", "set_id", "score", F.lit(0).alias("expanded"))
+    scored = scores(near) if callable(scores) else scores
+    new = near.join(scored, ["query_id", "set_id"]).select("query_id", "path", "set_id", "score", F.lit(0).alias("expanded"))
     done = pick.select("query_id", "set_id", F.lit(1).alias("_d"))
     old = state.join(done, ["query_id", "set_id"], "left").select("query_id", "path", "set_id", "score", F.greatest("expanded", F.coalesce("_d", F.lit(0))).alias("expanded"))
     both = old.unionAll(new).withColumn("place", F.row_number().over(rank))
@@ -88,8 +98,12 @@ def superstep(state: DataFrame, edges: DataFrame, allowed: DataFrame, scores: Da
 def search_frontier(entries, edges, membership, routed, query_codes, set_codes, code_sims, k: int, ef: int) -> DataFrame:
     """Beam search by supersteps, for indexes that no task holds whole: ends when a round expands nothing, however many it takes."""
     allowed = cut(routed.join(membership.select("set_id", "cluster_id"), "cluster_id").select("query_id", "set_id").distinct())
-    scores = cut(qch(query_codes, set_codes, code_sims).join(allowed, ["query_id", "set_id"], "left_semi"))
-    state = entries.join(scores, ["query_id", "set_id"]).groupBy("query_id", "set_id", "score").agg(F.min("cluster_id").alias("path"))
+    first = entries.join(allowed, ["query_id", "set_id"], "left_semi")
+
+    def scores(pairs: DataFrame) -> DataFrame:
+        return qch_of(pairs, query_codes, set_codes, code_sims)
+
+    state = first.join(scores(first.select("query_id", "set_id").distinct()), ["query_id", "set_id"]).groupBy("query_id", "set_id", "score").agg(F.min("cluster_id").alias("path"))
     state, last = cut(state.select("query_id", "path", "set_id", "score", F.lit(0).alias("expanded"))), -1
     while True:
         state = cut(superstep(state, edges, allowed, scores, ef))
@@ -99,51 +113,76 @@ def search_frontier(entries, edges, membership, routed, query_codes, set_codes,
         last = done
 
 
+class Runs:
+    """Rows (key, value) as runs: the values of a key by one look-up."""
+
+    def __init__(self, table: pa.Table, key: str, value: str):
+        keys, values = table.column(key).to_numpy(), table.column(value).to_numpy()
+        order = np.lexsort((values, keys))
+        self.keys, start = np.unique(keys[order], return_index=True)
+        self.values, self.start = values[order], np.append(start, len(keys))
+        self.at = {k: i for i, k in enumerate(self.keys.tolist())}
+
+    def __getitem__(self, key: int) -> np.ndarray:
+        i = self.at.get(key)
+        return self.values[:0] if i is None else self.values[self.start[i] : self.start[i + 1]]
+
+    def all(self, keys: list[int]) -> tuple[np.ndarray, np.ndarray]:
+        """(values of all these keys in a row, where each key's begin); every key has some."""
+        parts = [self[k] for k in keys]
+        n = np.array([len(p) for p in parts])
+        return np.concatenate(parts), np.cumsum(n) - n
+
+
 def search_kernel(queries: DataFrame, routed: DataFrame, entries: DataFrame, edges: DataFrame, membership: DataFrame, coded: DataFrame, codebook: DataFrame, k: int, ef: int, multi_path: bool = True, guard: bool = True) -> DataFrame:
-    """(query_id, set_id, score, rnk, scored, hops, guarded): the beam search of an index of a checked size, which each task holds;
-    the queries are dealt out. One queue for each entry (or one for all), a shared result list and shared marks; a queue ends when its
-    best is worse than the worst result. queries: (query_id, codes)."""
+    """(query_id, set_id, score, rnk, scored, hops, guarded): the beam search of an index of a checked size, which each task holds
+    (one broadcast for all its queries); the queries are dealt out. One queue for each entry (or one for all), a shared result list
+    and shared marks; a queue ends when its best is worse than the worst result. queries: (query_id, codes)."""
     book = Codebook(codebook)
-    e = driver_table(edges.select("src", "dst").distinct())
-    m = driver_table(membership.select("set_id", "cluster_id"))
-    c = driver_table(coded.select("set_id", "code").distinct())
-    near, own, bag = {}, {}, {}
-    for table, into, (a, b) in ((e, near, ("src", "dst")), (m, own, ("set_id", "cluster_id")), (c, bag, ("set_id", "code"))):
-        keys, values = table.column(a).to_numpy(), table.column(b).to_numpy()
-        order = np.lexsort((values, keys))
-        names, start = np.unique(keys[order], return_index=True)
-        into.update(zip(names.tolist(), np.split(values[order], start[1:]), strict=True))
-    sims = book.centers @ book.centers.T
+    near = Runs(driver_table(edges.select("src", "dst").distinct()), "src", "dst")
+    own = Runs(driver_table(membership.select("set_id", "cluster_id")), "set_id", "cluster_id")
+    bag = Runs(driver_table(coded.select("set_id", "code").distinct()), "set_id", "code")
+    held = queries.sparkSession.sparkContext.broadcast((book.centers, near, own, bag))
     asked = queries.join(routed.groupBy("query_id").agg(F.collect_set("cluster_id").alias("clusters")), "query_id")
     asked = asked.join(entries.groupBy("query_id").agg(F.array_sort(F.collect_set("set_id")).alias("entries")), "query_id")
 
     def one(codes, clusters, entries):
-        score = lambda s: int(sims[np.ix_(codes, bag[s])].max(axis=1).sum())
-        inside = lambda s: not guard or any(x in clusters for x in own.get(s, ()))
-        seen = {s: score(s) for s in entries}
-        queues = [[(-seen[s], s)] for s in entries] if multi_path else [[(-seen[s], s) for s in entries]]
+        centers, near, own, bag = held.value
+        names, n = np.unique(np.array(codes), return_counts=True)
+        sims, n = (centers[names] @ centers.T), n[:, None]
+
+        def scores(sets: list[int]) -> list[int]:
+            flat, start = bag.all(sets)
+            return (n * np.maximum.reduceat(sims[:, flat], start, axis=1)).sum(axis=0).astype(np.int64).tolist()
+
+        seen = dict(zip(entries, scores(entries), strict=True))
+        queues = [[(-seen[s], s)] for s in entries] if multi_path else [sorted((-seen[s], s) for s in entries)]
+        best = sorted(seen.values(), reverse=True)[:ef]  # the ef best scores so far, as a heap with the worst first
+        heapify(best)
         hops = guarded = 0
-        while any(queues):
-            for queue in queues:
-                if not queue:
-                    continue
-                queue.sort()
-                top = sorted(seen.values(), reverse=True)[:ef]
-                first, s = queue.pop(0)
-                if len(top) == ef and -first < top[-1]:
+        live = [q for q in queues if q]
+        while live:
+            for queue in live:
+                first, s = heappop(queue)
+                if len(best) == ef and -first < best[0]:
                     queue.clear()
                     continue
                 hops += 1
-                for v in near.get(s, np.zeros(0, int)).tolist():
-                    if v in seen:
-                        continue
-                    if not inside(v):
-                        guarded += 1
-                        continue
-                    seen[v] = score(v)
-                    queue.append((-seen[v], v))
-        best = sorted(seen.items(), key=lambda x: (-x[1], x[0]))[:ef]
-        return best[:k], len(seen), hops, guarded
+                new = [v for v in near[s].tolist() if v not in seen]
+                if guard:
+                    inside = [v for v in new if not clusters.isdisjoint(own[v].tolist())]
+                    guarded += len(new) - len(inside)
+                    new = inside
+                for v, score in zip(new, scores(new) if new else (), strict=True):
+                    seen[v] = score
+                    heappush(queue, (-score, v))
+                    if len(best) < ef:
+                        heappush(best, score)
+                    elif score > best[0]:
+                        heapreplace(best, score)
+            live = [q for q in live if q]
+        top = sorted(seen.items(), key=lambda x: (-x[1], x[0]))[: min(ef, k)]
+        return top, len(seen), hops, guarded
 
     def run(batches):
         for batch in batches:
@@ -156,9 +195,56 @@ def search_kernel(queries: DataFrame, routed: DataFrame, entries: DataFrame, edg
     return asked.select("query_id", "codes", "clusters", "entries").mapInArrow(run, "query_id long, set_id long, score long, rnk long, scored long, hops long, guarded long")
 
 
+def pair_scores(cands: DataFrame, queries: DataFrame, vectors: DataFrame, ground: str = "cosine", least: int | None = None) -> DataFrame:
+    """(query_id, set_id, score): Chamfer scores of the given pairs. Only the candidates' vectors are read; they meet by set with the
+    queries that ask for them, whose vectors, a stated set of a checked size, each task has. A matrix product for each pair. least: products count by what they have above it."""
+    asked = driver_table(queries.select("query_id", "vec_no", "v").orderBy("query_id", "vec_no"))
+    ids = asked.column("query_id").to_numpy()
+    x = np.array(asked.column("v").to_pylist(), np.float64)
+    names, start = np.unique(ids, return_index=True)
+    held = queries.sparkSession.sparkContext.broadcast(dict(zip(names.tolist(), np.split(x, start[1:]), strict=True)) if len(ids) else {})
+    by = cands.select("query_id", "set_id").distinct().groupBy("set_id").agg(F.collect_list("query_id").alias("asks"))
+    rows = nested(vectors.join(small(by.select("set_id")), "set_id", "left_semi")).join(by, "set_id")
+
+    def run(batches):
+        for batch in batches:
+            col, out = batch.column("vecs"), []
+            n, flat = col.value_lengths().to_numpy().astype(np.int64), col.flatten()
+            y = flat.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(flat), -1) if len(flat) else np.zeros((0, 1))
+            for i, p, asks in zip(batch.column("set_id").to_pylist(), np.split(y, np.cumsum(n)[:-1]) if len(n) else [], batch.column("asks").to_pylist(), strict=True):
+                for q in asks:
+                    if (v := held.value.get(q)) is None:
+                        continue
+                    dots = v @ p.T
+                    if ground != "cosine":
+                        dots = 2 * dots - (v * v).sum(axis=1)[:, None] - (p * p).sum(axis=1)[None, :]
+                    best = dots.max(axis=1)
+                    out.append((q, i, int((best if least is None else np.maximum(best - least, 0)).sum())))
+            yield pa.RecordBatch.from_arrays([pa.array([o[c] for o in out], pa.int64()) for c in range(3)], names=["query_id", "set_id", "score"])
+
+    return rows.select("set_id", "vecs", "asks").mapInArrow(run, "query_id long, set_id long, score long")
+
+
 def rerank(cands: DataFrame, queries: DataFrame, vectors: DataFrame, k: int, ground: str = "cosine") -> DataFrame:
-    """Exact Chamfer of (query_id, set_id) candidates: only their vectors are read."""
-    c = cands.select("query_id", "set_id").distinct()
-    q = queries.select("query_id", F.col("vec_no").alias("q_no"), F.col("v").alias("_q"))
-    pairs = vectors.join(small(c), "set_id").join(small(q), "query_id").select("query_id", "q_no", "set_id", "vec_no", nearness("_q", "v", ground).alias("s"))
-    return top_k(chamfer(pairs), k)
+    """Exact Chamfer of (query_id, set_id) candidates."""
+    return top_k(pair_scores(cands, queries, vectors, ground), k)
+
+
+def code_scores(queries: DataFrame, codebook: DataFrame, most: int | None = None) -> DataFrame:
+    """(query_id, q_no, code, s): inner products of query vectors and centres, of the `most` nearest or of all. A map by matrix
+    products; the codebook is of a checked size."""
+    book = driver_table(codebook.select("code", "center").orderBy("code"))
+    codes, centers = book.column("code").to_numpy().astype(np.int32), np.array(book.column("center").to_pylist(), np.float64)
+
+    def run(batches):
+        for batch in batches:
+            col = batch.column("v")
+            for lo in range(0, batch.num_rows, 1024):
+                x = col.slice(lo, 1024).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, centers.shape[1])
+                s = x @ centers.T
+                at = np.argsort(-s, axis=1, kind="stable")[:, : most or s.shape[1]]
+                took = batch.slice(lo, 1024).take(pa.array(np.repeat(np.arange(len(x)), at.shape[1])))
+                yield pa.RecordBatch.from_arrays([took.column("query_id"), took.column("vec_no"), pa.array(codes[at.ravel()]), pa.array(np.take_along_axis(s, at, 1).ravel().astype(np.int64))], names=["query_id", "q_no", "code", "s"])
+
+    kinds = dict(queries.dtypes)
+    return queries.select("query_id", "vec_no", "v").mapInArrow(run, f"query_id {kinds['query_id']}, q_no {kinds['vec_no']}, code int, s long")

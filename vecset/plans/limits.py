@@ -22,9 +22,12 @@ def driver_table(df: DataFrame, most_rows: int = MOST_ROWS) -> pa.Table:
     return table
 
 
-def small(df: DataFrame, most_bytes: int = 64 << 20) -> DataFrame:
-    """df with a broadcast hint if its estimated size is within most_bytes; else as it is, for a shuffled join."""
+def small(df: DataFrame, most_bytes: int = 64 << 20, most_rows: int = 100_000) -> DataFrame:
+    """df with a broadcast hint if its estimated size is within most_bytes, or, where Spark has no estimate (a table made from rows of
+    the driver, say), if it has at most most_rows; else as it is, for a shuffled join."""
     size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if size > 1 << 50 and df.limit(most_rows + 1).count() <= most_rows:
+        size = 0
     return F.broadcast(df) if size <= most_bytes else df
 
 
@@ -36,3 +39,9 @@ def distance_tier(k1: int, most_table: int = 4096) -> str:
 def search_engine(index_bytes: int, n_queries: int) -> str:
     """kernel: the whole index in each task, queries dealt out; frontier: supersteps of joins."""
     return "kernel" if index_bytes <= MOST_BYTES else "frontier"
+
+
+def engine_for(edges: DataFrame, codes: DataFrame) -> str:
+    """search_engine by the rows that a task would hold, 16 bytes each; neither table may pass what driver_table takes."""
+    rows = [edges.count(), codes.count()]
+    return search_engine(16 * sum(rows) if max(rows) <= MOST_ROWS else 1 << 62, 0)

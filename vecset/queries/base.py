@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..operators import clusters as C
 from ..sources import tables as T
+from ..plans.limits import small
 
 K1, K2, M = 64, 8, 4
 
@@ -72,7 +73,7 @@ class Fixture:
         from ..functions.distance import dot
 
         other = self.fine.select(F.col("code").alias("b"), F.col("center").alias("_c"))
-        return self.fine.select(F.col("code").alias("a"), "center").join(F.broadcast(other)).select("a", "b", dot("center", "_c").alias("s"))
+        return self.fine.select(F.col("code").alias("a"), "center").join(small(other)).select("a", "b", dot("center", "_c").alias("s"))
 
 
 def fp(v: str) -> str:

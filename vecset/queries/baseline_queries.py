@@ -187,8 +187,29 @@ def pq_adc_topk(spark, folder):
 
 @key()
 def fde_pq_graph(spark, folder):
-    """The folded encoding's candidates, then exact scores."""
+    """Folded vectors as product codes, a graph over them, its beam search, then exact scores of 30."""
     f = Fixture(spark, folder)
-    return B.refine(B.fde_single(f.queries, f.vectors, 30, 3, 2), f.queries, f.vectors, 10)
+    return B.refine(B.build_folded(f.vectors, 4, 2, 16, 8, 32, 8).search(f.queries, 30, 60), f.queries, f.vectors, 10)
+
+
+@key()
+def posting_residual_topk(spark, folder):
+    """Candidates of the probed lists scored by their decompressed vectors, then exactly."""
+    from ..operators.exact import top_k
+
+    f = Fixture(spark, folder)
+    packed = B.residual_codes(f.coded, f.fine, [-120, -40, 40, 120])
+    return B.refine(top_k(B.residual_scores(f.queries, _posted(f), packed, f.fine, [-120, -40, 40, 120]), 20), f.queries, f.vectors, 10)
+
+
+@key()
+def centroid_graph_walk(spark, folder):
+    """Codes in the order of a walk of the graph over the centres; their lists up to the budget; then exact scores."""
+    from ..operators.exact import top_k
+    from ..operators.single import vector_graph
+
+    f = Fixture(spark, folder)
+    graph = vector_graph(f.fine.select(F.col("code").cast("long").alias("set_id"), F.col("center").alias("v")), 8)
+    return B.refine(top_k(B.walked_candidates(f.queries, f.coded, f.fine, graph, 20, 32), 20), f.queries, f.vectors, 10)
 
 

@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from ..operators import clusters as C
 from ..operators import search as S
+from ..plans.limits import small
 from .base import Fixture, Registry, ctes, dot
 
 key = Registry()
@@ -51,7 +52,7 @@ PARENT = f"par AS (SELECT code, cluster_id FROM (SELECT fine.code, cluster_id, r
 @key(f"WITH {ctes()}, {PARENT} SELECT set_id, vec_no, par.cluster_id FROM coded JOIN par USING (code)")
 def assign_coarse_via_fine(spark, folder):
     f = Fixture(spark, folder)
-    return f.coded.join(F.broadcast(C.fine_parents(f.fine, f.coarse)), "code").select("set_id", "vec_no", "cluster_id")
+    return f.coded.join(small(C.fine_parents(f.fine, f.coarse)), "code").select("set_id", "vec_no", "cluster_id")
 
 
 @key(f"WITH {ctes()} SELECT DISTINCT set_id, cluster_id FROM assigned")
@@ -87,12 +88,12 @@ def membership_example(spark, folder):
     return C.top_clusters(p, 2)
 
 
-TRAIN = "train AS (SELECT DISTINCT query_id, (query_id * 7 + 3) % 125 AS set_id FROM qv)"
+TRAIN = "train AS (SELECT DISTINCT query_id, (query_id * 7 + 3) % (SELECT count(DISTINCT set_id) FROM vec) AS set_id FROM qv)"
 ROUTED = f"routed AS (SELECT DISTINCT query_id, cluster_id FROM (SELECT query_id, cluster_id, row_number() OVER (PARTITION BY query_id, vec_no ORDER BY {dot('v', 'center')} DESC, cluster_id) AS n FROM qv, coarse) WHERE n <= 2)"
 
 
 def train(f):
-    return f.queries.select("query_id").distinct().withColumn("set_id", (F.col("query_id") * 7 + 3) % 125)
+    return f.queries.select("query_id").distinct().withColumn("set_id", (F.col("query_id") * 7 + 3) % f.n_sets())
 
 
 @key(f"WITH {ctes()}, {TRAIN}, {ROUTED} SELECT train.query_id, train.set_id, CAST(least(10, coalesce(min(prof.rnk) FILTER (WHERE routed.cluster_id IS NOT NULL), 10)) AS INTEGER) AS r FROM train LEFT JOIN prof USING (set_id) LEFT JOIN routed ON routed.query_id = train.query_id AND routed.cluster_id = prof.cluster_id GROUP BY ALL")
@@ -126,7 +127,7 @@ def avg_clusters_per_set(spark, folder):
 def thin_sets(spark, folder):
     f = Fixture(spark, folder)
     idf = C.inverse_counts(C.term_counts(f.assigned), f.n_sets())
-    return C.thin(f.assigned.join(F.broadcast(idf), "cluster_id").select("set_id", "vec_no", "idf"), 2)
+    return C.thin(f.assigned.join(small(idf), "cluster_id").select("set_id", "vec_no", "idf"), 2)
 
 
 SIZES = [597_000_000, 339_000_000, 14_000_000, 9_700_000]

@@ -9,6 +9,7 @@ from ..functions import distance as D
 from ..functions import transport
 from ..operators import exact as X
 from ..operators import search as S
+from ..plans.limits import small
 from .base import EXACT, PAIRS, Fixture, Registry, chamfer, ctes, dot, sq, top
 
 key = Registry()
@@ -19,11 +20,12 @@ REAL = "list_transform(list_zip(a.embedding, b.embedding), lambda p: p[1]::DOUBL
 
 def _two(spark, folder):
     e = Fixture(spark, folder).table("embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    return e.where("vec_id < 20").select(F.col("vec_id").alias("a"), F.col("v").alias("va")).join(F.broadcast(e.where("vec_id between 20 and 59").select(F.col("vec_id").alias("b"), F.col("v").alias("vb"))))
+    asked = e.where("vec_id % 20 = 0").select(F.col("vec_id").alias("a"), F.col("v").alias("va"))
+    return e.select(F.col("vec_id").alias("b"), F.col("v").alias("vb")).join(small(asked))
 
 
 def _ground(kind, sql):
-    oracle = f"SELECT {TWO}, round({sql}, 9) AS dist FROM embeddings a, embeddings b WHERE a.vec_id < 20 AND b.vec_id BETWEEN 20 AND 59"
+    oracle = f"SELECT {TWO}, round({sql}, 9) AS dist FROM embeddings a, embeddings b WHERE a.vec_id % 20 = 0"
     key(oracle, f"ground_{kind}")(lambda spark, folder: _two(spark, folder).select("a", "b", F.round(D.ground_dist("va", "vb", kind), 9).alias("dist")))
 
 
@@ -58,7 +60,7 @@ def chamfer_l2(spark, folder):
 def chamfer_hof(spark, folder):
     f = Fixture(spark, folder)
     q = X.nested(f.queries.withColumnRenamed("query_id", "set_id")).select(F.col("set_id").alias("query_id"), F.col("vecs").alias("qs"))
-    return X.nested(f.vectors).join(F.broadcast(q)).select("query_id", "set_id", D.chamfer_nested("qs", "vecs").alias("score"))
+    return X.nested(f.vectors).join(small(q)).select("query_id", "set_id", D.chamfer_nested("qs", "vecs").alias("score"))
 
 
 @key("SELECT 186::BIGINT AS score")
@@ -91,7 +93,7 @@ def _costs(spark, folder, m):
     f = Fixture(spark, folder, m)
     n = X.nested(f.vectors).where(F.size("vecs") == m)
     a, b = n.where("set_id % 10 = 0").select(F.col("set_id").alias("a"), F.col("vecs").alias("va")), n.select(F.col("set_id").alias("b"), F.col("vecs").alias("vb"))
-    return b.join(F.broadcast(a)).where("a < b").select("a", "b", F.flatten(F.transform("va", lambda x: F.transform("vb", lambda y: 1_000_000 - D.dot(x, y)))).alias("c"))
+    return b.join(small(a)).where("a < b").select("a", "b", F.flatten(F.transform("va", lambda x: F.transform("vb", lambda y: 1_000_000 - D.dot(x, y)))).alias("c"))
 
 
 def _cost_sql(m):
@@ -141,7 +143,7 @@ def emd_meanvec_lb(spark, folder):
     f = Fixture(spark, folder, 2)
     s = X.nested(f.vectors).where(F.size("vecs") == 2).select("set_id", F.zip_with(F.col("vecs")[0], F.col("vecs")[1], lambda x, y: x + y).alias("v"))
     a = s.where("set_id % 10 = 0").select(F.col("set_id").alias("a"), F.col("v").alias("va"))
-    return s.withColumnRenamed("set_id", "b").join(F.broadcast(a)).where("a < b").select("a", "b", D.squared_l2("va", "v").alias("squared"))
+    return s.withColumnRenamed("set_id", "b").join(small(a)).where("a < b").select("a", "b", D.squared_l2("va", "v").alias("squared"))
 
 
 @key(f"{_cost_sql(2)} SELECT count(*) AS n, count(*) FILTER (WHERE least(c[1],c[2]) + least(c[3],c[4]) > least(c[1]+c[4], c[2]+c[3])) AS violations, min(least(c[1]+c[4], c[2]+c[3]) - least(c[1],c[2]) - least(c[3],c[4])) AS least_slack FROM c")
@@ -157,15 +159,15 @@ def _qemd(f, m):
     return codes.select("set_id", F.transform("cs", lambda x: x["code"]).alias("codes"))
 
 
-@key(f"""WITH {ctes(2)}, n AS (SELECT set_id, list(code ORDER BY vec_no) AS cs FROM coded GROUP BY ALL HAVING count(*) = 2), d AS (SELECT a, b, 1000000 - s AS d FROM sims)
-SELECT x.set_id AS a, y.set_id AS b, least(p.d + q.d, r.d + t.d) / 2.0 AS qemd FROM n x JOIN n y ON x.set_id % 10 = 0 AND x.set_id < y.set_id
-JOIN d p ON p.a = x.cs[1] AND p.b = y.cs[1] JOIN d q ON q.a = x.cs[2] AND q.b = y.cs[2] JOIN d r ON r.a = x.cs[1] AND r.b = y.cs[2] JOIN d t ON t.a = x.cs[2] AND t.b = y.cs[1]""")
+@key(f"""WITH {ctes(2)}, n AS MATERIALIZED (SELECT set_id, list(code ORDER BY vec_no) AS cs FROM coded GROUP BY ALL HAVING count(*) = 2), d AS MATERIALIZED (SELECT a, b, 1000000 - s AS d FROM sims),
+pr AS MATERIALIZED (SELECT x.set_id AS a, y.set_id AS b, x.cs[1] AS c1, x.cs[2] AS c2, y.cs[1] AS e1, y.cs[2] AS e2 FROM (SELECT * FROM n WHERE set_id % 10 = 0) x, n y WHERE x.set_id < y.set_id)
+SELECT pr.a, pr.b, least(p.d + q.d, r.d + t.d) / 2.0 AS qemd FROM pr JOIN d p ON p.a = c1 AND p.b = e1 JOIN d q ON q.a = c2 AND q.b = e2 JOIN d r ON r.a = c1 AND r.b = e2 JOIN d t ON t.a = c2 AND t.b = e1""")
 def qemd_m2(spark, folder):
     f = Fixture(spark, folder, 2)
     n = _qemd(f, 2)
     table = f.code_sims().agg(F.map_from_entries(F.collect_list(F.struct((F.col("a") * 1000 + F.col("b")).alias("k"), (1_000_000 - F.col("s")).alias("d")))).alias("t"))
     a = n.where("set_id % 10 = 0").select(F.col("set_id").alias("a"), F.col("codes").alias("ca"))
-    pairs = n.withColumnRenamed("set_id", "b").join(F.broadcast(a)).where("a < b").join(F.broadcast(table))
+    pairs = n.withColumnRenamed("set_id", "b").join(small(a)).where("a < b").join(small(table))
     d = lambda i, j: F.col("t")[F.col("ca")[i] * 1000 + F.col("codes")[j]]
     return pairs.select("a", "b", (F.least(d(0, 0) + d(1, 1), d(0, 1) + d(1, 0)) / 2.0).alias("qemd"))
 
@@ -189,8 +191,8 @@ def qemd_pairs(spark, folder):
             out.append(transport.emd(1_000_000 - book.centers[a] @ book.centers[b].T, ca, cb))
         return __import__("pandas").Series(out)
 
-    a = n.where("set_id % 25 = 0").select(F.col("set_id").alias("a"), F.col("codes").alias("ca"))
-    return n.withColumnRenamed("set_id", "b").join(F.broadcast(a)).where("a < b").select("a", "b", F.round(solve("ca", "codes"), 6).alias("qemd"))
+    a = n.where("set_id % 10 = 0").select(F.col("set_id").alias("a"), F.col("codes").alias("ca"))
+    return n.withColumnRenamed("set_id", "b").join(small(a)).where("a < b").select("a", "b", F.round(solve("ca", "codes"), 6).alias("qemd"))
 
 
 QPAIRS = "SELECT query_id, q.vec_no AS q_no, c.set_id, s FROM qcoded q JOIN sims ON q.code = sims.a JOIN (SELECT DISTINCT set_id, code FROM coded) c ON c.code = sims.b"
@@ -211,14 +213,14 @@ def qch_topk(spark, folder):
 @key(f"WITH {ctes()} {chamfer('SELECT query_id, qv.vec_no AS q_no, c.set_id, ' + dot('qv.v', 'fine.center') + ' AS s FROM qv, fine JOIN (SELECT DISTINCT set_id, code FROM coded) c ON c.code = fine.code')}")
 def qch_asym_pairs(spark, folder):
     f = Fixture(spark, folder)
-    table = f.queries.join(F.broadcast(f.fine)).select("query_id", F.col("vec_no").alias("q_no"), "code", D.dot("v", "center").alias("s"))
-    return D.chamfer(f.coded.select("set_id", "code").distinct().join(F.broadcast(table), "code"))
+    table = f.queries.join(small(f.fine)).select("query_id", F.col("vec_no").alias("q_no"), "code", D.dot("v", "center").alias("s"))
+    return D.chamfer(f.coded.select("set_id", "code").distinct().join(small(table), "code"))
 
 
 @key(f"WITH {ctes()} SELECT set_id, CAST(sum(1000000 - {dot('v', 'center')}) AS BIGINT) AS total, count(*) AS m FROM coded JOIN fine USING (code) GROUP BY ALL")
 def quant_error(spark, folder):
     f = Fixture(spark, folder)
-    return f.coded.join(F.broadcast(f.fine), "code").groupBy("set_id").agg(F.sum(1_000_000 - D.dot("v", "center")).alias("total"), F.count("*").alias("m"))
+    return f.coded.join(small(f.fine), "code").groupBy("set_id").agg(F.sum(1_000_000 - D.dot("v", "center")).alias("total"), F.count("*").alias("m"))
 
 
 @key(f"WITH {ctes()} SELECT query_id, vec_no, cluster_id, {dot('v', 'center')} AS score FROM qv, coarse")

@@ -11,6 +11,7 @@ from ..operators import maintain as MT
 from ..operators import metrics as E
 from ..operators import search as S
 from ..operators.exact import top_k
+from ..plans.limits import small
 from .base import Fixture, Registry, chamfer, ctes, dot, top
 from .cluster_queries import PARENT
 from .distance_queries import QPAIRS
@@ -113,11 +114,11 @@ def components(spark, folder):
 
 @key()
 def stitch_edges(spark, folder):
-    """One edge from each component to the first, between their nearest members by the codes of their least sets."""
+    """One edge from each component but the largest to its nearest set outside, by the sets' mean vectors."""
+    from ..operators.baselines import mean_vectors
+
     f = Index(spark, folder)
-    part = iterate.components(f.adj, f.mem.select("set_id").distinct()).groupBy("component").agg(F.min("set_id").alias("set_id"))
-    first = part.agg(F.min("component").alias("dst"))
-    return part.join(F.broadcast(first)).where("component <> dst").select(F.col("set_id").alias("src"), "dst")
+    return G.stitch(iterate.components(f.adj, f.mem.select("set_id").distinct()), mean_vectors(f.vectors))
 
 
 @key(f"WITH {ctes(2)}, {ROUTE} SELECT * FROM routed")
@@ -209,7 +210,7 @@ def search_example(spark, folder):
     return top_k(state.select("query_id", "set_id", "score"), 2)
 
 
-TRAIN = "train AS (SELECT DISTINCT query_id, (query_id * 7 + 3) % 250 AS set_id FROM qv)"
+TRAIN = "train AS (SELECT DISTINCT query_id, (query_id * 7 + 3) % (SELECT count(DISTINCT set_id) FROM vec) AS set_id FROM qv)"
 HITS = f"hits AS MATERIALIZED ({top(chamfer(QPAIRS), 10)})"
 SHORT = "short AS (SELECT DISTINCT least(h.set_id, t.set_id) AS u, greatest(h.set_id, t.set_id) AS v FROM train t JOIN hits h ON h.query_id = t.query_id AND h.rnk = 1 WHERE h.set_id <> t.set_id AND NOT EXISTS (SELECT 1 FROM hits x WHERE x.query_id = t.query_id AND x.set_id = t.set_id)), fresh AS MATERIALIZED (SELECT u, v FROM short WHERE NOT EXISTS (SELECT 1 FROM adj WHERE (src = u AND dst = v) OR (src = v AND dst = u)))"
 
@@ -217,7 +218,7 @@ SHORT = "short AS (SELECT DISTINCT least(h.set_id, t.set_id) AS u, greatest(h.se
 def _shortcuts(spark, folder):
     f = Index(spark, folder)
     hits = top_k(S.qch(f.query_codes, f.codes, f.code_sims()), 10)
-    train = f.queries.select("query_id").distinct().withColumn("set_id", (F.col("query_id") * 7 + 3) % 250)
+    train = f.queries.select("query_id").distinct().withColumn("set_id", (F.col("query_id") * 7 + 3) % f.n_sets())
     return f, G.shortcut_candidates(hits, train, f.adj)
 
 
@@ -236,9 +237,18 @@ def shortcut_edges(spark, folder):
 
 @key()
 def shortcut_coverage(spark, folder):
-    f, pairs = _shortcuts(spark, folder)
-    pairs = pairs.withColumn("h", F.conv(F.substring(F.md5(F.col("u").cast("string")), 1, 4), 16, 10).cast("long"))
-    return pairs.agg(*[F.count(F.when(F.col("h") < 65536 * p // 100, 1)).alias(f"at_{p}") for p in (5, 10, 20, 40)])
+    """(sample, pairs, shortcuts): nested samples of the training pairs of the documents, and the edges that searching for them gives."""
+    from dataclasses import replace
+
+    from ..operators.index import sampled_pairs, with_shortcuts
+    from .study_queries import CONFIG, built, work_set
+
+    work, rows = work_set(spark, folder, "w1"), []
+    index = built(work, replace(CONFIG, shortcuts=False))
+    for percent in (5, 10, 20, 40):
+        tried = replace(index, config=replace(CONFIG, sample=percent))
+        rows.append((percent, sampled_pairs(work.train, percent).count(), with_shortcuts(tried, work.train_queries, work.train).where("kind = 'shortcut'").count() // 2))
+    return spark.createDataFrame(rows, "sample int, pairs long, shortcuts long")
 
 
 @key()

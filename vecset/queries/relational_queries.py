@@ -26,7 +26,7 @@ plan("join_outer", "SELECT n_name, count(s_suppkey) AS suppliers FROM nation LEF
 plan("semi_relevant", "SELECT doc_id FROM documents WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)", lambda t: t("documents").join(t("labels").where("quality = 1"), "doc_id", "left_semi").select("doc_id"))
 plan("anti_missed", "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)", lambda t: t("documents").join(t("labels"), "doc_id", "left_anti").select("doc_id"))
 plan("theta_price_band", "SELECT s_suppkey, r_regionkey FROM supplier JOIN region ON s_acctbal > r_regionkey * 2000", lambda t: t("supplier").join(F.broadcast(t("region")), F.col("s_acctbal") > F.col("r_regionkey") * 2000).select("s_suppkey", "r_regionkey"))
-plan("range_join_sizes", "SELECT a.doc_id AS a, b.doc_id AS b FROM documents a JOIN documents b ON b.n_chars BETWEEN a.n_chars AND a.n_chars + 5 WHERE a.doc_id < b.doc_id AND a.doc_id % 10 = 0", lambda t: _bands(t("documents").select("doc_id", "n_chars"), 5))
+plan("range_join_sizes", "SELECT a.doc_id AS a, b.doc_id AS b FROM documents a JOIN documents b ON b.n_chars BETWEEN a.n_chars AND a.n_chars + 5 WHERE a.doc_id < b.doc_id", lambda t: _bands(t("documents").select("doc_id", "n_chars"), 5))
 plan("asof_events", "SELECT event_id, prev FROM (SELECT event_id, event_type, last_value(CASE WHEN event_type = 'purchase' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS prev FROM events)", lambda t: t("events").select("event_id", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), True).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)).alias("prev")))
 plan("interval_join_events", "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 30 MINUTE", lambda t: t("events").select(F.col("event_id").alias("a"), "user_id", F.col("ts").alias("ta")).join(t("events").select(F.col("event_id").alias("b"), "user_id", F.col("ts").alias("tb")), "user_id").where("tb > ta and tb <= ta + interval 30 minutes").select("a", "b"))
 plan("agg_basic", "SELECT l_returnflag, l_linestatus, count(*) AS n, CAST(sum(l_quantity) AS BIGINT) AS quantity, round(avg(l_discount), 6) AS discount FROM lineitem GROUP BY ALL", lambda t: t("lineitem").groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum("l_quantity").cast("long").alias("quantity"), F.round(F.avg("l_discount"), 6).alias("discount")))
@@ -75,6 +75,6 @@ plan("session_sets", "SELECT user_id, s, count(*) AS n FROM (SELECT user_id, CAS
 
 def _bands(d, width):
     """Sizes within `width` above: rows meet in buckets of that width, so each goes to two of them and no pair is made twice."""
-    a = d.where("doc_id % 10 = 0").select(F.col("doc_id").alias("a"), F.col("n_chars").alias("na"), F.explode(F.sequence(F.floor(F.col("n_chars") / width), F.floor((F.col("n_chars") + width) / width))).alias("band"))
+    a = d.select(F.col("doc_id").alias("a"), F.col("n_chars").alias("na"), F.explode(F.sequence(F.floor(F.col("n_chars") / width), F.floor((F.col("n_chars") + width) / width))).alias("band"))
     b = d.select(F.col("doc_id").alias("b"), F.col("n_chars").alias("nb"), F.floor(F.col("n_chars") / width).alias("band"))
     return a.join(b, "band").where((F.col("nb") >= F.col("na")) & (F.col("nb") <= F.col("na") + width) & (F.col("a") < F.col("b"))).select("a", "b")

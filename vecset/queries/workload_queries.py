@@ -2,29 +2,28 @@
 
 from __future__ import annotations
 
-import time
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import baselines as B
 from ..operators import metrics as E
 from ..operators import search as S
+from ..operators.contain import contained
 from ..operators.exact import exact_topk, top_k
+from ..plans.limits import small
 from .base import EXACT, Fixture, Registry, chamfer, ctes, top
 from .distance_queries import QPAIRS
 
 key = Registry()
 QUERIES, ORACLES = key.queries, key.oracles
 
-QRELS = "qrels AS (SELECT DISTINCT query_id, query_id AS set_id FROM qv UNION ALL SELECT DISTINCT query_id, (query_id + 1) % 125 FROM qv)"
+QRELS = "qrels AS (SELECT DISTINCT query_id, query_id AS set_id FROM qv UNION ALL SELECT DISTINCT query_id, (query_id + 1) % (SELECT count(DISTINCT set_id) FROM vec) FROM qv)"
 HITS = f"hits AS MATERIALIZED ({top(chamfer(QPAIRS), 10)})"
 PER = "per AS (SELECT query_id, count(rnk) AS found, count(*) AS relevant, min(rnk) AS first FROM qrels LEFT JOIN (SELECT * FROM hits WHERE rnk <= 10) h USING (query_id, set_id) GROUP BY ALL)"
 
 
 def qrels(f) -> DataFrame:
     q = f.queries.select("query_id").distinct()
-    return q.select("query_id", F.col("query_id").alias("set_id")).unionAll(q.select("query_id", ((F.col("query_id") + 1) % 125).alias("set_id")))
+    return q.select("query_id", F.col("query_id").alias("set_id")).unionAll(q.select("query_id", ((F.col("query_id") + 1) % f.n_sets()).alias("set_id")))
 
 
 def coded_hits(f, k=10) -> DataFrame:
@@ -43,13 +42,13 @@ _measure("mrr_at_k", "coalesce(1.0 / first, 0.0)", E.mrr_at_k)
 _measure("success_at_k", "CASE WHEN found > 0 THEN 1.0 ELSE 0.0 END", E.success_at_k)
 
 
-@key(f"WITH {ctes()}, {HITS}, qrels AS (SELECT DISTINCT query_id, query_id AS set_id FROM qv), {PER} SELECT 0.0::DOUBLE AS difference FROM (SELECT round(avg(found / relevant::DOUBLE), 6) AS r FROM per)")
+@key(f"WITH {ctes()}, {HITS}, qrels AS (SELECT DISTINCT query_id, query_id AS set_id FROM qv), {PER} SELECT round(avg(found / relevant::DOUBLE), 6) - round(avg(CASE WHEN found > 0 THEN 1.0 ELSE 0.0 END), 6) AS difference FROM per")
 def recall_equals_success(spark, folder):
     """With one relevant set for each query, recall and success agree."""
     f = Fixture(spark, folder)
     one = f.queries.select("query_id", F.col("query_id").alias("set_id")).distinct()
     a, b = E.recall_at_k(coded_hits(f), one, 10), E.success_at_k(coded_hits(f), one, 10)
-    return a.select(F.col("value").alias("a")).join(F.broadcast(b.select(F.col("value").alias("b")))).select((F.col("a") - F.col("b")).alias("difference"))
+    return a.select(F.col("value").alias("a")).join(small(b.select(F.col("value").alias("b")))).select((F.col("a") - F.col("b")).alias("difference"))
 
 
 @key(f"WITH {ctes()}, {HITS}, ex AS ({EXACT}), qrels AS (SELECT query_id, set_id FROM ex), {PER} SELECT 10 AS k, round(avg(found / relevant::DOUBLE), 6) AS value FROM per")
@@ -78,7 +77,10 @@ COLUMNS = ["variant", "edge", "multi_path", "cutoff", "bridge_mode", "shortcuts"
 
 @key("SELECT * FROM (VALUES " + ", ".join(str(s) for s in SWITCHES) + f") t({', '.join(COLUMNS)})")
 def ablation_config(spark, folder):
-    return spark.createDataFrame(SWITCHES, COLUMNS)
+    from .study_queries import VARIANTS
+
+    default = {"edge": "qemd", "multi_path": True, "cutoff": "tree", "bridge_mode": "reserve", "shortcuts": True}
+    return spark.createDataFrame([(name, *((default | build | search)[c] for c in COLUMNS[1:])) for name, (build, search) in VARIANTS.items()], COLUMNS)
 
 
 # Workloads: relevance pairs ---------------------------------------------------------------------------------------------------
@@ -86,11 +88,9 @@ def ablation_config(spark, folder):
 
 @key("SELECT item_id AS query_id, doc_id AS set_id FROM benchmark, documents WHERE contains(documents.text, benchmark.text)")
 def w1_qrels(spark, folder):
-    """Documents that hold a passage. The passages are a stated query set of bounded size: each task searches its documents for all of
-    them; the rows made are the hits."""
+    """Documents that hold a passage."""
     f = Fixture(spark, folder)
-    b = f.table("benchmark").select(F.col("item_id").alias("query_id"), F.col("text").alias("passage"))
-    return f.table("documents").select(F.col("doc_id").alias("set_id"), "text").join(F.broadcast(b), F.contains("text", "passage")).select("query_id", "set_id")
+    return contained(f.table("documents").select("doc_id", "text"), f.table("benchmark").select("item_id", "text"))
 
 
 @key("SELECT a.conv_id * 1000 + a.turn AS query_id, b.conv_id * 1000 + b.turn AS set_id FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1 WHERE a.role = 'user' AND b.role = 'assistant'")
@@ -139,81 +139,3 @@ def w16_clusters_per_set(spark, folder):
 def w17_exact_truth(spark, folder):
     f = Fixture(spark, folder)
     return exact_topk(f.queries, f.vectors, 10)
-
-
-# Workloads: methods side by side ----------------------------------------------------------------------------------------------
-
-
-def methods(f):
-    from .graph_queries import Index
-
-    i = Index(f.spark, f.folder)
-    q, v = i.queries, i.vectors
-    return {
-        "brute": lambda k: exact_topk(q, v, k),
-        "mean_single": lambda k: B.mean_single(q, v, k),
-        "centroid_postings": lambda k: B.refine(B.posting_candidates(q, i.coded, i.fine, 8, 100_000, 4 * k), q, v, k),
-        "lsh_sketch": lambda k: B.refine(B.lsh_sketch(q, v, 4 * k, 16, 4), q, v, k),
-        "fde_single": lambda k: B.refine(B.fde_single(q, v, 4 * k, 4, 2), q, v, k),
-        "centroid_graph": lambda k: B.refine(top_k(B.incremental_candidates(q, i.coded, i.fine, 5 * k), 4 * k), q, v, k),
-        "set_graph": lambda k: S.rerank(i.kernel(k=4 * k, ef=10 * k, t=4), q, v, k),
-    }, exact_topk(q, v, 10), i
-
-
-@key()
-def w5_overview(spark, folder):
-    """(method, metric, value, seconds): recall of the exact ten, and wall time of the batch."""
-    f, rows = Fixture(spark, folder), []
-    all_, truth, _ = methods(f)
-    truth = truth.cache()
-    for name, run in all_.items():
-        began = time.time()
-        hits = run(10).cache()
-        hits.count()
-        took = time.time() - began
-        rows.append((name, "recall@10", E.ann_recall(hits, truth, 10).first()["value"], took))
-    return spark.createDataFrame(rows, "method string, metric string, value double, seconds double")
-
-
-def _sweep(name, param, values, run):
-    @key(None, name)
-    def workload(spark, folder):
-        all_, truth, i = methods(Fixture(spark, folder))
-        truth, rows = truth.cache(), []
-        for v in values:
-            hits = run(i, v).cache()
-            cost = hits.agg(F.max("scored")).first()[0]
-            exact = S.rerank(hits, i.queries, i.vectors, 10)
-            rows.append((param, v, E.ann_recall(exact, truth, 10).first()["value"], cost))
-        return spark.createDataFrame(rows, "param string, setting long, recall double, scored long")
-
-
-_sweep("w7_curve", "ef", (10, 40, 100), lambda i, v: i.kernel(k=20, ef=max(v, 20), t=4))
-_sweep("w10_vary_t", "t", (1, 2, 4, 8), lambda i, v: i.kernel(k=20, ef=60, t=v))
-_sweep("w11_vary_rerank", "rerank_k", (10, 20, 40, 80), lambda i, v: i.kernel(k=v, ef=80, t=4))
-
-
-@key()
-def w6_vary_k(spark, folder):
-    f, rows = Fixture(spark, folder), []
-    all_, _, i = methods(f)
-    for k in (1, 10, 50):
-        truth = exact_topk(i.queries, i.vectors, k)
-        for name in ("set_graph", "centroid_postings", "mean_single"):
-            rows.append((name, k, E.ann_recall(all_[name](k), truth, k).first()["value"]))
-    return spark.createDataFrame(rows, "method string, k int, recall double")
-
-
-@key()
-def w9_ablation(spark, folder):
-    from .graph_queries import Index
-
-    rows, truth = [], None
-    for variant, edge, multi, _, bridge, _ in SWITCHES:
-        i = Index(spark, folder, bridge, edge)
-        truth = truth or exact_topk(i.queries, i.vectors, 10).cache()
-        hits = i.kernel(k=40, ef=60, t=4, multi_path=multi).cache()
-        rows.append((variant, E.ann_recall(S.rerank(hits, i.queries, i.vectors, 10), truth, 10).first()["value"], hits.agg(F.avg("scored")).first()[0]))
-    return spark.createDataFrame(rows, "variant string, recall double, scored double")
-
-
