@@ -20,7 +20,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import NO_ID, column_bytes, free, fresh, nothing_kept, pieces_of, small_batches, written
@@ -62,13 +62,16 @@ def spans(docs: DataFrame, width: int = 400, unit_bytes: int = 1 << 20, hot_clas
     """(doc, tag, spans array<struct<lo, hi>>): byte ranges that repeated strings cover, overlapping and unsorted."""
     rows = keyed(docs, id_col, text_col)
     segments = written(rows.mapInArrow(_segments(width), SEGMENT), "segments")
-    by_owner = segments.groupBy("h").agg(F.count("*").alias("n"), F.min("w").alias("low"), F.max("w").alias("high")).where("n > 1")
-    by_owner = written(by_owner, "owners")  # so that the join's shuffle is its own, and an owner with very many rows can be split
-    live = written(segments.join(by_owner.select("h", (F.col("low") != F.col("high")).alias("several")), "h"), "live")
+    # tasks count first: an owner or a segment with very many copies is a row for each task
+    owner = Window.partitionBy("h")
+    counts = segments.groupBy("h", "w").agg(F.count("*").alias("copies"))
+    kinds = counts.withColumns({"n": F.sum("copies").over(owner), "several": F.count("*").over(owner) > 1}).where("n > 1").drop("n")
+    kinds = written(kinds, "kinds")  # so that the join's shuffle is its own, and a segment with very many rows can be split
+    live = written(segments.join(kinds, ["h", "w"]), "live")
     free(segments)
-    classes = live.groupBy("h", "w", "several").agg(F.count("*").alias("copies"), F.min(F.struct("doc", "tag", "s", "e", "rel")).alias("rep"))
+    classes = live.groupBy("h", "w", "several", "copies").agg(F.min(F.struct("doc", "tag", "s", "e", "rel")).alias("rep"))
     classes = written(classes.select("h", "w", "several", "copies", "rep.*"), "classes")
-    copied = live.join(classes.where("copies > 1").select("h", "w"), ["h", "w"]).select("doc", "tag", F.col("s").alias("lo"), (F.col("e") + width).alias("hi"))
+    copied = live.where("copies > 1").select("doc", "tag", F.col("s").alias("lo"), (F.col("e") + width).alias("hi"))
 
     kinds = classes.where("several").groupBy("h").agg(F.count("*").alias("k"), F.sum(F.col("e") - F.col("s") + width).alias("bytes"))
     total, most = kinds.agg(F.coalesce(F.sum("bytes"), F.lit(0)), F.coalesce(F.max("k"), F.lit(0))).first()
