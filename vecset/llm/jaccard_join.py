@@ -328,6 +328,11 @@ def verified(pairs: DataFrame, reps: DataFrame, percent: int) -> DataFrame:
 
 def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id): documents link when 100 * intersection >= percent * union."""
+    return _join(docs, percent, words, pivot_rounds, id_col, text_col)[0]
+
+
+def _join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int = 3, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, list[DataFrame]]:
+    """join's result, and the written tables that nothing needs once that result is written."""
     rows = texts(docs, id_col, text_col)
     sets = shared_sets(rows, percent / 100, words)
     free(docs)
@@ -369,12 +374,16 @@ def join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int =
     named = reps.select("n", "sig", "doc").join(parts.withColumnRenamed("node", "doc"), "doc", "left").select("n", "sig", F.coalesce("component", "doc").alias("component"))
     out = sets.select("doc", "n", "sig").join(named, ["n", "sig"], "left")
     out = out.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"))
-    return null_again(out, "doc_id", "component_id")
+    return null_again(out, "doc_id", "component_id"), [sets, reps, own]
 
 
 def one_of_each(docs: DataFrame, **options) -> DataFrame:
     """docs without those that link to a group whose least doc_id is another; of repeated rows with one doc_id and a set, one stays."""
-    groups = join(docs, **options)
+    groups, spent = _join(docs, **options)
+    groups = written(groups, "groups")
+    for table in spent:  # before the documents are dealt
+        drop_written(table)
+    free(docs)
     keep = groups.where("doc_id is null or doc_id = component_id").select("doc_id").dropDuplicates(["doc_id"])
     name = fresh(docs, "_n")
     order = Window.partitionBy("doc_id", F.xxhash64(F.coalesce("text", F.lit("")))).orderBy(F.lit(0))
