@@ -338,6 +338,10 @@ def _join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int
     free(docs)
     classes = sets.where("tokens is not null").groupBy("n", "sig").agg(F.min("doc").alias("doc"), F.min_by("tokens", "doc").alias("tokens"), F.min_by("rarity", "doc").alias("rarity"))
     reps = written(classes, "reps")
+    slim = written(sets.select("doc", "n", "sig"), "sizes")
+    drop_written(sets)
+    del classes
+    free(docs)
     postings = written(prefixes(reps, percent), "postings")
     both = 100 + percent
 
@@ -363,6 +367,8 @@ def _join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int
         old, own = own, written(postings.join(parts, "doc", "left").withColumn("part", F.coalesce("part", "doc")), "own")
         if r:
             drop_written(old)
+        del pivot, pairs, found
+        free(docs)  # each round's shuffles
     mixed = own.groupBy("token").agg(F.min("part").alias("low"), F.max("part").alias("high")).where("low < high").select("token")
     old, own = own, written(own.join(mixed, "token"), "mixed")
     if pivot_rounds:
@@ -372,9 +378,9 @@ def _join(docs: DataFrame, percent: int = 75, words: int = 5, pivot_rounds: int
     found = verified(pairs, reps, percent)
     parts = components(found if stars is None else stars.unionAll(found))
     named = reps.select("n", "sig", "doc").join(parts.withColumnRenamed("node", "doc"), "doc", "left").select("n", "sig", F.coalesce("component", "doc").alias("component"))
-    out = sets.select("doc", "n", "sig").join(named, ["n", "sig"], "left")
+    out = slim.join(named, ["n", "sig"], "left")
     out = out.select(F.col("doc").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("component", "doc").alias("component_id"))
-    return null_again(out, "doc_id", "component_id"), [sets, reps, own]
+    return null_again(out, "doc_id", "component_id"), [slim, reps, own]
 
 
 def one_of_each(docs: DataFrame, **options) -> DataFrame:
