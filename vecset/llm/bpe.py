@@ -1,8 +1,8 @@
 """Byte-level BPE encoding and decoding of a column, by the tokenizers library over Arrow batches.
 
 The rank file gives the vocabulary; each byte has a printable character, and the merges follow from the ranks. The library splits
-the text by the caller's pattern. Decoding reads the table of those characters backwards. Chunks of a text are cut at spaces, which
-holds for patterns that join no white space to other text but one space before it (tokens.py). Tests hold the ids against a second
+the text by the caller's pattern. Decoding reads the table of those characters backwards. Where the pattern
+allows it, texts are cut at spaces first and each chunk is encoded once (tokens.py). Tests hold the ids against a second
 library that merges by ranks.
 
 Cases: null and empty texts have no ids; very long ones go whole; repeated rows stay; an empty table gives an empty one.

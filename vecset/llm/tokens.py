@@ -79,14 +79,24 @@ class _Slots(dict):
         return slot
 
 
+def may_cut(tokenizer) -> bool:
+    """Whether the tokenizer's pattern ends a match at every place where an Encoder cuts: before a space or a line end between others,
+    and between letters and the marks after them."""
+    for text, cuts in [("ab cd", {2}), ("ab\ncd", {2}), (".) ab", {2}), *((f"ab{m}", {2}) for m in MARKS)]:
+        starts = {a for _, (a, _) in tokenizer.pre_tokenizer.pre_tokenize_str(text)} if tokenizer.pre_tokenizer else set()
+        if not cuts <= starts:
+            return False
+    return True
+
+
 class Encoder:
-    """encode(texts) -> (ids of all texts in a row, ids of each text).
+    """encode(texts) -> (ids of all texts in a row, ids of each text). Where the tokenizer's pattern doesn't allow the cuts, texts go whole.
 
     most: chunks kept; beyond it those stay that were used twice since they came.
     """
 
     def __init__(self, tokenizer, most: int = 600_000):
-        self.tokenizer, self.most = tokenizer, most
+        self.tokenizer, self.most, self.cuts = tokenizer, most, may_cut(tokenizer)
         vocab, byte = tokenizer.get_vocab(), set(byte_chars())
         self.width = np.zeros(max(vocab.values()) + 1, np.int64)
         for token, i in vocab.items():
@@ -214,6 +224,9 @@ class Encoder:
         self.glued, self.alone, self.joined = [], [], []
 
     def encode(self, texts: list) -> tuple[np.ndarray, np.ndarray]:
+        if not self.cuts:
+            ids = [e.ids for e in self.tokenizer.encode_batch([t or "" for t in texts], add_special_tokens=False)]
+            return np.fromiter((i for x in ids for i in x), np.uint32), np.fromiter(map(len, ids), np.int64, len(ids))
         if self.n > self.most:
             self.prune()
         cuts = [self.cut(t or "") for t in texts]

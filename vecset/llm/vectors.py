@@ -1,8 +1,8 @@
 """Embedding operators: near-duplicates over graphs per shard, and nearest neighbours over balanced posting lists.
 
 Cases of both: vectors that are null, all zero, of another length than most, or hold null or non-finite components take no part;
-identical vectors are one point with many rows; rows that share a vec_id and differ in vector are judged each by its own vector; an
-empty table gives an empty one; other columns are not read.
+identical vectors are one point with many rows; a vec_id is meant to be unique: of rows that share one and differ in vector each goes by
+its own vector, and vectors with the same least vec_id share their links; an empty table gives an empty one; other columns are not read.
 """
 
 from __future__ import annotations
