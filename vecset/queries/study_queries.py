@@ -30,7 +30,7 @@ QUERIES, ORACLES = key.queries, key.oracles
 
 SCHEMA = "workload string, dataset string, method string, param string, k int, metric string, value double"
 #: For work sets of some thousand sets; the sizing rule of codebook_sizes is meant for millions of vectors.
-CONFIG = IndexConfig(k1=256, k2=16, degree=12, t=2, iterations=4, solver="sinkhorn")
+CONFIG = IndexConfig(k1=256, k2=64, degree=12, t=1, iterations=4, solver="sinkhorn")
 EDGES = [-120, -40, 40, 120]
 
 
