@@ -101,3 +101,13 @@ def test_nearest(table):
 def test_empty(spark):
     none = spark.createDataFrame([], SCHEMA)
     assert V.near_duplicates(none).count() == 0 and V.nearest(none, none).count() == 0
+
+
+def test_nearest_shuffles_no_vectors(table):
+    """Lists and queries are written once and dealt to no join; queries in several parts give the same rows."""
+    _, df = table
+    asked = df.where("vec_id % 20 = 0")
+    whole, parts = V.nearest(df, asked, k=5, list_rows=40), V.nearest(df, asked, k=5, list_rows=40, at_once=7)
+    plan = whole._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "Repartition" not in plan
+    assert sorted(map(tuple, whole.collect())) == sorted(map(tuple, parts.collect()))

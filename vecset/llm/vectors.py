@@ -268,12 +268,19 @@ class Lists:
         return np.take_along_axis(ids, order, 1), np.take_along_axis(d, order, 1)
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, list_rows: int = 512, sample: int = 20_000, replicas: int = 3, boundary: float = 1.05, recall: float = 0.97, audit: int = 64, vec: str = "embedding", key: str = "vec_id") -> DataFrame:
+#: Queries that a scan holds at once; of more, each part is a scan of its own.
+QUERIES_AT_ONCE = 200_000
+
+
+def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, list_rows: int = 512, sample: int = 20_000, replicas: int = 3, boundary: float = 1.05, recall: float = 0.97, audit: int = 64, vec: str = "embedding", key: str = "vec_id", at_once: int = QUERIES_AT_ONCE) -> DataFrame:
     """(query_id, rank, vec_id, score): each query's k rows of largest inner product, but itself.
 
     Centroids are fitted on at most `sample` rows (a parameter), every row is indexed: in the list of its nearest centroid, and of
     up to `replicas` - 1 more whose distance is within `boundary` times that. A query reads the lists whose centroid's distance is
     within a ratio of its nearest one's; the ratio is what brings the true neighbours of `audit` queries to `recall`.
+
+    A list is many blocks, one or more of each task that placed rows; they are written once, in the vectors' own width, and neither
+    they nor the queries are shuffled: a scan's tasks hold the queries and tell for each block which of them read its list.
     """
     rows, asked = sound(vectors, vec, key), sound(queries, vec, key)
     n, width = rows.agg(F.count("*"), F.mode(F.size("vec"))).first()
@@ -285,94 +292,102 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, list_rows: int
     n_lists = max(1, min(-(-n // list_rows), fitted.num_rows // 16))
     lists = Lists(balanced_centroids(_matrix(fitted.column("vec")), n_lists), 32)
     del fitted
+    narrow = np.float32 if dict(vectors.dtypes)[vec] == "array<float>" else np.float64
 
     def place(batches):
+        """Blocks of one list each, from some batches at a time."""
+        held, n_held = [], 0
+
+        def blocks():
+            own, ids, x = (np.concatenate([h[c] for h in held]) for c in range(3))
+            order = np.argsort(own, kind="stable")
+            own = own[order]
+            cut = np.concatenate(([0], np.flatnonzero(np.diff(own)) + 1, [len(own)]))
+            for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
+                some = order[a:b]
+                yield pa.RecordBatch.from_arrays([pa.array([int(own[a])], pa.int32()), pa.array([ids[some].tobytes()]), pa.array([x[some].tobytes()])], names=["list", "ids", "vecs"])
+
         for batch in batches:
             for s in range(0, batch.num_rows, 2048):
                 part = batch.slice(s, 2048)
-                ids, d = lists.near(_matrix(part.column("vec")), replicas)
+                x = _matrix(part.column("vec"))
+                ids, d = lists.near(x, replicas)
                 keep = (ids >= 0) & (d <= boundary * d[:, :1])
                 keep[:, 0] = True
                 r, c = np.nonzero(keep)
-                took = part.take(pa.array(r))
-                yield pa.RecordBatch.from_arrays([pa.array(ids[r, c].astype(np.int32)), took.column("vec_id"), took.column("vec")], names=["list", "vec_id", "vec"])
-
-    def packed(batches):
-        """Rows of a sorted partition to blocks of one list: no list, however long, is one row."""
-        for batch in batches:
-            own = batch.column("list").to_numpy()
-            cut = np.concatenate(([0], np.flatnonzero(np.diff(own)) + 1, [len(own)])) if len(own) else np.zeros(1, int)
-            for a, b in zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True):
-                part = batch.slice(a, b - a)
-                yield pa.RecordBatch.from_arrays([pa.array([int(own[a])], pa.int32()), pa.array([part.column("vec_id").to_numpy().tobytes()]), pa.array([_matrix(part.column("vec")).astype(np.float64).tobytes()])], names=["list", "ids", "vecs"])
+                held.append((ids[r, c], part.column("vec_id").to_numpy()[r], x[r].astype(narrow)))
+                n_held += len(r)
+                if n_held * width > 1 << 23:
+                    yield from blocks()
+                    held, n_held = [], 0
+        if held:
+            yield from blocks()
 
-    placed = rows.mapInArrow(place, "list int, vec_id long, vec array<double>")
-    dealt = placed.repartition(F.col("list"), F.pmod(F.xxhash64("vec_id"), F.lit(4))).sortWithinPartitions("list")
-    postings = written(dealt.mapInArrow(packed, "list int, ids binary, vecs binary"), "postings")
+    postings = written(rows.mapInArrow(place, "list int, ids binary, vecs binary"), "postings")
     ratio = _ratio(rows, asked, lists, k, replicas, boundary, recall, audit)
+    parts = max(1, -(-asked.count() // at_once))
+    hits = None
+    for i in range(parts):
+        got = _scanned(postings, asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(parts)) == i), lists, ratio, k, width, narrow)
+        hits = got if hits is None else hits.unionAll(got)
+    order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
+    return hits.distinct().withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
-    def route(batches):
-        for batch in batches:
-            for s in range(0, batch.num_rows, 1024):
-                part = batch.slice(s, 1024)
-                x, ids = _matrix(part.column("vec")), part.column("vec_id").to_numpy()
-                at, d = lists.near(x, n_lists)
-                keep = (at >= 0) & (d <= ratio * d[:, :1])
-                r, c = np.nonzero(keep)
-                own = at[r, c]
-                order = np.argsort(own, kind="stable")
-                r, own = r[order], own[order]
-                names, start = np.unique(own, return_index=True)
-                groups = np.split(r, start[1:])
-                yield pa.RecordBatch.from_arrays([pa.array(names.astype(np.int32)), pa.array([ids[g].tobytes() for g in groups], pa.binary()), pa.array([x[g].tobytes() for g in groups], pa.binary())], names=["list", "q_ids", "q_vecs"])
 
-    routed = asked.repartition(max(8, -(-asked.count() // 2048))).mapInArrow(route, "list int, q_ids binary, q_vecs binary")
+def _scanned(postings: DataFrame, asked: DataFrame, lists: Lists, ratio: float, k: int, width: int, narrow: type, cells: int = 1 << 18) -> DataFrame:
+    """(query_id, vec_id, score): the k best that each task found for each query in the blocks of the lists that it reads."""
+    some = asked.select("vec_id", "vec").toArrow()
+    names, q = some.column("vec_id").to_numpy(), _matrix(some.column("vec")).astype(narrow)
+    del some
+    centre = lists.centre
+    reach = np.concatenate([np.zeros(0), *(ratio * lists.near(q[s : s + 4096].astype(np.float64), 1)[1][:, 0] for s in range(0, len(q), 4096))])
+    sent = postings.sparkSession.sparkContext.broadcast((names, q, reach))
 
     def scan(batches):
-        """Best k of each query over all blocks that a task reads; handed on when too many queries are held."""
-        held, n_held = [], 0
+        names, q, reach = sent.value
+        if not len(names):
+            return
+        q = q.astype(np.float64)
+        size = (q * q).sum(axis=1)
+        least, most = np.full(len(q), -np.inf), max(400_000, len(q) * k)
+        best, held, n_held = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)), [], 0
+
+        def merged():
+            """The k best of each query, ties to the smaller vec_id; from now on only what may be among them is held."""
+            i, v, s = (np.concatenate([h[c] for h in (best, *held)]) for c in range(3))
+            order = np.lexsort((v, -s, i))
+            i, v, s = i[order], v[order], s[order]
+            new = np.concatenate(([True], (i[1:] != i[:-1]) | (v[1:] != v[:-1]) | (s[1:] != s[:-1])))[: len(i)]  # replicas
+            i, v, s = i[new], v[new], s[new]
+            first = np.concatenate(([True], i[1:] != i[:-1]))[: len(i)]
+            rank = np.arange(len(i)) - np.maximum.accumulate(np.where(first, np.arange(len(i)), 0))
+            last = rank == k - 1
+            least[i[last]] = s[last]
+            return i[rank < k], v[rank < k], s[rank < k]
 
-        def best():
-            q, v, s = (np.concatenate([h[c] for h in held]) for c in range(3))
-            order = np.lexsort((v, -s, q))
-            q, v, s = q[order], v[order], s[order]
-            new = np.concatenate(([True], (q[1:] != q[:-1]) | (v[1:] != v[:-1])))  # replicas
-            q, v, s = q[new], v[new], s[new]
-            first = np.concatenate(([True], q[1:] != q[:-1]))
-            rank = np.arange(len(q)) - np.maximum.accumulate(np.where(first, np.arange(len(q)), 0))
-            return [(q[rank < k], v[rank < k], s[rank < k])]
-
-        out = lambda: pa.RecordBatch.from_arrays([pa.array(c) for c in held[0]], names=["query_id", "vec_id", "score"])
         for batch in batches:
-            for r in batch.to_pylist():
-                q_ids, ids = np.frombuffer(r["q_ids"], np.int64), np.frombuffer(r["ids"], np.int64)
-                q, v = np.frombuffer(r["q_vecs"], np.float64).reshape(len(q_ids), -1), np.frombuffer(r["vecs"], np.float64).reshape(len(ids), -1)
-                for s in range(0, len(ids), 4096):
-                    dots = q @ v[s : s + 4096].T
-                    dots[q_ids[:, None] == ids[None, s : s + 4096]] = -np.inf
-                    most = min(2 * k, dots.shape[1])
-                    top = np.argpartition(-dots, most - 1, axis=1)[:, :most]
-                    edge = np.take_along_axis(dots, top, 1)
-                    cut = np.partition(edge, -min(k, most), axis=1)[:, -min(k, most)]
-                    i, j = np.nonzero(dots >= cut[:, None] - 1e-9)  # ties at the edge stay
-                    fine = np.isfinite(dots[i, j])
-                    i, j = i[fine], j[fine]
-                    exact = (q[i] * v[s : s + 4096][j]).sum(axis=1)
-                    held.append((q_ids[i], ids[s : s + 4096][j], exact))
+            for own, ids, vecs in zip(batch.column("list").to_pylist(), batch.column("ids"), batch.column("vecs"), strict=True):
+                c = centre[own]
+                reads = np.flatnonzero(np.sqrt(np.maximum(size - 2 * q @ c + c @ c, 0)) <= reach)
+                ids, x = np.frombuffer(ids.as_buffer(), np.int64), np.frombuffer(vecs.as_buffer(), narrow).reshape(-1, width).astype(np.float64)
+                slack = 1e-12 * np.sqrt((x * x).sum(axis=1).max())
+                step = max(1, cells // len(ids))
+                for a in range(0, len(reads), step):
+                    at = reads[a : a + step]
+                    i, j = np.nonzero(q[at] @ x.T >= (least[at] - slack * np.sqrt(size[at]))[:, None])
+                    i = at[i]
+                    other = names[i] != ids[j]
+                    i, j = i[other], j[other]
+                    held += [(i[b : b + 8192], ids[j[b : b + 8192]], (q[i[b : b + 8192]] * x[j[b : b + 8192]]).sum(axis=1)) for b in range(0, len(i), 8192)]
                     n_held += len(i)
-                if n_held > 400_000:
-                    held = best()
-                    n_held = len(held[0][0])
-                    if n_held > 300_000:
-                        yield out()
-                        held, n_held = [], 0
-        if held:
-            held = best()
-            yield out()
-
-    hits = postings.join(routed, "list").mapInArrow(scan, "query_id long, vec_id long, score double").distinct()
-    order = Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id")
-    return hits.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+                    if n_held > most:
+                        best, held, n_held = merged(), [], 0
+        best = merged()
+        for a in range(0, len(best[0]), 65536):
+            i, v, s = (b[a : a + 65536] for b in best)
+            yield pa.RecordBatch.from_arrays([pa.array(names[i]), pa.array(v), pa.array(s)], names=["query_id", "vec_id", "score"])
+
+    return postings.mapInArrow(scan, "query_id long, vec_id long, score double")
 
 
 def brute_force(rows: DataFrame, q_ids: np.ndarray, q: np.ndarray, k: int) -> DataFrame:
