@@ -116,3 +116,27 @@ def test_run(spark, stages):
     got = corpus_pipeline.run(spark, SF)
     assert got.columns == ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"]
     assert got.select("doc_id", "piece", "length", "ids_crc32").exceptAll(stages[3][1].select("doc_id", "piece", "length", "ids_crc32")).count() == 0
+
+
+def test_quality_learns_from_all_labels(spark):
+    """A class of 3,400 documents of which 40 are of another kind: a sample of 3,000 of them may miss what tells these from good ones."""
+    draw = np.random.default_rng(5)
+    text = lambda letters: "".join(draw.choice(list(letters), 60))
+    rows = [(i, text("abcdefgh") if i % 85 else text("uvwxyz"), 0) for i in range(3400)] + [(i, text("ijklmnop"), 1) for i in range(3400, 4000)]
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string").repartition(5)
+    labels = spark.createDataFrame([(r[0], r[2]) for r in rows], "doc_id long, quality int")
+    seen, fitted = [], quality._fitted
+    quality._fitted = lambda run, *more: (seen.extend(run("moments")), fitted(run, *more))[1]
+    try:
+        model = quality.fit(docs, labels)
+    finally:
+        quality._fitted = fitted
+    own = labels.where(~quality.held_out("doc_id")).groupBy("quality").count().collect()
+    assert sum(s[0] for s in seen).tolist() == [r["count"] for r in sorted(own)]
+    got = quality.score(docs, model).join(labels, "doc_id").collect()
+    assert np.mean([(r["score"] >= 0.5) == r["quality"] for r in got]) > 0.99
+    texts = [r[1].encode() for r in rows if r[0] % 3 == 0]
+    x = quality.features(np.frombuffer(b"".join(texts), np.uint8), np.arange(len(texts) + 1) * 60)
+    y = np.array([r[2] for r in rows if r[0] % 3 == 0])
+    one, two = (quality.fit_pairs(x[y == 1][o], x[y == 0], float((y == 0).mean())) for o in (slice(None), slice(None, None, -1)))
+    assert np.allclose(one.weights, two.weights, atol=1e-5) and abs(one.threshold - two.threshold) < 1e-4
