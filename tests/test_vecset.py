@@ -198,3 +198,53 @@ def test_components_and_nested_score(spark, index):
     assert got == {0: 0, 1: 1, 2: 1, 3: 1, 4: 4, 5: 5, 6: 6, 7: 7, 8: 7, 9: 9}
     one = spark.createDataFrame([([[1, 0], [0, 1]], [[2, 1], [0, 5]])], "q array<array<long>>, p array<array<long>>")
     assert one.select(D.chamfer_nested("q", "p").alias("s")).first()["s"] == 7
+
+
+def _drawn(spark, sets, seed):
+    """Small whole numbers, so that scores tie; sets of one to three vectors."""
+    draw = np.random.default_rng(seed)
+    return [(s, j, draw.integers(-2, 3, 4).tolist()) for s in range(sets) for j in range(1 + s % 3)]
+
+
+@pytest.mark.parametrize("ground", ["cosine", "l2"])
+def test_exact_topk_in_blocks(spark, monkeypatch, ground):
+    """However few products a task may hold, every set asks every set; ties go to the smaller one."""
+    from vecset.operators import exact
+
+    monkeypatch.setattr(exact, "CELLS", 64)
+    rows = _drawn(spark, 90, 3)
+    v = spark.createDataFrame(rows, "set_id long, vec_no int, v array<long>").repartition(3)
+    x = {s: np.array([r[2] for r in rows if r[0] == s]) for s in range(90)}
+    near = lambda a, b: a @ b.T if ground == "cosine" else -((a[:, None] - b[None]) ** 2).sum(axis=2)
+    want = {q: sorted((-int(near(x[q], x[s]).max(axis=1).sum()), s) for s in x)[:7] for q in x}
+    got = {}
+    for r in exact.exact_topk(v.withColumnRenamed("set_id", "query_id"), v, 7, ground).orderBy("query_id", "rnk").collect():
+        got.setdefault(r["query_id"], []).append((-r["score"], r["set_id"]))
+    assert got == want
+
+
+@pytest.mark.parametrize("odd", [None, [1, None, 2, 3]])
+def test_all_scores(spark, odd):
+    from vecset.functions import distance as D
+    from vecset.operators.exact import all_scores
+
+    v = spark.createDataFrame([*_drawn(spark, 40, 5), (41, 0, odd or [1, 1, 1, 1])], "set_id long, vec_no int, v array<long>")
+    q = v.where("set_id % 10 = 0").withColumnRenamed("set_id", "query_id")
+    for mean in (False, True):
+        got = all_scores(q, v, "cosine", mean)
+        assert ("CartesianProduct" in got._jdf.queryExecution().toString() or "NestedLoop" in got._jdf.queryExecution().toString()) == (odd is not None)
+        assert sorted(map(str, got.collect())) == sorted(map(str, D.chamfer(D.pair_nearness(q, v), "mean" if mean else "sum").collect()))
+
+
+def test_matchings_are_transport(spark):
+    """With equal weights the cheapest matching is the earth mover's distance; codes stand for their centres, also repeated ones."""
+    from vecset.functions import transport
+    from vecset.operators.exact import matched
+
+    draw = np.random.default_rng(6)
+    centers = draw.integers(-900, 900, size=(5, 8))
+    codes = draw.integers(0, 5, size=(23, 4))
+    plain = matched(spark.createDataFrame([(i, centers[c].tolist()) for i, c in enumerate(codes)], "set_id long, vecs array<array<long>>"), 4, "emd").collect()
+    coded = matched(spark.createDataFrame([(i, c.tolist()) for i, c in enumerate(codes)], "set_id long, vecs array<int>").repartition(3), 4, "emd", centers).collect()
+    want = {(a, b): round(transport.emd(1_000_000.0 - centers[codes[a]] @ centers[codes[b]].T), 6) for a in (0, 10, 20) for b in range(a + 1, 23)}
+    assert {(r["a"], r["b"]): r["emd"] for r in plain} == pytest.approx(want) and sorted(plain) == sorted(coded)
