@@ -248,3 +248,9 @@ def test_matchings_are_transport(spark):
     coded = matched(spark.createDataFrame([(i, c.tolist()) for i, c in enumerate(codes)], "set_id long, vecs array<int>").repartition(3), 4, "emd", centers).collect()
     want = {(a, b): round(transport.emd(1_000_000.0 - centers[codes[a]] @ centers[codes[b]].T), 6) for a in (0, 10, 20) for b in range(a + 1, 23)}
     assert {(r["a"], r["b"]): r["emd"] for r in plain} == pytest.approx(want) and sorted(plain) == sorted(coded)
+
+
+@pytest.mark.parametrize("name", ["chamfer_example", "membership_example", "codebook_size", "speedup_at_quality"])
+def test_examples_read_a_table(spark, name):
+    assert "parquet" in QUERIES[name](spark, SF)._jdf.queryExecution().executedPlan().toString().lower()
+    assert difference(spark, connect(SF), QUERIES[name], ORACLES[name], SF) is None
