@@ -172,6 +172,28 @@ def test_walk_over_centres_finds_the_nearest(work, index):
     assert sum(w in walked for w in want) >= 0.95 * len(want)
 
 
+def test_pq_topk_makes_no_row_for_a_pair_of_vectors(spark):
+    draw = np.random.default_rng(5)
+    x, book = draw.integers(-3, 4, (41, 8)), draw.integers(-3, 4, (5, 8))
+    names = [2, 3, 7, 8, 20]
+    vectors = spark.createDataFrame([(i // 3, i % 3, v.tolist()) for i, v in enumerate(x)], "set_id long, vec_no int, v array<long>")
+    codebook = spark.createDataFrame([(c, v.tolist()) for c, v in zip(names, book)], "code int, center array<long>")
+    coded = B.pq_encode(vectors, codebook, 4, 8)
+    own = [[int(np.argmin(((book[:, 2 * p : 2 * p + 2] - v[2 * p : 2 * p + 2]) ** 2).sum(axis=1))) for p in range(4)] for v in x]
+    assert rows(coded, "set_id", "vec_no", "part", "code") == sorted((i // 3, i % 3, p, names[c]) for i, o in enumerate(own) for p, c in enumerate(o))
+    found = B.pq_topk(vectors.where("set_id < 4").withColumnRenamed("set_id", "query_id"), coded, codebook, 4, 8, 5)
+    seen = np.array([np.concatenate([book[c, 2 * p : 2 * p + 2] for p, c in enumerate(o)]) for o in own])
+    want = []
+    for q in range(4):
+        score = [(-int((x[3 * q : 3 * q + 3] @ seen[3 * s : 3 * s + 3].T).max(axis=1).sum()), s) for s in range(14)]
+        want += [(q, s, -v, i + 1) for i, (v, s) in enumerate(sorted(score)[:5])]
+    assert rows(found, "query_id", "set_id", "score", "rnk") == sorted(want)
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+    # a vector with a null takes the relational plan
+    holed = vectors.unionAll(spark.createDataFrame([(99, 0, [None] * 8)], "set_id long, vec_no int, v array<long>"))
+    assert {c for s, _, _, c in rows(B.pq_encode(holed, codebook, 4, 8), "set_id", "vec_no", "part", "code") if s == 99} == {2}
+
+
 def test_near_token_sets(spark):
     draw = np.random.default_rng(2)
     base = [f"w{i}" for i in range(30)]
