@@ -18,7 +18,7 @@ from vecset.operators import single
 from vecset.operators.contain import contained
 from vecset.operators.exact import exact_topk, top_k
 from vecset.operators.iterate import shared
-from vecset.operators.near import near_token_sets
+from vecset.operators.near import near_sets, near_token_sets
 from vecset.queries import study_queries
 from vecset.sources.worksets import subset, work_set
 
@@ -204,6 +204,21 @@ def test_near_token_sets(spark):
     assert want and rows(near_token_sets(df, 90), "a", "b") == want
 
 
+@pytest.mark.parametrize("block_sets", [3, 8192])
+def test_near_sets_keeps_copies_as_classes(spark, block_sets):
+    draw = np.random.default_rng(3)
+    base = [f"w{i}" for i in range(40)]
+    bags = {i: set(base) for i in range(300)} | {300 + i: set(base) - {base[i]} | {f"y{i % 5}"} for i in range(40)} | {500 + i: set(draw.choice(90, 30).astype(str)) for i in range(20)}
+    data = [(i, list(b)) for i, b in bags.items()] + [(900, []), (901, None), (902, ["one"])]
+    classes, pairs = near_sets(spark.createDataFrame(data, "set_id long, words array<string>"), 90, block_sets)
+    reps = {}
+    for i, b in sorted((bags | {902: {"one"}}).items()):
+        reps.setdefault(frozenset(b), i)
+    assert rows(classes, "set_id", "rep") == sorted((i, reps[frozenset(b)]) for i, b in (bags | {902: {"one"}}).items())
+    want = sorted((i, j) for (a, i), (b, j) in itertools.combinations(reps.items(), 2) if 100 * len(a & b) >= 90 * max(len(a), len(b)))
+    assert len(want) > 700 and rows(pairs, "a", "b") == want
+
+
 def test_contained(spark):
     texts = spark.createDataFrame([(1, "abcabc"), (2, None), (3, "xbc"), (4, "")], "id long, text string")
     asked = spark.createDataFrame([(10, "bc"), (11, "abc"), (12, "bc"), (13, ""), (14, None), (15, "q")], "item long, text string")
