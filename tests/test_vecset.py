@@ -147,7 +147,45 @@ def test_probing_all_postings_is_exact(index):
 
 
 def test_search_example(spark):
-    got = QUERIES["search_example"](spark, SF).orderBy("rnk").collect()
+    """Each customer's walk again in plain Python, on the orders of the table."""
+    chains = {}
+    for r in sorted(spark.read.parquet(f"{SF}/orders.parquet").collect(), key=lambda r: (r["o_orderdate"], r["o_orderkey"])):
+        chains.setdefault(r["o_custkey"], {}).setdefault(r["o_orderstatus"], []).append((r["o_orderkey"], int(float(r["o_totalprice"]) + 0.5)))
+    want = []
+    for customer, by in chains.items():
+        score = {k: v for status in "FO" for k, v in by.get(status, [])}
+        links = {(x[i][0], x[i + 1][0]) for x in by.values() for i in range(len(x) - 1)}
+        if len(by.get("F", [])) > 1 and by.get("O"):
+            links.add((by["F"][1][0], by["O"][-1][0]))
+        links |= {(b, a) for a, b in links}
+        state = {by[s][0][0]: (path, 0) for path, s in enumerate("FO") if s in by}
+        for _ in range(5):
+            place = sorted(state, key=lambda s: (-score[s], s))
+            picked = [next((s for s in place if state[s] == (path, 0)), None) for path in (0, 1)]
+            picked = [s for s in picked if s is not None and (len(place) < 2 or score[s] >= score[place[1]])]
+            fresh = {}
+            for s in picked:
+                for a, b in links:
+                    if a == s and b in score and b not in state:
+                        fresh[b] = min(fresh.get(b, 9), state[s][0])
+            state = {s: (p, 1 if s in picked else e) for s, (p, e) in state.items()} | {s: (p, 0) for s, p in fresh.items()}
+            place = sorted(state, key=lambda s: (-score[s], s))
+            state = {s: state[s] for i, s in enumerate(place) if i < 2 or state[s][1]}
+        want += [(customer, s, score[s], i + 1) for i, s in enumerate(sorted(state, key=lambda s: (-score[s], s))[:2])]
+    got = [tuple(r) for r in QUERIES["search_example"](spark, SF).select("query_id", "set_id", "score", "rnk").collect()]
+    assert len(want) > 100 and sorted(got) == sorted(want)
+
+
+def test_supersteps_by_hand(spark):
+    """A toy graph of eight sets, ef = 2: entry points lie in two clusters, a shortcut (1-6) leads from one to the other."""
+    links = [(0, 1), (1, 2), (3, 4), (4, 5), (1, 6), (6, 7)]
+    edges = spark.createDataFrame([p for a, b in links for p in ((a, b), (b, a))], "src long, dst long")
+    allowed = spark.createDataFrame([(9, s) for s in (0, 1, 3, 4, 6, 7)], "query_id long, set_id long")
+    scores = spark.createDataFrame([(9, s, v) for s, v in enumerate([10, 30, 99, 5, 20, 99, 60, 80])], "query_id long, set_id long, score long")
+    state = spark.createDataFrame([(9, 0, 0, 10, 0), (9, 1, 3, 5, 0)], "query_id long, path int, set_id long, score long, expanded int")
+    for _ in range(5):
+        state = iterate.cut(S.superstep(state, edges, allowed, scores, 2))
+    got = X.top_k(state.select("query_id", "set_id", "score"), 2).orderBy("rnk").collect()
     assert [(r["set_id"], r["score"]) for r in got] == [(7, 80), (6, 60)]
 
 
