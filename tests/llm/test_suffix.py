@@ -4,10 +4,11 @@ import hashlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from vecset.llm import suffix_dedup
-from vecset.llm.suffix_kernel import common_prefix_reaches, suffix_array
+from vecset.llm.suffix_kernel import common_prefix_reaches, may_repeat, owners, suffix_array
 
 
 @pytest.mark.parametrize("kind", range(4))
@@ -67,3 +68,30 @@ def test_cleaned_keeps_rows_and_columns(spark):
 def test_empty(spark):
     none = spark.createDataFrame([], "doc_id long, text string")
     assert suffix_dedup.report(none).count() == 0
+
+
+def test_segments_hold_no_copies_of_the_text():
+    """A text of 400,000 bytes has some thousand segments; a copy of it for each would be over a gigabyte."""
+    text = np.random.default_rng(3).integers(97, 123, size=400_000).astype(np.uint8).tobytes().decode()
+    batch = pa.RecordBatch.from_arrays([pa.array([1]), pa.array([2]), pa.array([text])], names=["doc", "tag", "text"])
+    usual, pool = pa.default_memory_pool(), pa.proxy_memory_pool(pa.default_memory_pool())
+    pa.set_memory_pool(pool)
+    try:
+        n = sum(b.num_rows for b in suffix_dedup._segments(400)([batch]))
+    finally:
+        pa.set_memory_pool(usual)
+    assert n > 1000 and pool.max_memory() < 32 << 20
+
+
+@pytest.mark.parametrize("width", [100, 60, 40])
+def test_windows_left_out_come_once(width):
+    raws = [(t or "").encode() for t in corpus()]
+    off = np.cumsum([0, *map(len, raws)])
+    text, h, rel, first, last, _ = owners(np.frombuffer(b"".join(raws), np.uint8), off, width)
+    runs = may_repeat([np.frombuffer(raws[t][a : b + width], np.uint8) for t, a, b in zip(text, first, last, strict=True)], h, rel, np.ones(len(h), np.int64), width)
+    found = {(int(text[i]), int(first[i]) + j) for i, a, b in zip(*runs, strict=True) for j in range(a, b)}
+    seen = Counter(r[i : i + width] for r in raws for i in range(len(r) - width + 1))
+    every = {(k, i): seen[r[i : i + width]] > 1 for k, r in enumerate(raws) for i in range(len(r) - width + 1)}
+    # copies inside one text that overlap have one segment each, and none is lost; what comes once is mostly left out
+    assert {w for w, again in every.items() if again} <= found
+    assert len(found) < sum(every.values()) + 0.5 * (len(every) - sum(every.values()))
