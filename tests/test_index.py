@@ -19,6 +19,7 @@ from vecset.operators.contain import contained
 from vecset.operators.exact import exact_topk, top_k
 from vecset.operators.iterate import shared
 from vecset.operators.near import near_sets, near_token_sets
+from vecset.operators.search import Runs
 from vecset.queries import study_queries
 from vecset.sources.worksets import subset, work_set
 
@@ -91,6 +92,27 @@ def test_guided_search_scores_a_part(work, index):
     assert free.agg(F.max("guarded")).first()[0] == 0 and hits.agg(F.max("guarded")).first()[0] > 0
 
 
+def test_more_codes_than_rows_of_a_driver_table_go_by_the_kernel(work, index, monkeypatch):
+    """The documents of 0.1 GB have over two million codes; the supersteps are slow there and count no scored sets."""
+    from vecset.plans import limits
+
+    n = index.codes.agg(F.count("*").alias("codes"), F.countDistinct("set_id").alias("sets")).first()
+    monkeypatch.setattr(limits, "MOST_ROWS", n["sets"])
+    assert n["codes"] > n["sets"]
+    hits = index.search(work.queries, 5, 10)
+    assert {"scored", "hops", "guarded"} <= set(hits.columns)
+    monkeypatch.undo()
+    assert rows(hits, "query_id", "set_id", "rnk") == rows(index.search(work.queries, 5, 10, engine="kernel"), "query_id", "set_id", "rnk")
+
+
+def test_packed_runs_are_the_runs(spark):
+    pairs = [(5, 2), (1, 9), (5, 1), (5, 2), (3, 4), (1, 7)]
+    df = spark.createDataFrame(pairs, "k long, v int")
+    one, two = Runs(df.distinct().toArrow(), "k", "v"), Runs.packed(df, "k", "v")
+    assert all(one[k].tolist() == two[k].tolist() for k in (1, 2, 3, 5)) and [x.tolist() for x in one.all([5, 1])] == [x.tolist() for x in two.all([5, 1])]
+    assert Runs.packed(df.where("k > 9"), "k", "v")[1].tolist() == []
+
+
 def test_written_index_is_the_index(spark, work, index):
     path = shared(spark, "t")
     I.write_index(index, path)
