@@ -105,6 +105,26 @@ def test_more_codes_than_rows_of_a_driver_table_go_by_the_kernel(work, index, mo
     assert rows(hits, "query_id", "set_id", "rnk") == rows(index.search(work.queries, 5, 10, engine="kernel"), "query_id", "set_id", "rnk")
 
 
+def test_mixed_vectors_are_the_context_vectors(spark, monkeypatch):
+    """The array steps give what the joins give, gaps and tokens without a vector included; both ways stand behind one name."""
+    from vecset.plans import limits
+    from vecset.sources import tables as T
+
+    def refuse(df):
+        raise limits.TooLarge
+
+    vocab = T.vocabulary(spark, SF).where("vec_id % 7 <> 3")
+    docs = T.read_table(spark, SF, "documents", ["doc_id", "text"])
+    ids = T.token_sets(docs, "doc_id", "text", 500, 24).where("vec_no % 5 <> 2").cache()
+    fast = T.mixed_vectors(ids, vocab)
+    assert "MapInArrow" in fast._jdf.queryExecution().toString()
+    got = rows(fast, "set_id", "vec_no", "v")
+    monkeypatch.setattr(T, "driver_table", refuse)
+    slow_way = T.mixed_vectors(ids, vocab)
+    assert fast.dtypes == slow_way.dtypes and got == rows(slow_way, "set_id", "vec_no", "v") and len(got) > 1000
+    assert T.mixed_vectors(ids.where("set_id < 0"), vocab).count() == 0
+
+
 def test_packed_runs_are_the_runs(spark):
     pairs = [(5, 2), (1, 9), (5, 1), (5, 2), (3, 4), (1, 7)]
     df = spark.createDataFrame(pairs, "k long, v int")
