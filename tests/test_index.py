@@ -180,6 +180,17 @@ def test_entropic_is_close_from_above():
         assert want - 1e-9 <= g <= want * 1.25 + 1e-3
 
 
+def test_sets_of_one_code_that_is_too_long_are_near():
+    """A code whose square is above one costs less than nothing to itself: no NaN, and copies are the nearest."""
+    block = np.array([[-400.0, 900_000.0], [900_000.0, -3.0]])
+    for solver in ("exact", "sinkhorn"):
+        place, d = G.Bags([np.array([0] * n) for n in (1, 3, 4)] + [np.array([1, 1, 1])]).nearest(np.array([0, 0, 0]), block, 3, "qemd", np.arange(4), -1, solver)
+        assert place.tolist() == [0, 1, 2] and d.tolist() == [-400.0] * 3
+    assert transport.emd([[-400.0]], solver="sinkhorn") == -400.0
+    assert abs(transport.emd([[-400.0, 5.0], [5.0, -300.0]]) + 350) < 1e-9
+
+
+
 def test_pair_scores_by_hand(spark):
     q = spark.createDataFrame([(1, 0, [1, 0]), (1, 1, [0, 2]), (2, 0, [1, 1])], "query_id long, vec_no int, v array<long>")
     v = spark.createDataFrame([(7, 0, [3, 1]), (7, 1, [0, 5]), (8, 0, [-1, -1])], "set_id long, vec_no int, v array<long>")
