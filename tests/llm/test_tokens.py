@@ -62,6 +62,18 @@ def test_segments_hold_every_id(docs):
     assert {r["position"]: r["token"] for r in at.collect()} == {p: flat[p] for p in asked}
 
 
+@pytest.mark.parametrize("high", [200, 50_000, 1 << 31])
+def test_runs_of_a_segment(high):
+    """A run is read from where the directory says that it begins in each level; 32-bit and 64-bit ids are packed alike."""
+    ids = np.random.default_rng(high).integers(0, high, size=5000) >> np.random.default_rng(1).integers(0, 20, size=5000)
+    parts = token_files.pack(ids)
+    assert all(np.array_equal(x, y) for a, b in zip(parts, token_files.pack(ids.astype(np.uint32)), strict=True) for x, y in zip(a, b, strict=True))
+    segment = token_files.Segment(*parts)
+    for lo, hi in ((0, 5000), (0, 0), (1, 2), (511, 513), (777, 4097), (4999, 5000)):
+        assert segment.read(lo, hi).tolist() == ids[lo:hi].tolist() == segment.get(np.arange(lo, hi)).tolist()
+
+
+
 def test_codes_of_every_width():
     ids = np.array([0, 255, 256, 65535, 65536, 1 << 24, (1 << 32) - 1, 7] * 300)
     segment = token_files.Segment(*token_files.pack(ids))
