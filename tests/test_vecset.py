@@ -138,6 +138,16 @@ def test_search_frontier_runs_to_its_end(spark, monkeypatch):
     assert got == rows(want) and {q: sum(r[0] == q for r in got) for q in (1, 2)} == {1: 8, 2: 6}
 
 
+@pytest.mark.parametrize("ef", [3])
+def test_search_frontier_follows_the_supersteps(index, ef):
+    """One row a query, or every part a table: the same sets and scores, ties and full beams included."""
+    routed, entries = index.routing(2)
+    parts = entries, index.adj, index.mem, routed.where("query_id < 60"), index.query_codes.where("query_id < 60"), index.codes, index.code_sims()
+    rows = lambda d: sorted(map(tuple, d.select("query_id", "set_id", "score", "rnk").collect()))
+    got = rows(S.search_frontier(*parts, 10, ef))
+    assert got and got == rows(S.search_by_joins(*parts, 10, ef))
+
+
 def test_probing_all_postings_is_exact(index):
     from vecset.operators import baselines as B
 
