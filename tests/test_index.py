@@ -180,6 +180,21 @@ def test_entropic_is_close_from_above():
         assert want - 1e-9 <= g <= want * 1.25 + 1e-3
 
 
+def test_settings_share_what_is_the_same(work, index, monkeypatch):
+    """Two settings that differ in the sample of shortcuts, and one that comes twice: one build, and its shortcuts are a build's."""
+    made, rows_ = [], []
+    bare = replace(index, edges=index.edges.where("kind <> 'shortcut'"), seconds={"graph": 1.0})
+    monkeypatch.setattr(study_queries, "work_set", lambda *_: work)
+    monkeypatch.setattr(study_queries, "fit_codebooks", lambda *_: (index.fine, index.coarse))
+    monkeypatch.setattr(study_queries, "built", lambda w, config, books: made.append(config) or bare)
+    monkeypatch.setattr(study_queries, "searched", lambda i, *_: rows_.append(i) or [("w", "w1", "m", "p", 10, "x", 0.0)])
+    same = lambda w: w
+    study_queries.rebuilt(work.vectors.sparkSession, "", "x", [("a", same, CONFIG), ("b", same, replace(CONFIG, sample=5)), ("c", same, CONFIG)])
+    assert len(made) == 1 and not made[0].shortcuts and rows_[2] is rows_[0] and set(rows_[0].seconds) == {"graph", "shortcuts"}
+    assert rows(rows_[0].edges, "src", "dst", "kind") == rows(index.edges, "src", "dst", "kind")
+    assert rows_[1].config.sample == 5 and rows_[1].edges.count() <= rows_[0].edges.count()
+
+
 def test_bounds_of_all_sets_at_once():
     """The matrix products give what one set after the other gives, to the last bit where costs are whole numbers."""
     draw = np.random.default_rng(5)
