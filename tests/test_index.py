@@ -207,6 +207,44 @@ def test_bounds_of_all_sets_at_once():
             assert (to == want[0]).all() and (back == want[1]).all()
 
 
+def _sets(draw, n, codes=60):
+    c = draw.normal(size=(codes, 12))
+    c = np.round(c / np.linalg.norm(c, axis=1)[:, None] * 1000)
+    return G.Bags([draw.integers(0, codes, size=draw.integers(1, 30)) for _ in range(n)]), G.UNIT - c @ c.T
+
+
+def test_overlap_bounds_stand_between_one_sided_ones_and_the_distance():
+    bags, block = _sets(np.random.default_rng(8), 50)
+    for one, low in zip(bags.sets, bags.all_overlaps(bags, block, 16), strict=True):
+        assert (low >= np.maximum(*bags.one_sided(one, block)) - 1e-6).all()
+        assert (low <= G._transports(one, bags.sets, block, "exact") + 1e-6).all()
+
+
+def test_few_flows_find_the_same_neighbours(monkeypatch):
+    """The nearest by bounds, in single precision and then in full, are those of all distances in full; few of these are had."""
+    bags, block = _sets(np.random.default_rng(9), 600)
+    solved, real = [], G.entropic_filled
+    monkeypatch.setattr(G, "entropic_filled", lambda cost, *a, **b: (solved.append((cost.dtype, len(cost))), real(cost, *a, **b))[1])
+    lows = bags.all_overlaps(bags, block)
+    for i, low in zip(range(8), lows):
+        if len(bags.sets[i]) <= 2:
+            continue
+        d = np.concatenate([G._transports(bags.sets[i], [s], block, "sinkhorn") for s in bags.sets])
+        d[i] = np.inf
+        solved.clear()
+        place, got = bags.nearest(bags.sets[i], block, 6, "qemd", np.arange(600), i, "sinkhorn", low)
+        assert place.tolist() == np.lexsort((np.arange(600), d))[:6].tolist() and np.allclose(got, d[place], atol=1e-6)
+        assert sum(n for kind, n in solved if kind == np.float64) < 30 and sum(n for _, n in solved) < 600
+
+
+@pytest.mark.parametrize("edge", ["qemd", "qch"])
+def test_a_large_cluster_is_the_work_of_many_tasks(work, index, edge):
+    """Members of a block that ask in several tasks have the same neighbours; before, a block was one task."""
+    some = index.membership.select("set_id", F.lit(0).alias("cluster_id")).distinct()
+    build = lambda **how: rows(G.local_edges(some, index.codes, index.fine, 5, edge, solver="sinkhorn", **how), "src", "dst", "via")
+    assert build(ask_sets=20) == build() == build(ask_sets=15, block_sets=90)
+
+
 def test_sets_of_one_code_that_is_too_long_are_near():
     """A code whose square is above one costs less than nothing to itself: no NaN, and copies are the nearest."""
     block = np.array([[-400.0, 900_000.0], [900_000.0, -3.0]])
