@@ -71,6 +71,20 @@ def test_blocks_lose_no_neighbour(index, edge):
     assert rows(build(10**6), "src", "dst", "via") == rows(build(7), "src", "dst", "via")
 
 
+def test_kernel_deals_its_queries_out(work, index):
+    """Queries are few bytes; before, Spark put those of a whole work set into one task."""
+    hits = index.search(work.queries, 5, 10, engine="kernel")
+    assert hits.rdd.getNumPartitions() >= work.queries.sparkSession.sparkContext.defaultParallelism
+
+
+def test_routes_need_no_row_for_every_cluster(work, index):
+    """Each vector's t best clusters come out of the product; before, a row for each vector and cluster did."""
+    for t in (1, 3):
+        want = S.query_clusters(S.centroid_scores(work.queries, index.coarse), t)
+        assert rows(index.route(work.queries, t), "query_id", "cluster_id") == rows(want, "query_id", "cluster_id")
+    assert S.centroid_scores(work.queries, index.coarse, 3).count() == 3 * work.queries.count()
+
+
 @slow
 def test_engines_agree(work, index):
     """With a beam above all sets both engines return all that can be reached; with a finite one, what either finds is scored alike."""
