@@ -77,6 +77,14 @@ def test_kernel_deals_its_queries_out(work, index):
     assert hits.rdd.getNumPartitions() >= work.queries.sparkSession.sparkContext.defaultParallelism
 
 
+def test_local_graphs_are_made_once(work, books, monkeypatch):
+    """The merge reads the half-edges twice: they come from a table, not from the flows; before, all flows were had twice."""
+    plans, real = [], G.merge_bridges
+    monkeypatch.setattr(G, "merge_bridges", lambda cand, *more: (plans.append(cand._jdf.queryExecution().toString()), real(cand, *more))[1])
+    built = I.build_index(work.vectors, replace(CONFIG, shortcuts=False), codebooks=books)
+    assert built.edges.count() and len(plans) == 1 and "InArrow" not in plans[0]
+
+
 def test_routes_need_no_row_for_every_cluster(work, index):
     """Each vector's t best clusters come out of the product; before, a row for each vector and cluster did."""
     for t in (1, 3):
